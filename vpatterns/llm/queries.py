@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
-from vpatterns.llm import bpe, media, mixing
+from vpatterns.llm import bpe, langid, media, mixing, quality, tokens, toxicity
 
 
 def queries() -> dict:
     return {
         "op1_fair_queue_mix": mixing.op1_fair_queue_mix,
+        "op2_bitmask_langid": langid.op2_bitmask_langid,
+        "op3_mcd_outliers": quality.op3_mcd_outliers,
         "op4_iso_media": media.op4_iso_media,
+        "op6_offset_attribution": tokens.op6_offset_attribution,
         "op9_bpe_tree": bpe.op9_bpe_tree,
+        "op10_noisy_channel_toxicity": toxicity.op10_noisy_channel_toxicity,
     }
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from vpatterns.llm import bpe, langid, media, mixing, quality, tokens, toxicity
+from vpatterns.llm import bpe, jaccard, langid, media, mixing, quality, tokens, toxicity
 
 
 def queries() -> dict:
@@ -11,6 +11,7 @@ def queries() -> dict:
         "op2_bitmask_langid": langid.op2_bitmask_langid,
         "op3_mcd_outliers": quality.op3_mcd_outliers,
         "op4_iso_media": media.op4_iso_media,
+        "op5_fragment_jaccard": jaccard.op5_fragment_jaccard,
         "op6_offset_attribution": tokens.op6_offset_attribution,
         "op9_bpe_tree": bpe.op9_bpe_tree,
         "op10_noisy_channel_toxicity": toxicity.op10_noisy_channel_toxicity,

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -43,7 +45,7 @@ def scratch(spark: SparkSession) -> str:
 def written(df: DataFrame, folder: str, name: str) -> DataFrame:
     """The rows written as a shared Parquet table and read again, so lineage ends here."""
     path = f"{folder}/{name}"
-    df.write.mode("overwrite").parquet(path)
+    df.write.mode("overwrite").option("compression", "zstd").parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
@@ -53,6 +55,14 @@ def forget(spark: SparkSession, folder: str, name: str) -> None:
     path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def tidy(spark: SparkSession) -> None:
+    """Let Spark remove the shuffle files of what is written: it does so when its handles are collected."""
+    for _ in range(2):
+        gc.collect()
+        spark._jvm.System.gc()
+        time.sleep(0.3)
+
+
 def input_bytes(df: DataFrame) -> int:
     """Size of the files a frame reads, as the planner knows it; at least 1."""
     try:

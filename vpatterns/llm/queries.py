@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from vpatterns.llm import bpe, jaccard, langid, media, mixing, quality, repeats, tokens, toxicity
+from vpatterns.llm import bpe, hmm, jaccard, langid, media, mixing, quality, repeats, tokens, toxicity
 
 
 def queries() -> dict:
@@ -13,6 +13,7 @@ def queries() -> dict:
         "op4_iso_media": media.op4_iso_media,
         "op5_fragment_jaccard": jaccard.op5_fragment_jaccard,
         "op6_offset_attribution": tokens.op6_offset_attribution,
+        "op7_hidden_markov": hmm.op7_hidden_markov,
         "op8_prefix_free_repeats": repeats.op8_prefix_free_repeats,
         "op9_bpe_tree": bpe.op9_bpe_tree,
         "op10_noisy_channel_toxicity": toxicity.op10_noisy_channel_toxicity,

@@ -161,6 +161,13 @@ def training_rows(df: DataFrame) -> DataFrame:
     return df.where((remainder(4) != 2) & F.col("lang").isNotNull())
 
 
+def accepted(df: DataFrame, langs: list[str], table: np.ndarray, least: float = 0.52) -> DataFrame:
+    """The rows whose text has letters and whose language stands out by ``least`` or more."""
+    row = F.struct(*[F.col(c) for c in df.columns])
+    got = identify(df.select(row.alias("_row"), "text"), langs, table, "_row")
+    return got.where((F.col("lang_pred") != "und") & (F.col("score") >= least)).select("_row.*").select(*df.columns)
+
+
 def op2_bitmask_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     langs, table = build_filter(training_rows(docs))

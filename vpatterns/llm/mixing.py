@@ -92,11 +92,11 @@ def plan(df: DataFrame, id_col: str = "doc_id", weights=WEIGHTS, share: int = SH
 
 
 def mixed(df: DataFrame, **options) -> DataFrame:
-    """df with each row as often as the mix takes it; ids are expected to be unique here."""
-    chosen = plan(df, **options).where("copies > 0").select(F.col("doc_id").alias("_mix_id"), "copies")
+    """df with each row as often as the mix takes it; rows that share an id go by the most of them."""
     id_col = options.get("id_col", "doc_id")
+    chosen = plan(df, **options).groupBy(F.col("doc_id").alias("_mix_id")).agg(F.max("copies").alias("_mix_copies")).where("_mix_copies > 0")
     joined = df.join(chosen, df[id_col].eqNullSafe(chosen["_mix_id"]))
-    return joined.withColumn("_mix_round", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*df.columns)
+    return joined.withColumn("_mix_round", F.explode(F.sequence(F.lit(1), F.col("_mix_copies")))).select(*df.columns)
 
 
 def op1_fair_queue_mix(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -34,7 +34,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from vpatterns.llm.common import documents, scratch, shards, slices, written
+from vpatterns.llm.common import documents, scratch, shards, slices, tidy, written
 
 LENGTH, HALF, TRIGGER = 200, 100, 16
 #: A trigger comes once in so many bytes; denser ones fill the gaps between them.
@@ -329,16 +329,19 @@ def _second_asks(packs: DataFrame, answers: DataFrame, n_shards: int) -> DataFra
     return packs.select("pack", "start", "_text").groupBy("pack").cogroup(answers.groupBy("pack")).applyInArrow(step, _ASK)
 
 
-def spans_of(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, n_bytes, spans (start, end in bytes) that repeat, and the kept bytes of every row."""
+def spans_of(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", whole_characters: bool = False) -> DataFrame:
+    """id, n_bytes, spans (start, end in bytes) that repeat, and the kept bytes of every row.
+
+    With ``whole_characters`` a character that loses a byte is lost, so the rest is text.
+    """
     spark = df.sparkSession
     folder = scratch(spark)
     n_shards = shards(df)
     packs = written(packed(df, id_col, text_col), folder, "packs")
     first = written(_answers(_first_asks(packs, n_shards)), folder, "first")
-    spark._jvm.System.gc()  # lets Spark remove shuffle files of what is written
+    tidy(spark)
     second = written(_answers(_second_asks(packs, first, n_shards)), folder, "second")
-    spark._jvm.System.gc()
+    tidy(spark)
     kind = df.schema[id_col].dataType.simpleString()
 
     def step(key, docs, got):
@@ -362,6 +365,9 @@ def spans_of(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
                 spans.append([])
                 kept.append(text)
                 continue
+            if whole_characters:
+                char = np.cumsum((np.frombuffer(text, np.uint8) & 0xC0) != 0x80) - 1
+                mask = np.bincount(char, mask)[char] > 0
             turn = np.flatnonzero(np.diff(np.r_[False, mask, False].astype(np.int8)))
             spans.append([{"start": int(a), "end": int(b)} for a, b in turn.reshape(-1, 2)])
             kept.append(np.frombuffer(text, np.uint8)[~mask].tobytes())
@@ -372,6 +378,13 @@ def spans_of(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     return got.withColumnRenamed("_id", id_col)
 
 
+def cleaned(df: DataFrame, text_col: str = "text") -> DataFrame:
+    """df with its repeated passages cut out of the text; null texts become empty."""
+    row = F.struct(*[F.col(c) for c in df.columns if c != text_col])
+    got = spans_of(df.select(row.alias("_row"), text_col), "_row", text_col, whole_characters=True)
+    return got.select("_row.*", F.col("kept").cast("string").alias(text_col)).select(*df.columns)
+
+
 def op8_prefix_free_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
     got = spans_of(documents(spark, sf_dir))
     removed = F.aggregate("spans", F.lit(0).cast("long"), lambda a, s: a + s["end"] - s["start"])

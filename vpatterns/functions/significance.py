@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 
 def incomplete_beta(x: float, a: float, b: float) -> float:
@@ -58,12 +59,12 @@ def t_cdf(t: float, df: float) -> float:
     return 1 - tail if t > 0 else tail
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def binomial_tail_udf(support: pd.Series, n: pd.Series, p: pd.Series) -> pd.Series:
     return pd.Series([binomial_tail(int(s), int(m), float(q)) for s, m, q in zip(support, n, p)])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def t_cdf_udf(t: pd.Series, df: pd.Series) -> pd.Series:
     return pd.Series([None if pd.isna(a) else t_cdf(float(a), float(b)) for a, b in zip(t, df)])
 

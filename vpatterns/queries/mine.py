@@ -476,7 +476,7 @@ def merge_additive_planted(spark, sf_dir):
     return got.select(text("vars", lambda v: v.cast("string")).alias("pattern"), text("offsets", lambda o: F.round(o, 3).cast("string")).alias("offsets"), "support")
 
 
-@query("merge_order_planted", ORDER.replace("SELECT array_to_string(s, ',')", "SELECT array_to_string(s, ',')").replace("FROM every GROUP", "FROM every WHERE len(list_filter(s, lambda i: i < 13)) > 0 AND len(list_filter(s, lambda i: i >= 13)) > 0 GROUP"))
+@query("merge_order_planted", ORDER.replace("FROM every GROUP", "FROM every WHERE len(list_filter(s, lambda i: i < 13)) > 0 AND len(list_filter(s, lambda i: i >= 13)) > 0 GROUP"))
 def merge_order_planted(spark, sf_dir):
     values, least = planted(spark, sf_dir, 11, 14)
     sides = []

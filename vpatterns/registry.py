@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from vpatterns.queries import ORACLES, QUERIES, mine, prep, similar  # noqa: F401
+from vpatterns.queries import ORACLES, QUERIES, mine, prep, relational, similar, sql, streams  # noqa: F401
 
 
 def queries() -> dict:

@@ -131,6 +131,11 @@ def phrases(roll: Rolling, starts: np.ndarray, ends: np.ndarray, length: int = L
     return tuple(np.concatenate(x) for x in zip(*parts))
 
 
+def spread(pack: int, n_shards: int) -> int:
+    """A shard for what only passes through; a pack's number holds its partition above bit 24."""
+    return ((pack >> 24) * 31 + pack) % n_shards
+
+
 def _asks(pack: int, kind: int, keys: np.ndarray, offs: np.ndarray, n_shards: int):
     """Ask rows of one pack: each number once, with the place that carries its answer.
 
@@ -144,7 +149,7 @@ def _asks(pack: int, kind: int, keys: np.ndarray, offs: np.ndarray, n_shards: in
     if kind == SUFFIX:
         known = offs[(times[at] > 1) & (offs >= 0)]
         if len(known):
-            yield pack % n_shards, pack, kind, b"", b"", b"", np.sort(known).astype(np.int32).tobytes()
+            yield spread(pack, n_shards), pack, kind, b"", b"", b"", np.sort(known).astype(np.int32).tobytes()
         place[times > 1] = -1
     shard = (values >> np.uint64(8)) % np.uint64(n_shards)
     order = np.argsort(shard, kind="stable")
@@ -323,7 +328,7 @@ def _second_asks(packs: DataFrame, answers: DataFrame, n_shards: int) -> DataFra
             rows += _asks(pack, SUFFIX, np.concatenate(keys), np.concatenate(offs), n_shards)
             runs = np.stack([lo[settled], hi[settled]], 1).astype(np.int32)
             if len(runs):
-                rows.append((pack % n_shards, pack, RUN, b"", b"", b"", runs.tobytes()))
+                rows.append((spread(pack, n_shards), pack, RUN, b"", b"", b"", runs.tobytes()))
         return pa.Table.from_batches([_batch(rows)])
 
     return packs.select("pack", "start", "_text").groupBy("pack").cogroup(answers.groupBy("pack")).applyInArrow(step, _ASK)

@@ -102,7 +102,7 @@ q AS (SELECT n, m, round(100 * (1 - c / (n * m)), 6) AS missing FROM p), s AS (S
 t AS (SELECT unnest(range(0, n::BIGINT + 1)) AS k, n, pr FROM s),
 u AS (SELECT k, exp(lgamma(n + 1) - lgamma(k + 1.0) - lgamma(n - k + 1.0) + k * ln(pr) + (n - k) * ln(1 - pr)) AS d FROM t),
 v AS (SELECT k, sum(d) OVER (ORDER BY k DESC ROWS UNBOUNDED PRECEDING) AS tail FROM u)
-SELECT n::BIGINT AS n_obs, m::BIGINT AS n_vars, missing AS missing_pct, (SELECT min(k) FROM v WHERE tail <= 0.05)::BIGINT AS min_support FROM q"""
+SELECT n::BIGINT AS n_obs, m::BIGINT AS n_vars, missing AS missing_pct, coalesce((SELECT min(k) FROM v WHERE tail <= 0.05), n + 1)::BIGINT AS min_support FROM q"""
 
 
 for _key in WL.WORKLOADS:

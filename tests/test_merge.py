@@ -1,6 +1,7 @@
 """Merging against brute force on the worked example and on random matrices."""
 
 import random
+from itertools import combinations
 
 import pytest
 from pyspark.sql import functions as F
@@ -10,6 +11,7 @@ from vpatterns.operators import merge as M
 from vpatterns.operators import mining
 from vpatterns.operators import prepare as P
 from vpatterns.plans import pipeline as D
+from vpatterns.plans.wide import discover_wide
 from vpatterns.sources.workloads import Matrix
 
 ROWS = ["ABCE", "ABCEF", "ABDE", "ABCDEF", "CDF", "CD", "ABE", ""]
@@ -60,6 +62,26 @@ def test_random_matrices(spark, seed):
     assert named(found.patterns, "ABCDEFG") == closed(rows, 0.15)
 
 
+@pytest.mark.parametrize("strategy", D.STRATEGIES)
+def test_wide_worked_example(spark, strategy):
+    got = {("".join(r["items"]), r["support"]) for r in discover_wide(matrix(spark, ROWS), 0.25, 3, strategy).collect()}
+    assert got == {("C", 5), ("D", 4), ("CD", 3), ("CF", 3), ("ABE", 5), ("ABCE", 3)}
+
+
+def test_more_variables_than_a_mask_holds(spark):
+    rng = random.Random(9)
+    rows = ["".join(chr(200 + i) for i in range(70) if rng.random() < 0.12 or (n % 3 == 0 and i in (1, 30, 66))) for n in range(40)]
+    got = {("".join(r["items"]), r["support"]) for r in discover_wide(matrix(spark, rows), 0.1, 6, "random").collect()}
+    want = set()
+    for size in (1, 2, 3, 4):
+        for s in combinations([chr(200 + i) for i in range(70)] if size < 3 else sorted({c for p, _ in want for c in p}), size):
+            obs = [r for r in rows if set(s) <= set(r)]
+            if len(obs) / 40 > 0.1:
+                shared = set.intersection(*map(set, obs))
+                want.add(("".join(sorted(shared)), len(obs)))
+    assert got == want
+
+
 def test_strict_threshold():
     assert P.cutoff(0.25, 8) == 3
     assert P.cutoff(0.0, 8) == 1

@@ -11,6 +11,7 @@ from vpatterns.operators import merge as M
 from vpatterns.operators import prepare as P
 from vpatterns.plans import experiment as X
 from vpatterns.plans import pipeline as D
+from vpatterns.plans.wide import discover_wide
 from vpatterns.queries import query
 from vpatterns.queries import views as V
 from vpatterns.queries.similar import RANDOM, brand_cells
@@ -226,6 +227,21 @@ for _key, (_, _ms) in WL.WORKLOADS.items():
     query(f"{_key}_patterns", V.patterns(V.VIEWS[_key], 12, _ms))(_patterns(_key))
 
 
+WIDE = f"""WITH {V.W5}, c AS (SELECT item, count(*) AS s FROM it GROUP BY item HAVING count(*) / (SELECT n FROM n) > 0.055),
+p AS (SELECT a.item AS x, b.item AS y, count(*) AS s FROM it a JOIN it b ON a.obs = b.obs AND a.item < b.item GROUP BY 1, 2 HAVING count(*) / (SELECT n FROM n) > 0.055),
+t AS (SELECT p.x, p.y, c.item AS z, count(*) AS s FROM p JOIN it a ON a.item = p.x JOIN it b ON b.item = p.y AND a.obs = b.obs JOIN it c ON c.obs = a.obs AND c.item > p.y GROUP BY 1, 2, 3 HAVING count(*) / (SELECT n FROM n) > 0.055)
+SELECT item AS pattern, 1 AS n_vars, s::BIGINT AS support FROM c WHERE NOT EXISTS (SELECT 1 FROM p WHERE p.s = c.s AND item IN (x, y))
+UNION ALL SELECT x || ',' || y, 2, s::BIGINT FROM p WHERE NOT EXISTS (SELECT 1 FROM t WHERE t.s = p.s AND p.x IN (t.x, t.y, t.z) AND p.y IN (t.x, t.y, t.z))
+UNION ALL SELECT x || ',' || y || ',' || z, 3, s::BIGINT FROM t"""
+
+
+@query("wide_patterns", WIDE)
+def wide_patterns(spark, sf_dir):
+    """All 128 variables of the embedding bins at once: more than a mask holds."""
+    got = discover_wide(WL.embedding_bins(spark, sf_dir), 0.055)
+    return got.select(F.array_join("items", ",").alias("pattern"), F.size("items").alias("n_vars"), F.col("support").cast("long").alias("support"))
+
+
 # Measures of local patterns before the merge, by strategy; SQL knows the random one.
 def _measures(key):
     f, ms = WL.WORKLOADS[key]

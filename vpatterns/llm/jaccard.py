@@ -7,7 +7,8 @@
    one of the first n - ceil(0.75 n) + 1 shingles of each. Shingles of these prefixes
    that two documents share give candidates, kept only if lengths and positions allow
    the overlap that a link takes.
-3. A candidate pair is counted exactly: the global order is cut into fragments at fixed
+3. Parity bits, a few for each shingle, prove for most unlike pairs that too many shingles
+   differ. The rest is counted exactly: the global order is cut into fragments at fixed
    pivots, the parts of the two sets in each fragment are compared on their own, and the
    partial overlaps are summed for the pair.
 4. First each class is compared with the least and the greatest of its prefix groups.
@@ -23,6 +24,8 @@ columns are not read.
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -31,7 +34,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from vpatterns.llm.common import documents, scratch, written
+from vpatterns.llm.common import documents, forget, scratch, tidy, written
 from vpatterns.llm.components import components
 from vpatterns.llm.shingles import WordIds, mixed, shingle_set
 
@@ -41,8 +44,34 @@ CELLS, BLOCK, FRAGMENTS = 21, 1 << 14, 8
 #: Bits of the filter that spares most texts outside any candidate pair a shuffle.
 BITS = 1 << 23
 FAN_IN = 64
+#: Ratio of the ends of a range of sizes.
+RANGE = 1.15
+
+_SET = "kind int, doc_id long, n long, d1 long, d2 long, bits binary, block int, part int, counts binary"
+
+
+def parity(s: np.ndarray) -> bytes:
+    """Bit i: whether an odd number of shingles fall on place i of 4 to 8 places a shingle.
+
+    Two sets' bits differ in no more places than the sets have different shingles, and
+    bits of more places fold onto fewer, so sets of unlike sizes compare too.
+    """
+    places = 64
+    while places < 4 * len(s):
+        places *= 2
+    return np.packbits(np.bincount((s & np.uint64(places - 1)).astype(np.int64), minlength=places) & 1).tobytes()
 
-_SET = "kind int, doc_id long, n long, d1 long, d2 long, block int, part int, counts binary"
+
+def _folded(x: np.ndarray, size: int) -> np.ndarray:
+    while len(x) > size:
+        x = x[: len(x) // 2] ^ x[len(x) // 2 :]
+    return x
+
+
+def _differ(x: bytes, y: bytes) -> int:
+    a, b = np.frombuffer(x, np.uint8), np.frombuffer(y, np.uint8)
+    size = min(len(a), len(b))
+    return int(np.unpackbits(_folded(a, size) ^ _folded(b, size)).sum())
 
 
 def _sets(docs: DataFrame, width: int, cells: int) -> DataFrame:
@@ -53,13 +82,14 @@ def _sets(docs: DataFrame, width: int, cells: int) -> DataFrame:
         part = TaskContext.get().partitionId()
         empty = lambda k, n: pa.nulls(n, k)
         for batch in batches:
-            n, d1, d2 = [], [], []
+            n, d1, d2, bits = [], [], [], []
             pending, held = [], 0
             for at in range(0, batch.num_rows, 256):
                 for text in batch.column(1)[at : at + 256].to_pylist():
                     s = shingle_set(text, ids, width)
                     digest = xxhash.xxh3_128_digest(s.tobytes())
                     n.append(len(s))
+                    bits.append(parity(s))
                     d1.append(int.from_bytes(digest[:8], "little", signed=True))
                     d2.append(int.from_bytes(digest[8:], "little", signed=True))
                     pending.append(s)
@@ -71,14 +101,14 @@ def _sets(docs: DataFrame, width: int, cells: int) -> DataFrame:
                 total += np.bincount((np.concatenate(pending) >> np.uint64(64 - cells)).astype(np.int64), minlength=1 << cells).astype(np.int32)
             m = batch.num_rows
             yield pa.RecordBatch.from_arrays(
-                [pa.array(np.zeros(m, np.int32)), batch.column(0), pa.array(n, pa.int64()), pa.array(d1, pa.int64()), pa.array(d2, pa.int64()), empty(pa.int32(), m), empty(pa.int32(), m), empty(pa.binary(), m)],
-                names=["kind", "doc_id", "n", "d1", "d2", "block", "part", "counts"],
+                [pa.array(np.zeros(m, np.int32)), batch.column(0), pa.array(n, pa.int64()), pa.array(d1, pa.int64()), pa.array(d2, pa.int64()), pa.array(bits, pa.binary()), empty(pa.int32(), m), empty(pa.int32(), m), empty(pa.binary(), m)],
+                names=["kind", "doc_id", "n", "d1", "d2", "bits", "block", "part", "counts"],
             )
         blocks = [b.tobytes() for b in total.astype(np.int64).reshape(-1, BLOCK)] if total.any() else []
         m = len(blocks)
         yield pa.RecordBatch.from_arrays(
-            [pa.array(np.ones(m, np.int32)), *(empty(pa.int64(), m) for _ in range(4)), pa.array(np.arange(m, dtype=np.int32)), pa.array(np.full(m, part, np.int32)), pa.array(blocks, pa.binary())],
-            names=["kind", "doc_id", "n", "d1", "d2", "block", "part", "counts"],
+            [pa.array(np.ones(m, np.int32)), *(empty(pa.int64(), m) for _ in range(4)), empty(pa.binary(), m), pa.array(np.arange(m, dtype=np.int32)), pa.array(np.full(m, part, np.int32)), pa.array(blocks, pa.binary())],
+            names=["kind", "doc_id", "n", "d1", "d2", "bits", "block", "part", "counts"],
         )
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(step, _SET)
@@ -119,13 +149,16 @@ def _keys(s: np.ndarray, levels: np.ndarray, cells: int) -> np.ndarray:
     return levels[(s >> np.uint64(64 - cells)).astype(np.int64)].astype(np.uint64) << np.uint64(56) | s >> np.uint64(8)
 
 
-def _prefixes(docs: DataFrame, levels, width: int, percent: int, cells: int) -> DataFrame:
+def _prefixes(docs: DataFrame, levels, copies, width: int, percent: int, cells: int) -> DataFrame:
+    """token, doc_id, n, place, copy: each set's prefix; ``copy`` if it may not stand for its class."""
+
     def step(batches):
         ids, table = WordIds(), levels.value
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
-                token, node, size, place = [], [], [], []
-                for key, text in zip(batch.column(0)[at : at + 512].to_pylist(), batch.column(1)[at : at + 512].to_pylist()):
+                token, node, packed = [], [], []
+                maybe = _hit(copies.value, batch.column(2)[at : at + 512].to_numpy())
+                for key, text, c in zip(batch.column(0)[at : at + 512].to_pylist(), batch.column(1)[at : at + 512].to_pylist(), maybe):
                     s = shingle_set(text, ids, width)
                     n = len(s)
                     if not n or key is None:
@@ -134,12 +167,23 @@ def _prefixes(docs: DataFrame, levels, width: int, percent: int, cells: int) ->
                     order = np.argsort(_keys(s, table, cells), kind="stable")[:p]
                     token.append(s[order])
                     node.append(np.full(p, key, np.int64))
-                    size.append(np.full(p, n, np.int32))
-                    place.append(np.arange(p, dtype=np.int32))
+                    packed.append(n << 32 | np.arange(p, dtype=np.int64) << 1 | int(c))
                 if token:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in ([t.view(np.int64) for t in token], node, size, place)], names=["token", "doc_id", "n", "place"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in ([t.view(np.int64) for t in token], node, packed)], names=["token", "doc_id", "packed"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(step, "token long, doc_id long, n int, place int")
+    rows = docs.select(F.col("doc_id").cast("long"), "text").withColumn("h", F.pmod(F.xxhash64("doc_id"), F.lit(BITS)))
+    dealt = rows.mapInArrow(step, "token long, doc_id long, packed long").repartition("token")  # three numbers travel as one
+    return dealt.selectExpr("token", "doc_id", "cast(shiftright(packed, 32) as int) as n", "cast(shiftright(packed & 4294967295L, 1) as int) as place", "packed & 1L = 1 as copy")
+
+
+def _spans(percent: int) -> tuple:
+    """(early, least, most): whether a set may be the smaller of a pair that shares this
+    place, and the sizes of smaller sets that it may be the larger for."""
+    n, place = F.col("n"), F.col("place")
+    early = (n - place) * (100 + percent) >= 2 * percent * n
+    least = F.ceil(percent * n / 100.0 - 1e-9)
+    most = F.least(n, F.floor((100 + percent) * (n - place) / percent) - n)
+    return early, least, most
 
 
 def _allowed(percent: int) -> str:
@@ -148,65 +192,90 @@ def _allowed(percent: int) -> str:
     return f"100 * least(na, nb) >= {percent} * greatest(na, nb) and least(na - pa, nb - pb) >= {need}"
 
 
-def _fragments(texts: DataFrame, levels, cuts: np.ndarray, width: int, cells: int) -> DataFrame:
-    """node, fragment, shingles of each set."""
+def _fragments(rows: DataFrame, levels, cuts: np.ndarray, width: int, cells: int) -> DataFrame:
+    """a, b, na, nb, fragment, body: the text's shingles in each fragment, for each of its pairs."""
+    names = ["a", "b", "na", "nb", "fragment", "body"]
 
     def step(batches):
-        ids, table = WordIds(), levels.value
+        ids, table, last, parts = WordIds(), levels.value, object(), []
         for batch in batches:
             for at in range(0, batch.num_rows, 128):
-                node, size, number, body = [], [], [], []
-                for key, text in zip(batch.column(0)[at : at + 128].to_pylist(), batch.column(1)[at : at + 128].to_pylist()):
-                    s = shingle_set(text, ids, width)
-                    which = np.searchsorted(cuts, _keys(s, table, cells), "right")
-                    for f in np.unique(which):
-                        node.append(key)
-                        size.append(len(s))
-                        number.append(int(f))
-                        body.append(s[which == f].tobytes())
-                yield pa.RecordBatch.from_arrays([pa.array(node, pa.int64()), pa.array(size, pa.int32()), pa.array(number, pa.int32()), pa.array(body, pa.binary())], names=["node", "size", "fragment", "body"])
+                some = batch.slice(at, 128)
+                out = []
+                for key, text, *pair in zip(*(some.column(i).to_pylist() for i in range(6))):
+                    if key != last:  # a text's pairs follow one another
+                        s = shingle_set(text, ids, width)
+                        which = np.searchsorted(cuts, _keys(s, table, cells), "right")
+                        parts, last = [(int(f), s[which == f].tobytes()) for f in np.unique(which)], key
+                    out += [(*pair, f, body) for f, body in parts]
+                kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary()]
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*out)) or [()] * 6, kinds)], names=names)
 
-    return texts.select("doc_id", "text").mapInArrow(step, "node long, size int, fragment int, body binary")
+    return rows.select("doc_id", "text", "a", "b", "na", "nb").mapInArrow(step, "a long, b long, na int, nb int, fragment int, body binary")
 
 
-def _overlaps(rows: DataFrame) -> DataFrame:
-    """a, b, part: the overlap of two parts of one fragment."""
+def verified(fragments: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """The pairs that link: each fragment's overlap is counted on its own, and summed for the pair."""
 
     def step(batches):
         for batch in batches:
-            x, y = (batch.column(i) for i in (4, 5))
-            part = [len(np.intersect1d(np.frombuffer(p.as_buffer(), np.uint64), np.frombuffer(q.as_buffer(), np.uint64), assume_unique=True)) for p, q in zip(x, y)]
+            part = [len(np.intersect1d(*(np.frombuffer(x, np.uint64) for x in two), assume_unique=True)) for two in batch.column(4).to_pylist()]
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(4)), pa.array(part, pa.int32())], names=["a", "b", "na", "nb", "part"])
 
-    return rows.select("a", "b", "na", "nb", "x", "y").mapInArrow(step, "a long, b long, na int, nb int, part int")
+    met = fragments.repartition("a", "b").groupBy("a", "b", "na", "nb", "fragment").agg(F.collect_list("body").alias("two")).where("size(two) = 2")
+    overlaps = met.select("a", "b", "na", "nb", "two").mapInArrow(step, "a long, b long, na int, nb int, part int")
+    summed = overlaps.groupBy("a", "b", "na", "nb").agg(F.sum("part").alias("common"))
+    return summed.where(f"{100 + percent} * common >= {percent} * (na + nb)").select("a", "b")
 
 
-def verified(pairs: DataFrame, fragments: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """The pairs a, b (with sizes na, nb) that link: partial overlaps summed for each."""
-    left = fragments.select(F.col("node").alias("a"), "fragment", F.col("body").alias("x"))
-    right = fragments.select(F.col("node").alias("b"), "fragment", F.col("body").alias("y"))
-    both = pairs.join(left, "a").join(right, ["b", "fragment"])
-    summed = _overlaps(both).groupBy("a", "b", "na", "nb").agg(F.sum("part").alias("common"))
-    return summed.where(f"{100 + percent} * common >= {percent} * (na + nb)").select("a", "b")
+def _hopeful(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Pairs whose parity bits do not prove that too many shingles differ."""
+    shared = _id_filter(_ends(pairs))
 
+    def needed(batches):
+        for batch in batches:
+            yield batch.filter(pa.array(_hit(shared.value, batch.column(2).to_numpy()))).select(["doc_id", "bits"])
 
-def _texts_of(nodes: DataFrame, docs: DataFrame) -> DataFrame:
-    """doc_id, text of the named nodes; a filter of fixed size goes before the shuffle."""
-    spark = docs.sparkSession
-    bits = nodes.select((F.xxhash64("doc_id") % BITS + BITS).alias("h")).select((F.col("h") % BITS).alias("h"))
-    words = bits.groupBy(F.expr("cast(h div 64 as int)").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(h % 64 as int))")).alias("m")).toArrow()
+    def step(batches):
+        for batch in batches:
+            columns = [batch.column(i).to_pylist() for i in range(6)]
+            most = [na + nb - 2 * -(-percent * (na + nb) // (100 + percent)) for na, nb in zip(columns[2], columns[3])]
+            keep = [_differ(x, y) <= m for x, y, m in zip(columns[4], columns[5], most)]
+            yield batch.filter(pa.array(keep, pa.bool_())).select(["a", "b", "na", "nb"])
+
+    rows = sets.where("kind = 0 and doc_id is not null").select("doc_id", "bits").withColumn("h", F.pmod(F.xxhash64("doc_id"), F.lit(BITS)))
+    bits = rows.mapInArrow(needed, "doc_id long, bits binary")
+    both = pairs.join(bits.select(F.col("doc_id").alias("a"), F.col("bits").alias("x")), "a").join(bits.select(F.col("doc_id").alias("b"), F.col("bits").alias("y")), "b")
+    return both.select("a", "b", "na", "nb", "x", "y").mapInArrow(step, "a long, b long, na int, nb int").distinct()
+
+
+def _ends(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+
+
+def _id_filter(ids: DataFrame):
+    """A filter of fixed size over doc_id; when it is full it lets everything through."""
+    place = F.pmod(F.xxhash64("doc_id"), F.lit(BITS))
+    words = ids.select(place.alias("h")).groupBy(F.expr("cast(h div 64 as int)").alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(h % 64 as int))")).alias("m")).toArrow()
     table = np.zeros(BITS // 64, np.int64)
     table[words.column("w").to_numpy()] = words.column("m").to_numpy()
-    shared = spark.sparkContext.broadcast(table)
+    return ids.sparkSession.sparkContext.broadcast(table)
+
+
+def _hit(table: np.ndarray, h: np.ndarray) -> np.ndarray:
+    return (table[h >> 6] >> (h & 63) & 1).astype(bool)
+
+
+def _texts_of(nodes: DataFrame, docs: DataFrame) -> DataFrame:
+    """doc_id, text of the named nodes; a filter of fixed size goes before the shuffle."""
+    shared = _id_filter(nodes)
 
     def step(batches):
         for batch in batches:
-            h = batch.column(2).to_numpy() % BITS
-            keep = shared.value[h >> 6] >> (h & 63) & 1
-            yield batch.filter(pa.array(keep.astype(bool))).select(["doc_id", "text"])
+            yield batch.filter(pa.array(_hit(shared.value, batch.column(2).to_numpy()))).select(["doc_id", "text"])
 
     rows = docs.select(F.col("doc_id").cast("long"), "text").where("doc_id is not null")
-    rows = rows.withColumn("h", (F.xxhash64("doc_id") % BITS + BITS) % BITS).mapInArrow(step, "doc_id long, text string")
+    rows = rows.withColumn("h", F.pmod(F.xxhash64("doc_id"), F.lit(BITS))).mapInArrow(step, "doc_id long, text string")
     return rows.join(nodes, "doc_id", "left_semi")
 
 
@@ -214,7 +283,6 @@ def classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH, cells:
     """doc_id, n_shingles, component_id of every row of docs (columns doc_id, text)."""
     spark = docs.sparkSession
     folder = scratch(spark)
-    tidy = lambda: spark._jvm.System.gc()  # noqa: E731  lets Spark remove shuffle files of what is written
     sets = written(_sets(docs, width, cells), folder, "sets")
     parts = max(1, docs.rdd.getNumPartitions())
     counts = _added(sets.where("kind = 1").select("block", "part", "counts"), parts)
@@ -228,37 +296,60 @@ def classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH, cells:
     member = own.join(of_set, ["d1", "d2"]).select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("node")).alias("node"), "d1", "d2")
     member = written(member, folder, "members")
 
-    # Prefix shingles of two rows at least, then by class: copies of one set are one.
-    rows = _prefixes(docs, levels, width, percent, cells).withColumn("c", F.count(F.lit(1)).over(W.partitionBy("token"))).where("c > 1").drop("c")
-    rows = written(rows, folder, "prefixes")
-    tidy()
-    to_node = member.where("node is not null").groupBy("doc_id").agg(F.min("node").alias("node"))
-    hits = rows.join(to_node, "doc_id").where("doc_id = node").groupBy("token", "node").agg(F.min("n").alias("n"), F.min("place").alias("place"))
+    # Prefix shingles that a smaller and a larger set may share, copies of one set taken as one.
+    early, least, most = _spans(percent)
     own_token = W.partitionBy("token")
+    smaller = F.when(early, F.col("n"))
+    to_node = member.where("node is not null").groupBy("doc_id").agg(F.min("node").alias("node"))
+    copies = _id_filter(to_node.where("doc_id <> node"))
+    rows = _prefixes(docs, levels, copies, width, percent, cells)
+    rows = rows.withColumns({"c": F.count(F.lit(1)).over(own_token), "lo": F.min(smaller).over(own_token), "hi": F.max(smaller).over(own_token)})
+    rows = written(rows.where(F.col("c") > 1).where(early | ((least <= F.col("hi")) & (most >= F.col("lo")))).drop("c", "lo", "hi"), folder, "prefixes")
+    tidy(spark)
+    stands = rows.where("copy").join(to_node.where("doc_id = node").select("doc_id"), "doc_id", "left_semi")
+    hits = rows.where("not copy").unionByName(stands.select(*rows.columns)).repartition("token")
+    hits = hits.groupBy("token", F.col("doc_id").alias("node")).agg(F.min("n").alias("n"), F.min("place").alias("place"))
     at = F.struct("node", "n", "place")
     hits = hits.withColumns({"c": F.count(F.lit(1)).over(own_token), "low": F.min(at).over(own_token), "high": F.max(at).over(own_token)}).where("c > 1")
     hits = written(hits, folder, "hits")
+    forget(spark, folder, "prefixes")
+    tidy(spark)
 
     # Stars: everyone against the least and the greatest of its groups.
     star = lambda end: hits.where(f"node <> {end}.node").select(F.least("node", f"{end}.node").alias("a"), F.greatest("node", f"{end}.node").alias("b"), F.expr(f"if(node < {end}.node, n, {end}.n)").alias("na"), F.expr(f"if(node < {end}.node, {end}.n, n)").alias("nb"), F.expr(f"if(node < {end}.node, place, {end}.place)").alias("pa"), F.expr(f"if(node < {end}.node, {end}.place, place)").alias("pb"))
-    stars = star("low").unionByName(star("high")).where(_allowed(percent)).select("a", "b", "na", "nb").distinct()
-    parts_of = written(_fragments(_texts_of(hits.select(F.col("node").alias("doc_id")).distinct(), docs).dropDuplicates(["doc_id"]), levels, cuts, width, cells), folder, "fragments")
-    first = written(verified(stars, parts_of, percent), folder, "links1")
-    tidy()
+    stars = written(star("low").unionByName(star("high")).where(_allowed(percent)).select("a", "b", "na", "nb").distinct(), folder, "stars")
+
+    def linked(pairs: DataFrame, name: str) -> DataFrame:
+        near = written(_hopeful(pairs, sets, percent), folder, f"{name}_near")
+        texts = _texts_of(_ends(near), docs).dropDuplicates(["doc_id"])
+        of_text = near.select("*", F.explode(F.array("a", "b")).alias("doc_id"))
+        found = written(verified(_fragments(texts.join(of_text, "doc_id"), levels, cuts, width, cells), percent), folder, name)
+        tidy(spark)
+        return found
+
+    first = linked(stars, "links1")
 
-    # What is left: members of one group in different components.
+    # What is left: members of one group in different components. The larger of two sets
+    # looks for the smaller among those that have the shingle early enough, by ranges of the
+    # sizes that its own place still allows; what has no such partner goes before that.
     found = components(first, folder, "c1")
     known = hits.select("token", "node", "n", "place").join(found, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    known = known.withColumns({"one": F.min("component").over(own_token), "other": F.max("component").over(own_token)}).where("one < other").drop("one", "other")
-    known = written(known, folder, "known")
-    groups = known.select("token", F.col("component").alias("cb")).distinct()
-    x = known.select("token", F.col("node").alias("u"), F.col("n").alias("na"), F.col("place").alias("pa"), F.col("component").alias("ca"))
-    y = known.select("token", F.col("node").alias("v"), F.col("n").alias("nb"), F.col("place").alias("pb"), F.col("component").alias("cb"))
-    rest = x.join(groups, "token").where("ca < cb").join(y, ["token", "cb"]).where(_allowed(percent))
+    component = F.when(early, F.col("component"))
+    known = known.withColumns({"lo": F.min(smaller).over(own_token), "hi": F.max(smaller).over(own_token), "one": F.min(component).over(own_token), "other": F.max(component).over(own_token), "c1": F.min("component").over(own_token), "c2": F.max("component").over(own_token)})
+    larger = (least <= F.col("hi")) & (most >= F.col("lo")) & ((F.col("one") != F.col("component")) | (F.col("other") != F.col("component")))
+    known = known.where("c1 < c2").where(early | larger).withColumns({"larger": larger, "early": early})
+    known = written(known.drop("lo", "hi", "one", "other", "c1", "c2"), folder, "known")
+    range_of = lambda n: F.floor(F.log(n.cast("double")) / math.log(RANGE))
+    x = known.where("larger").withColumn("size", F.explode(F.sequence(range_of(least), range_of(most))))
+    x = x.select("token", "size", F.col("node").alias("u"), F.col("n").alias("na"), F.col("place").alias("pa"), F.col("component").alias("ca"))
+    y = known.where("early").select("token", range_of(F.col("n")).alias("size"), F.col("node").alias("v"), F.col("n").alias("nb"), F.col("place").alias("pb"), F.col("component").alias("cb"))
+    groups = y.groupBy("token", "size", "cb").agg(F.min("nb").alias("least"))
+    near = x.join(groups, ["token", "size"]).where("ca <> cb and na >= least")
+    rest = near.join(y, ["token", "size", "cb"]).where(_allowed(percent) + " and (na > nb or (na = nb and u > v))")
     flip = "u > v"
     rest = rest.select(F.least("u", "v").alias("a"), F.greatest("u", "v").alias("b"), F.expr(f"if({flip}, nb, na)").alias("na"), F.expr(f"if({flip}, na, nb)").alias("nb")).distinct()
     rest = rest.join(stars.select("a", "b"), ["a", "b"], "left_anti")
-    second = written(verified(rest, parts_of, percent), folder, "links2")
+    second = linked(written(rest, folder, "rest"), "links2")
     links = first.unionByName(second)
     final = components(links, folder, "c2")
     out = member.join(final, "node", "left")

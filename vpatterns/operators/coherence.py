@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from vpatterns.operators.mining import containing
 from vpatterns.operators.prepare import cut
 
 B = "bicluster_id"
@@ -82,8 +83,8 @@ def bicluster_maximal(patterns: DataFrame, sig: DataFrame, n_vars: int) -> DataF
 
     Rows cannot be added to a pattern that takes all rows that hold it.
     """
-    hit = sig.join(F.broadcast(patterns.select(F.col("mask").alias("p"))), F.expr("(mask & p) = p"))
-    common = hit.groupBy("p").agg(F.sum("w").alias("support"), F.bit_and("mask").alias("shared"))
+    asked = cut(patterns.select("mask").distinct())
+    common = containing(asked, sig, n=asked.count()).groupBy(F.col("_mask").alias("p")).agg(F.sum("w").alias("support"), F.bit_and("mask").alias("shared"))
     return common.select(F.col("p").alias("mask"), "support", F.expr("shared = p").alias("maximal"))
 
 
@@ -182,11 +183,14 @@ def merge_offset(left: DataFrame, right: DataFrame, least: int) -> DataFrame:
 
 
 def offset_rows(values: DataFrame, patterns: DataFrame) -> DataFrame:
-    """obs, vars, offsets, base of every row that holds one of the patterns; single variables hold all."""
+    """obs, vars, offsets, base of every row that holds one of the additive patterns; single variables hold all."""
     x = values.groupBy("obs").agg(F.map_from_entries(F.collect_list(F.struct("var", "value"))).alias("m"))
     base = F.col("m")[F.col("vars")[0]]
     holds = F.forall(F.arrays_zip("vars", "offsets"), lambda t: F.coalesce(F.abs(F.col("m")[t["vars"]] - base - t["offsets"]) < 1e-6, F.lit(False)))
-    found = x.join(F.broadcast(patterns.select("vars", "offsets")), holds).select("obs", "vars", "offsets", base.cast("double").alias("base"))
+    # every pattern has a pivot and a first difference: rows meet it on these, then on the rest
+    first = patterns.select("vars", "offsets", F.col("vars")[0].alias("pivot"), F.col("vars")[1].alias("var"), F.col("offsets")[1].alias("d"))
+    met = pivot_differences(values).join(first, ["pivot", "var", "d"]).select("obs", "vars", "offsets")
+    found = met.join(x, "obs").where(holds).select("obs", "vars", "offsets", base.cast("double").alias("base"))
     single = values.select("obs", F.array("var").alias("vars"), F.array(F.lit(0.0)).alias("offsets"), F.col("value").cast("double").alias("base"))
     return found.unionByName(single)
 
@@ -198,10 +202,16 @@ def merge_order(left: DataFrame, right: DataFrame, values: DataFrame, least: int
     """
     x = values.groupBy("obs").agg(F.map_from_entries(F.collect_list(F.struct("var", "value"))).alias("m"))
 
+    y = values.select("obs", F.col("var").alias("b"), F.col("value").alias("vb"))
+    rising = values.select("obs", F.col("var").alias("a"), F.col("value").alias("va")).join(y, "obs").where("va < vb").select("obs", "a", "b")
+
     def rows(p: DataFrame, name: str) -> DataFrame:
+        # longer patterns meet the rows on their first two variables, then on the rest
         pairs = F.forall(F.sequence(F.lit(1), F.size("seq") - 1), lambda i: F.coalesce(F.col("m")[F.col("seq")[i - 1]] < F.col("m")[F.col("seq")[i]], F.lit(False)))
-        held = x.join(F.broadcast(p.where(F.size("seq") > 1).select("seq")), pairs).select("obs", "seq")
-        one = x.join(F.broadcast(p.where(F.size("seq") == 1).select("seq")), F.expr("map_contains_key(m, seq[0])")).select("obs", "seq")
+        long = p.where(F.size("seq") > 1).select("seq", F.col("seq")[0].alias("a"), F.col("seq")[1].alias("b"))
+        held = rising.join(long, ["a", "b"]).join(x, "obs").where(pairs).select("obs", "seq")
+        short = p.where(F.size("seq") == 1).select("seq", F.col("seq")[0].alias("var"))
+        one = values.select("obs", "var").join(short, "var").select("obs", "seq")
         return held.unionByName(one).withColumnRenamed("seq", name)
 
     both = rows(left, "s1").join(rows(right, "s2"), "obs").join(x, "obs")

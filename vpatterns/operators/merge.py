@@ -11,7 +11,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vpatterns.operators.mining import support
+from vpatterns.operators.mining import containing, support
 from vpatterns.operators.prepare import cut
 
 
@@ -23,8 +23,8 @@ def closed_pairwise(patterns: DataFrame) -> DataFrame:
 
 def with_cover(patterns: DataFrame, sig: DataFrame) -> DataFrame:
     """mask, support and a 128-bit number of the set of signatures that hold each mask."""
-    hit = sig.join(F.broadcast(patterns.select(F.col("mask").alias("p")).distinct()), F.expr("(mask & p) = p"))
-    ids = hit.groupBy("p").agg(F.sum("w").alias("support"), F.bit_xor(F.xxhash64("mask")).alias("h1"), F.bit_xor(F.xxhash64("mask", F.lit(1))).alias("h2"))
+    asked = cut(patterns.select("mask").distinct())
+    ids = containing(asked, sig, n=asked.count()).groupBy(F.col("_mask").alias("p")).agg(F.sum("w").alias("support"), F.bit_xor(F.xxhash64("mask")).alias("h1"), F.bit_xor(F.xxhash64("mask", F.lit(1))).alias("h2"))
     return ids.withColumnRenamed("p", "mask")
 
 

@@ -17,18 +17,26 @@ def _lowest(mask: str):
     return F.expr(f"{mask} & -{mask}")
 
 
-def support(candidates: DataFrame, sig: DataFrame, keys: tuple[str, ...] = (), n: int | None = None) -> DataFrame:
-    """keys, mask, support: summed weights of the signatures that hold each mask."""
+def containing(candidates: DataFrame, sig: DataFrame, keys: tuple[str, ...] = (), n: int | None = None) -> DataFrame:
+    """Signatures (mask, w) beside each mask (_mask, with _keys) that they hold.
+
+    ``n`` is the counted number of candidates: up to BROADCAST_CANDIDATES they are sent to
+    all tasks; more, or an unknown number, meet the signatures on their lowest variable.
+    """
     c = candidates.select(*[F.col(k).alias(f"_{k}") for k in keys], F.col("mask").alias("_mask"))
     hit = F.expr("(mask & _mask) = _mask")
     for k in keys:
         hit = hit & (F.col(k) == F.col(f"_{k}"))
     if n is not None and n <= BROADCAST_CANDIDATES:
-        met = sig.join(F.broadcast(c), hit)
-    else:
-        places = F.filter(F.sequence(F.lit(0), F.lit(MASK_BITS - 1)), lambda i: F.getbit("mask", i) == 1)
-        spread = sig.withColumn("_low", F.explode(F.transform(places, lambda i: F.call_function("shiftleft", F.lit(1).cast("long"), i))))
-        met = spread.join(c.withColumn("_low", _lowest("_mask")), "_low").where(hit)
+        return sig.join(F.broadcast(c), hit)
+    places = F.filter(F.sequence(F.lit(0), F.lit(MASK_BITS - 1)), lambda i: F.getbit("mask", i) == 1)
+    spread = sig.withColumn("_low", F.explode(F.transform(places, lambda i: F.call_function("shiftleft", F.lit(1).cast("long"), i))))
+    return spread.join(c.withColumn("_low", _lowest("_mask")), "_low").where(hit)
+
+
+def support(candidates: DataFrame, sig: DataFrame, keys: tuple[str, ...] = (), n: int | None = None) -> DataFrame:
+    """keys, mask, support: summed weights of the signatures that hold each mask."""
+    met = containing(candidates, sig, keys, n)
     return met.groupBy(*[f"_{k}" for k in keys], "_mask").agg(F.sum("w").alias("support")).select(*[F.col(f"_{k}").alias(k) for k in keys], F.col("_mask").alias("mask"), "support")
 
 

@@ -133,8 +133,11 @@ def cutoff(min_sup: float, n_obs: int) -> int:
 
 
 def cover(patterns: DataFrame, rows: DataFrame) -> DataFrame:
-    """pattern mask and obs of every observation that has it; patterns are the small side."""
-    return rows.alias("r").join(F.broadcast(patterns.select(F.col("mask").alias("p"))), F.expr("(r.mask & p) = p")).select("p", "r.obs")
+    """p, obs: the observations of each pattern; rows meet it on its lowest variable, then on all."""
+    places = F.filter(F.sequence(F.lit(0), F.lit(MASK_BITS - 1)), lambda i: F.getbit("mask", i) == 1)
+    spread = rows.select("obs", "mask", F.explode(places).alias("low"))
+    asked = patterns.select(F.col("mask").alias("p"), F.expr("cast(log2(mask & -mask) as int)").alias("low"))
+    return spread.join(asked, "low").where("(mask & p) = p").select("p", "obs")
 
 
 def row_masks(cells: DataFrame, variables: DataFrame) -> DataFrame:

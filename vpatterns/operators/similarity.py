@@ -105,7 +105,7 @@ def pattern_similarity(joint: DataFrame, single: DataFrame, n_obs: int, missing:
     else:
         first = single.select(F.col("v").alias("a"), F.col("l").alias("la"), F.col("c").alias("ca"))
         second = single.select(F.col("v").alias("b"), F.col("l").alias("lb"), F.col("c").alias("cb"))
-        rows = joint.join(F.broadcast(first), ["a", "la"]).join(F.broadcast(second), ["b", "lb"]).withColumn("n", F.lit(n_obs))
+        rows = joint.join(first, ["a", "la"]).join(second, ["b", "lb"]).withColumn("n", F.lit(n_obs))
     p = F.col("c") / F.col("n")
     scored = rows.groupBy("a", "b").agg(F.avg(F.col("c") / F.greatest("ca", "cb")).alias("purity"), F.sum(p * F.log(p)).alias("e"), F.max("n").alias("n"))
     scored = scored.withColumn("concentration", F.when(F.col("n") > 1, 1 + F.col("e") / F.log(F.col("n").cast("double"))).otherwise(0.0))

@@ -39,7 +39,7 @@ def test_policies_differ_on_missing_cells(spark):
     c = cells(spark, "11  11  ", "111   11")
     got = {m: scores(c, 8, m)[0, 1]["sim"] for m in S.POLICIES}
     assert got["pairwise"] == pytest.approx(1)
-    assert got["skip"] == pytest.approx(4 / 5 * (1 + 0.5 * math.log(0.5) / math.log(8)))
+    assert got["skip"] == pytest.approx(2 / 5 * (1 + 0.25 * math.log(0.25) / math.log(8)))
     assert 0 <= got["level"] <= 1 and got["level"] != got["skip"]
 
 

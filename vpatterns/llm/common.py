@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 #: Fixed rule of every contract: a word is a run of bytes other than these.
 WORD = r"[^\x20\x09-\x0D]+"
 #: Bytes of text that one numpy step works on at most, unless one text is longer.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 20
 
 ASCII_LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 

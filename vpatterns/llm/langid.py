@@ -55,7 +55,7 @@ def places(grams: np.ndarray, number: int, positions: int) -> np.ndarray:
     return ((x ^ (x >> np.uint64(31))) & np.uint64(positions - 1)).astype(np.int64)
 
 
-def text_runs(texts: list, limit: int = 2_000_000):
+def text_runs(texts: list, limit: int = 500_000):
     """Runs of texts with about ``limit`` characters each."""
     start = size = 0
     for i, t in enumerate(texts):

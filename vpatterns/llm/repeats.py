@@ -39,7 +39,7 @@ from vpatterns.llm.common import documents, scratch, shards, slices, tidy, writt
 LENGTH, HALF, TRIGGER = 200, 100, 16
 #: A trigger comes once in so many bytes; denser ones fill the gaps between them.
 SPARSE, DENSE = 48, 16
-PACK = 16 << 20
+PACK = 8 << 20
 _B = 0xD6E8FEB86659FD93
 _ASK = "shard int, pack long, kind int, keys binary, offs binary, counts binary, known binary"
 #: Kinds of questions and answers: a trigger's right side, its whole stretch, one suffix,
@@ -362,7 +362,7 @@ def spans_of(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", whol
             runs = sets[RUN][0].reshape(-1, 2)
             np.add.at(edge, runs[:, 0], 1)
             np.subtract.at(edge, runs[:, 1] + LENGTH, 1)
-        hit = np.cumsum(edge[:-1]) > 0
+        hit = np.cumsum(edge[:-1], dtype=np.int32) > 0
         spans, kept = [], []
         for text, at in zip(texts, places):
             mask = hit[at : at + len(text)]

@@ -249,7 +249,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, least: int = L
     picks = [marks.where(cond).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample) for cond in ("toxic = 1", "toxic <> 1")]
     chosen = picks[0].unionByName(picks[1])
     rates = {bool(r["t"]): r["n"] for r in marks.groupBy((F.col("toxic") == 1).alias("t")).count().withColumnRenamed("count", "n").collect()}
-    empty = {"alphabet": alphabet, "logs": logs, "weights": {}, "beta": np.zeros(6 + 0)}
+    empty = {"alphabet": alphabet, "logs": logs, "weights": {}, "beta": np.zeros(6)}
     bias = np.zeros(6)
     n_toxic, n_clean = rates.get(True, 0), rates.get(False, 0)
     if not (n_toxic and n_clean):

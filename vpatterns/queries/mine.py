@@ -14,7 +14,7 @@ from vpatterns.plans import pipeline as D
 from vpatterns.plans.wide import discover_wide
 from vpatterns.queries import query
 from vpatterns.queries import views as V
-from vpatterns.queries.similar import RANDOM, brand_cells
+from vpatterns.queries.similar import JOINT, RANDOM, SCORE
 from vpatterns.sources import workloads as WL
 
 K, MS = 12, 0.001
@@ -242,7 +242,26 @@ def wide_patterns(spark, sf_dir):
     return got.select(F.array_join("items", ",").alias("pattern"), F.size("items").alias("n_vars"), F.col("support").cast("long").alias("support"))
 
 
-# Measures of local patterns before the merge, by strategy; SQL knows the random one.
+# Measures of local patterns before the merge, by strategy.
+def measures_sql(view: str, min_sup: float) -> str:
+    """Groups of all three strategies by recursion, local and global closed patterns by enumeration."""
+    return f"""WITH RECURSIVE {view}, {V.top(8)}, cells AS (SELECT obs, v, 1 AS l FROM it JOIN vars USING (item)), {JOINT}, {SCORE}, {RANDOM},
+sim AS (SELECT x.v::INT AS a, y.v::INT AS b, coalesce(purity * concentration, 0) AS s FROM vars x JOIN vars y ON x.v < y.v LEFT JOIN r ON r.a = x.v AND r.b = y.v),
+st AS (SELECT 0 AS step, sign, list_transform(range(0, 8), lambda x: x::INT) AS c FROM (SELECT unnest([1, -1]) AS sign)
+UNION ALL SELECT step + 1, sign, list_transform(c, lambda x: CASE WHEN x = v THEN u ELSE x END) FROM (
+  SELECT step, sign, c, u, v FROM (
+    SELECT step, sign, c, u, v, row_number() OVER (PARTITION BY sign ORDER BY sign * round(s, 9) DESC, u, v) AS k FROM (
+      SELECT step, sign, c, least(c[a + 1], c[b + 1]) AS u, greatest(c[a + 1], c[b + 1]) AS v, avg(s) AS s FROM st, sim WHERE c[a + 1] <> c[b + 1] GROUP BY ALL)
+    WHERE len(list_filter(c, lambda x: x = u OR x = v)) <= 4) WHERE k = 1)),
+fin AS (SELECT sign, c FROM (SELECT *, row_number() OVER (PARTITION BY sign ORDER BY step DESC) AS k FROM st) WHERE k = 1),
+home AS (SELECT CASE WHEN sign = 1 THEN 'similar' ELSE 'dissimilar' END AS strategy, i AS v, c[i + 1] AS c FROM fin, (SELECT unnest(range(0, 8)) AS i) UNION ALL SELECT 'random', v, c FROM rc),
+own AS (SELECT strategy, c, sum(1::BIGINT << v::INT)::BIGINT AS own FROM home GROUP BY 1, 2), {V.frequent(8, min_sup)}, {V.CLOSED},
+f AS (SELECT strategy, c, mask, support FROM freq JOIN own ON (mask & own) = mask),
+loc AS (SELECT strategy, avg(support) AS s, avg(bit_count(mask)) AS l, count(*) AS n FROM f x WHERE NOT EXISTS (SELECT 1 FROM f y WHERE y.strategy = x.strategy AND y.c = x.c AND y.support = x.support AND x.mask <> y.mask AND (x.mask & y.mask) = x.mask) GROUP BY 1)
+SELECT 8 AS n_vars, 0 AS run, strategy, metric, round(CASE metric WHEN 'mean_support' THEN s WHEN 'mean_length' THEN l WHEN 'local_patterns' THEN n WHEN 'patterns' THEN (SELECT count(*) FROM closed) ELSE 255 END::DOUBLE, 6) AS value
+FROM loc, (SELECT unnest(['mean_support', 'mean_length', 'local_patterns', 'patterns', 'bound']) AS metric)"""
+
+
 def _measures(key):
     f, ms = WL.WORKLOADS[key]
 
@@ -253,15 +272,15 @@ def _measures(key):
         for strategy in D.STRATEGIES:
             found = D.discover(m, P.top_variables(m.cells, 8), ms, strategy=strategy)
             local_ = found.local.agg(F.avg("support").alias("s"), F.avg(F.bit_count("mask")).alias("v"), F.count(F.lit(1)).alias("n")).first()
-            rows += [(8, 0, strategy, k, float(v)) for k, v in (("mean_support", local_["s"]), ("mean_length", local_["v"]), ("local_patterns", local_["n"]), ("patterns", found.patterns.count()), ("bound", 255), ("compared", found.measures["compared"]))]
+            rows += [(8, 0, strategy, k, round(float(v), 6)) for k, v in (("mean_support", local_["s"]), ("mean_length", local_["v"]), ("local_patterns", local_["n"]), ("patterns", found.patterns.count()), ("bound", 255))]
         m.cells.unpersist()
         return spark.createDataFrame(rows, "n_vars int, run int, strategy string, metric string, value double")
 
     return run
 
 
-for _key in WL.WORKLOADS:
-    query(f"{_key}_measures")(_measures(_key))
+for _key, (_, _ms) in WL.WORKLOADS.items():
+    query(f"{_key}_measures", measures_sql(V.VIEWS[_key], _ms))(_measures(_key))
 
 LOCAL_8 = f"""WITH {V.BRANDS}, {V.top(8)}, {RANDOM}, own AS (SELECT c, sum(1::BIGINT << v::INT)::BIGINT AS own FROM rc GROUP BY c), {V.frequent(8, MS)},
 f AS (SELECT c, mask, support FROM freq JOIN own ON (mask & own) = mask),

@@ -76,6 +76,19 @@ def test_restoring():
     assert "idiot" in toxicity.tokens("what an i d i o t")
 
 
+def test_letters_set_apart(make):
+    texts = ["you are an idiot and a moron", "i say that you are a stupid moron and not an idiot", "such a clown you are i say", "do not run to the sad old man and the dog"] * 60
+    docs = make(texts)
+    units = toxicity.Units(toxicity.Restorer(*toxicity.character_model(docs), toxicity.word_model(docs)))
+    for text, want in (
+        ("a m o r o n", "a moron"), ("what a s t u p i d man", "a stupid"), ("i d i o t i say", "idiot i"), ("y o u a r e a n i d i o t", "you are an idiot"),
+        ("the s a d man", "sad"), ("a m.o.r.o.n", "moron"), ("a 1 d 1 o t", "a idiot"), ("y o u  a r e  a  m o r o n", "you are a moron"), ("y o u a r e a s t u p i d m o r o n a n d a n i d i o t", "you are a stupid moron and an idiot"),
+    ):
+        assert set(want.split()) <= set(units.tokens(text)), (text, units.tokens(text))
+    # a word that has no price of its own is spelled
+    assert "clowns" in units.tokens("you c l o w n s")
+
+
 def test_toxicity(make, spark):
     rng = random.Random(3)
     words = ["".join(rng.choice("abcdeilnorst") for _ in range(5)) for _ in range(200)]

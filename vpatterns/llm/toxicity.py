@@ -4,7 +4,9 @@ Suspicious tokens (symbols or digits among letters, a letter three times in a ro
 single letters set apart) become lattices: every character may stand for itself or for
 the letters it is used for, a repeated run may be one or two letters, a separator may
 be nothing. The Viterbi path under a character bigram model, which is counted over all
-texts, with a price for every change is the restored token. Restored tokens and their
+texts, with a price for every change is the restored token. Letters set apart form one
+lattice whose breaks are kept or dropped: its paths are words, priced by their share of
+all texts' words, rare ones letter by letter. Restored tokens and their
 stems are looked up among units whose share of toxic training documents is known, and a
 logistic model over a document's strongest units gives the score.
 
@@ -22,6 +24,7 @@ from __future__ import annotations
 
 import math
 import re
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -37,13 +40,18 @@ LEAST, UNITS = 4, 200_000
 #: Stems are the first so many letters of a word.
 STEMS = (4, 5, 6)
 CACHE = 500_000
+#: Words with a price of their own: times seen at least, number; rarer ones are spelled.
+WORD_LEAST, WORDS, WORD_LETTERS = 20, 100_000, 24
 #: What a character is used for in disguised words.
 STANDS_FOR = {"4": "a", "@": "a", "3": "e", "1": "il", "!": "il", "|": "il", "0": "o", "5": "s", "$": "s", "7": "t", "+": "t", "8": "b", "9": "g", "6": "g", "2": "z"}
 SEPARATORS = set(".-_*~'`^:,/\\")
 #: Prices in natural log: a substitution, a dropped separator, a shortened run.
 SUBSTITUTE, DROP, SHORTEN = 1.0, 0.5, 0.3
 
+#: Every character beside the ones it may be mistaken for gets one sign.
+_ALIKE = str.maketrans({**{k: v[0] for k, v in STANDS_FOR.items()}, "l": "i"})
 _SPACED = re.compile(r"(?<![^\s])(?:[^\W_][ .\-_*]{1,2}){3,}[^\W_](?![^\s.,!?])")
+_APART = re.compile(r"(?<![^\s])(?:[^\W_][ .\-_*]{1,2}){2,}[^\W_](?![^\s.,!?])")
 _EDGE = re.compile(r"^[^\w@$!|+]+|[^\w@$|+]+$")
 _ODD = re.compile(r"[^\W\d_]")
 _PLAIN_WORD = re.compile(r"^[^\W\d_]+$")
@@ -54,7 +62,12 @@ _LETTERS = re.compile(r"[^\W\d_]+")
 class Restorer:
     """Viterbi over a token's character lattice under a character bigram model."""
 
-    def __init__(self, alphabet: str, logs: np.ndarray):
+    def __init__(self, alphabet: str, logs: np.ndarray, words: dict[str, float] | None = None):
+        self.words = words or {}
+        self.longest = max(map(len, self.words), default=0)
+        #: of a word that has no price of its own
+        self.rare = math.log(max(1e-6, 1 - sum(map(math.exp, self.words.values()))))
+        self.alike: dict[str, list[str]] | None = None
         self.at = {c: i for i, c in enumerate(alphabet)}
         self.logs = logs.tolist()
         self.edge = len(alphabet)
@@ -101,6 +114,53 @@ class Restorer:
         ends = [(s + self.step(self.edge if k == -2 else k, self.edge), text) for k, (s, text) in best.items()]
         return max(ends)[1]
 
+    def split(self, region: str) -> list[str]:
+        """Words of letters set apart: every break is kept or dropped, on one Viterbi path."""
+        gaps = [len(x) for x in re.findall(r"[ .\-_*]+", region)]
+        letters = re.sub(r"[ .\-_*]", "", region)
+        if _RUN.search(letters):
+            letters = self(letters)
+            gaps = gaps if len(gaps) == len(letters) - 1 else [1] * (len(letters) - 1)
+        raw, n = letters, len(letters)
+        letters = "".join(STANDS_FOR.get(c, c)[0] for c in raw)
+        drop = [0.0, 0.0]  # price of dropping all breaks before a letter
+        for g in gaps:
+            drop.append(drop[-1] + DROP * g)
+        codes = [self.at.get(c, -1) for c in letters]
+        best, back, word = [0.0] + [-math.inf] * n, [0] * (n + 1), [""] * (n + 1)
+        spelled, since = -math.inf, 0  # the best rare word that is still open, and its start
+        for i in range(1, n + 1):
+            opened = best[i - 1] + self.rare + self.step(self.edge, codes[i - 1])
+            if i > 1:
+                spelled += self.step(codes[i - 2], codes[i - 1]) - (drop[i] - drop[i - 1])
+            changed = SUBSTITUTE * (raw[i - 1] in STANDS_FOR)
+            opened, spelled = opened - changed, spelled - changed
+            if opened > spelled:
+                spelled, since = opened, i - 1
+            best[i], back[i] = spelled + self.step(codes[i - 1], self.edge), since
+            word[i] = letters[since:i]
+            for j in range(max(0, i - self.longest), i):
+                for w, p in self.meant(raw[j:i]):
+                    if (s := best[j] + p - (drop[i] - drop[j + 1])) > best[i]:
+                        best[i], back[i], word[i] = s, j, w
+        out = []
+        while n:
+            out.append(word[n])
+            n = back[n]
+        return out[::-1]
+
+    def meant(self, piece: str) -> list[tuple[str, float]]:
+        """Frequent words that a piece may stand for, with their prices."""
+        if not any(c in STANDS_FOR for c in piece):
+            return [(piece, self.words[piece])] if piece in self.words else []
+        if self.alike is None:
+            self.alike = {}
+            for w in self.words:
+                self.alike.setdefault(w.translate(_ALIKE), []).append(w)
+        fit = [w for w in self.alike.get(piece.translate(_ALIKE), ()) if all(a == b or b in STANDS_FOR.get(a, "") for a, b in zip(piece, w))]
+        price = SUBSTITUTE * sum(c in STANDS_FOR for c in piece)
+        return [(w, self.words[w] - price) for w in fit]
+
 
 def tokens(text: str) -> list[str]:
     """Lower-cased tokens; letters set apart by spaces or points are one token."""
@@ -113,6 +173,18 @@ class Units:
 
     def __init__(self, restorer: Restorer):
         self.restorer = restorer
+        self.split: dict[str, list[str]] = {}
+
+    def tokens(self, text: str) -> list[str]:
+        """Tokens of the text and the words that its letters set apart spell."""
+        out = tokens(text)
+        for region in _APART.findall(text.lower()):
+            if region not in self.split:
+                if len(self.split) >= CACHE:
+                    self.split.clear()
+                self.split[region] = self.restorer.split(region) if _ODD.search(region) else []
+            out += self.split[region]
+        return out
 
     def words(self, token: str) -> list[str]:
         core = _EDGE.sub("", token)
@@ -162,6 +234,33 @@ def character_model(df: DataFrame, text_col: str = "text", least: int = 20) -> t
     return "".join(map(chr, used)), np.log(small / small.sum(axis=1, keepdims=True))
 
 
+def word_model(df: DataFrame, text_col: str = "text", least: int = WORD_LEAST) -> dict[str, float]:
+    """Log share of each frequent word among the words of all texts."""
+
+    def rows(seen: Counter):
+        return pa.RecordBatch.from_arrays([pa.array(list(seen), pa.string()), pa.array(list(seen.values()), pa.int64())], names=["word", "n"])
+
+    def step(batches):
+        seen, total = Counter(), 0
+        for batch in batches:
+            for text in batch.column(0).to_pylist():
+                found = _LETTERS.findall((text or "").lower())
+                total += len(found)
+                seen.update(w for w in found if len(w) <= WORD_LETTERS)
+            if len(seen) > CACHE // 2:
+                yield rows(seen)
+                seen = Counter()
+        seen[""] = total
+        yield rows(seen)
+
+    counts = df.select(text_col).mapInArrow(step, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    top = counts.where((F.col("n") >= least) | (F.col("word") == "")).orderBy(F.desc(F.col("word") == ""), F.desc("n"), "word").limit(WORDS + 1)
+    got = top.toArrow().to_pydict()
+    seen = dict(zip(got["word"], got["n"]))
+    total = seen.pop("", 0)
+    return {w: math.log(n / total) for w, n in seen.items()}
+
+
 def features(weights: np.ndarray, n: int) -> list[float]:
     """Of one text: its strongest unit, the next, how many are strong, by length too."""
     top = np.sort(weights)[::-1][:3] if len(weights) else np.zeros(0)
@@ -172,7 +271,7 @@ def features(weights: np.ndarray, n: int) -> list[float]:
 
 class Scorer:
     def __init__(self, model: dict):
-        self.units = Units(Restorer(model["alphabet"], model["logs"]))
+        self.units = Units(Restorer(model["alphabet"], model["logs"], model["words"]))
         self.weights, self.beta = model["weights"], model["beta"]
         self.seen: dict[str, float] = {}
 
@@ -185,7 +284,7 @@ class Scorer:
         return best
 
     def evidence(self, text: str) -> list[float]:
-        got, seen = tokens(text), self.seen
+        got, seen = self.units.tokens(text), self.seen
         each = {t: seen[t] if t in seen else self.weight(t) for t in set(got)}
         return features(np.array([w for w in each.values() if w > 0]), len(got))
 
@@ -194,16 +293,18 @@ class Scorer:
         return 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
 
 
-def unit_counts(sample: DataFrame, alphabet: str, logs: np.ndarray) -> DataFrame:
+def unit_counts(sample: DataFrame, alphabet: str, logs: np.ndarray, words: dict[str, float]) -> DataFrame:
     """unit, toxic, clean: documents of the sample with the unit."""
 
+    shared = sample.sparkSession.sparkContext.broadcast(words)
+
     def step(batches):
-        units, seen = Units(Restorer(alphabet, logs)), {}
+        units, seen = Units(Restorer(alphabet, logs, shared.value)), {}
         for batch in batches:
             rows: dict[str, list[int]] = {}
             for text, toxic in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 mine = set()
-                for token in set(tokens(text or "")):
+                for token in set(units.tokens(text or "")):
                     if token not in seen:
                         if len(seen) >= CACHE:
                             seen.clear()
@@ -244,12 +345,13 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, steps: int = 60)
 def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, least: int = LEAST) -> dict:
     """The whole model from documents and labelled training rows."""
     alphabet, logs = character_model(docs)
+    words = word_model(docs)
     marks = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & (remainder(4) != 2)).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     marks = marks.join(docs.select("doc_id").distinct(), "doc_id", "left_semi")
     picks = [marks.where(cond).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample) for cond in ("toxic = 1", "toxic <> 1")]
     chosen = picks[0].unionByName(picks[1])
     rates = {bool(r["t"]): r["n"] for r in marks.groupBy((F.col("toxic") == 1).alias("t")).count().withColumnRenamed("count", "n").collect()}
-    empty = {"alphabet": alphabet, "logs": logs, "weights": {}, "beta": np.zeros(6)}
+    empty = {"alphabet": alphabet, "logs": logs, "words": words, "weights": {}, "beta": np.zeros(6)}
     bias = np.zeros(6)
     n_toxic, n_clean = rates.get(True, 0), rates.get(False, 0)
     if not (n_toxic and n_clean):
@@ -260,7 +362,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, least: int = L
 
     def weights(part: DataFrame) -> dict[str, float]:
         n1, n0 = (part.where(f"toxic = {k}").count() + 1 for k in (1, 0))
-        counts = unit_counts(part, alphabet, logs).where(f"toxic >= {least} and toxic / {n1} > 3 * clean / {n0}")
+        counts = unit_counts(part, alphabet, logs, words).where(f"toxic >= {least} and toxic / {n1} > 3 * clean / {n0}")
         ratio = F.log((F.col("toxic") + 0.1) / n1) - F.log((F.col("clean") + 0.5) / n0)
         top = counts.withColumn("w", ratio).orderBy(F.desc("w"), "unit").limit(UNITS)
         return {r["unit"]: r["w"] for r in top.select("unit", "w").toArrow().to_pylist()}

@@ -89,6 +89,15 @@ def test_letters_set_apart(make):
     assert "clowns" in units.tokens("you c l o w n s")
 
 
+def test_long_tokens_are_restored(make):
+    docs = make(["you are an idiot and a stupid moron", "such trash the clown and a loser said"] * 60)
+    units = toxicity.Units(toxicity.Restorer(*toxicity.character_model(docs), toxicity.word_model(docs)))
+    assert "stupid" in units.words("st" + "u" * 60 + "pid")
+    joined = "/".join(["1d1ot", "m0ron", "such", "trrrash", "cl0wn,and", "the.stupid", "l0ser", "said", "you"])
+    assert len(joined) > 40 and {"idiot", "moron", "trash", "clown", "stupid", "loser"} <= set(units.words(joined))
+    assert units.words("x7" * 30_000)  # time grows with length, not its square
+
+
 def test_toxicity(make, spark):
     rng = random.Random(3)
     words = ["".join(rng.choice("abcdeilnorst") for _ in range(5)) for _ in range(200)]

@@ -56,6 +56,8 @@ _EDGE = re.compile(r"^[^\w@$!|+]+|[^\w@$|+]+$")
 _ODD = re.compile(r"[^\W\d_]")
 _PLAIN_WORD = re.compile(r"^[^\W\d_]+$")
 _RUN = re.compile(r"(.)\1{2,}")
+#: What joins words to one token: signs that stand for no letter.
+_PIECES = re.compile(r"[^\w@$!|+]+|_+")
 _LETTERS = re.compile(r"[^\W\d_]+")
 
 
@@ -98,10 +100,11 @@ class Restorer:
         return out
 
     def __call__(self, token: str) -> str:
-        best = {-2: (0.0, "")}  # by the last letter written; -2 is the word's start
+        # by the last letter written, -2 being the word's start: score, (path so far, letters)
+        best: dict[int, tuple[float, tuple | None]] = {-2: (0.0, None)}
         for choices in self.lattice(token):
-            new: dict[int, tuple[float, str]] = {}
-            for last, (score, text) in best.items():
+            new: dict[int, tuple[float, tuple | None]] = {}
+            for last, (score, path) in best.items():
                 for write, price in choices:
                     now, s = last, score - price
                     for c in write:
@@ -109,10 +112,14 @@ class Restorer:
                         s += self.step(self.edge if now == -2 else now, b)
                         now = b
                     if now not in new or s > new[now][0]:
-                        new[now] = s, text + write
+                        new[now] = s, (path, write) if write else path
             best = new
-        ends = [(s + self.step(self.edge if k == -2 else k, self.edge), text) for k, (s, text) in best.items()]
-        return max(ends)[1]
+        ends = [(s + self.step(self.edge if k == -2 else k, self.edge), k) for k, (s, _) in best.items()]
+        path, out = best[max(ends)[1]][1], []
+        while path:
+            path, write = path
+            out.append(write)
+        return "".join(out[::-1])
 
     def split(self, region: str) -> list[str]:
         """Words of letters set apart: every break is kept or dropped, on one Viterbi path."""
@@ -190,10 +197,11 @@ class Units:
         core = _EDGE.sub("", token)
         if _PLAIN_WORD.match(core) and not _RUN.search(core):
             return [core]
-        if not core or len(core) > 40 or not (_ODD.search(core) or any(c in STANDS_FOR for c in core)):
+        if not core or not (_ODD.search(core) or any(c in STANDS_FOR for c in core)):
             return []
         parts = [p for p in _LETTERS.findall(core) if len(p) > 2]
-        return list(dict.fromkeys([self.restorer(core), *parts]))
+        pieces = [p for p in _PIECES.split(core) if len(p) > 2 and p != core and not (_PLAIN_WORD.match(p) and not _RUN.search(p))]
+        return list(dict.fromkeys([self.restorer(core), *parts, *map(self.restorer, pieces)]))
 
     def __call__(self, token: str) -> list[str]:
         out = []

@@ -42,12 +42,12 @@ def weighted_rows(matrix: Matrix, placed: DataFrame) -> DataFrame:
 
 
 def closed_local(rows: DataFrame, least: int) -> DataFrame:
-    """cluster_id, p: closed frequent patterns of every group."""
+    """cluster_id, p, support: closed frequent patterns of every group."""
     sig = cut(rows.groupBy("cluster_id", "mask").agg(F.sum("w").alias("w")))
     found = mining.mine_partitions(sig, least).select(F.col("cluster_id"), F.col("mask").alias("p"))
     hit = sig.join(found, "cluster_id").where("(mask & p) = p")
     ids = hit.groupBy("cluster_id", "p").agg(F.sum("w").alias("s"), F.bit_xor(F.xxhash64("mask")).alias("h1"), F.bit_xor(F.xxhash64("mask", F.lit(1))).alias("h2"))
-    return ids.groupBy("cluster_id", "s", "h1", "h2").agg(F.bit_or("p").alias("p")).select("cluster_id", "p")
+    return ids.groupBy("cluster_id", "s", "h1", "h2").agg(F.bit_or("p").alias("p")).select("cluster_id", "p", F.col("s").alias("support"))
 
 
 def merged(rows: DataFrame, local: DataFrame, least: int) -> DataFrame:

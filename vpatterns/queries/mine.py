@@ -9,9 +9,10 @@ from vpatterns.operators import clustering, mining
 from vpatterns.operators import coherence as H
 from vpatterns.operators import merge as M
 from vpatterns.operators import prepare as P
+from vpatterns.operators.closed import closed_patterns
 from vpatterns.plans import experiment as X
 from vpatterns.plans import pipeline as D
-from vpatterns.plans.wide import discover_wide
+from vpatterns.plans.wide import closed_local, discover_wide, placed_variables, weighted_rows
 from vpatterns.queries import query
 from vpatterns.queries import views as V
 from vpatterns.queries.similar import JOINT, RANDOM, SCORE
@@ -242,6 +243,21 @@ def wide_patterns(spark, sf_dir):
     return got.select(F.array_join("items", ",").alias("pattern"), F.size("items").alias("n_vars"), F.col("support").cast("long").alias("support"))
 
 
+def _whole(key):
+    f, ms = WL.WORKLOADS[key]
+
+    def run(spark, sf_dir):
+        got = closed_patterns(f(spark, sf_dir), ms)
+        return got.select(F.array_join("items", ",").alias("pattern"), F.size("items").alias("n_vars"), F.col("support").cast("long").alias("support"))
+
+    return run
+
+
+# All variables at the stated minimum support; SQL would try all 2^k masks.
+for _key in WL.WORKLOADS:
+    query(f"{_key}_whole")(_whole(_key))
+
+
 # Measures of local patterns before the merge, by strategy.
 def measures_sql(view: str, min_sup: float) -> str:
     """Groups of all three strategies by recursion, local and global closed patterns by enumeration."""
@@ -282,6 +298,28 @@ def _measures(key):
 for _key, (_, _ms) in WL.WORKLOADS.items():
     query(f"{_key}_measures", measures_sql(V.VIEWS[_key], _ms))(_measures(_key))
 
+
+def _whole_measures(key):
+    f, ms = WL.WORKLOADS[key]
+
+    def run(spark, sf_dir):
+        m = f(spark, sf_dir)
+        m = WL.Matrix(P.cut(m.cells), m.n_obs)
+        variables = P.cut(P.numbered(m.cells.select("item").distinct()))
+        n, rows = variables.count(), []
+        total = closed_patterns(m, ms).count()
+        for strategy in D.STRATEGIES:
+            placed = P.cut(placed_variables(m, variables, 4, strategy))
+            local_ = closed_local(weighted_rows(m, placed), P.cutoff(ms, m.n_obs)).agg(F.avg("support").alias("s"), F.avg(F.bit_count("p")).alias("v"), F.count(F.lit(1)).alias("n")).first()
+            rows += [(n, 0, strategy, k, round(float(v), 6)) for k, v in (("mean_support", local_["s"]), ("mean_length", local_["v"]), ("local_patterns", local_["n"]), ("patterns", total)) if v is not None]
+        return spark.createDataFrame(rows, "n_vars int, run int, strategy string, metric string, value double")
+
+    return run
+
+
+for _key in WL.WORKLOADS:
+    query(f"{_key}_whole_measures")(_whole_measures(_key))
+
 LOCAL_8 = f"""WITH {V.BRANDS}, {V.top(8)}, {RANDOM}, own AS (SELECT c, sum(1::BIGINT << v::INT)::BIGINT AS own FROM rc GROUP BY c), {V.frequent(8, MS)},
 f AS (SELECT c, mask, support FROM freq JOIN own ON (mask & own) = mask),
 loc AS (SELECT * FROM f a WHERE NOT EXISTS (SELECT 1 FROM f b WHERE b.c = a.c AND b.support = a.support AND a.mask <> b.mask AND (a.mask & b.mask) = a.mask)), {V.CLOSED}"""

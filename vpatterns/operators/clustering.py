@@ -48,24 +48,27 @@ def fuse(scores: dict[tuple[int, int], float], variables: list[int], cap: int, l
 def capped_clusters(sim: DataFrame, variables: list[int], cap: int, linkage: str = "average", direction: str = "similar", score: str = "sim") -> DataFrame:
     """var_id, cluster_id (least member): pairs of at most DRIVER_LIMIT variables are fused on the driver."""
     if len(variables) > DRIVER_LIMIT:
-        return capped_clusters_df(sim, sim.sparkSession.createDataFrame([(v,) for v in variables], "var_id int"), cap, direction, score)
+        return capped_clusters_df(sim, sim.sparkSession.createDataFrame([(v,) for v in variables], "var_id int"), cap, direction, score, linkage)
     pairs = {(r["a"], r["b"]): r["s"] for r in sim.select("a", "b", F.col(score).alias("s")).collect()}
     home, _ = fuse(pairs, variables, cap, linkage, direction)
     return sim.sparkSession.createDataFrame(sorted(home.items()), "var_id int, cluster_id int")
 
 
-def capped_clusters_df(sim: DataFrame, variables: DataFrame, cap: int, direction: str = "similar", score: str = "sim") -> DataFrame:
+def capped_clusters_df(sim: DataFrame, variables: DataFrame, cap: int, direction: str = "similar", score: str = "sim", linkage: str = "average") -> DataFrame:
     """The same for any number of variables: each round fuses all pairs that are each other's best.
 
     A round may fuse what the one-by-one order would not, so clusters may differ from
     ``capped_clusters``; patterns found with them are the same.
     """
+    if linkage not in LINKAGES:
+        raise ValueError(f"linkage must be one of {LINKAGES}")
+    link = {"average": F.avg, "single": F.max, "complete": F.min}[linkage]
     home = variables.select("var_id", F.col("var_id").alias("cluster_id"), F.lit(1).alias("size"))
     base = sim.select("a", "b", F.round(score, 9).alias("s"))
     while True:
         x, y = home.select(F.col("var_id").alias("a"), F.col("cluster_id").alias("ca"), F.col("size").alias("na")), home.select(F.col("var_id").alias("b"), F.col("cluster_id").alias("cb"), F.col("size").alias("nb"))
         pairs = base.join(x, "a").join(y, "b").where(f"ca <> cb and na + nb <= {cap}")
-        pairs = pairs.groupBy(F.least("ca", "cb").alias("u"), F.greatest("ca", "cb").alias("v")).agg(F.avg("s").alias("s"))
+        pairs = pairs.groupBy(F.least("ca", "cb").alias("u"), F.greatest("ca", "cb").alias("v")).agg(link("s").alias("s"))
         both = pairs.select("u", "v", "s").unionByName(pairs.select(F.col("v").alias("u"), F.col("u").alias("v"), "s"))
         order = F.desc("s") if direction == "similar" else F.asc("s")
         best = both.withColumn("r", F.row_number().over(W.partitionBy("u").orderBy(order, "v"))).where("r = 1").select("u", "v")

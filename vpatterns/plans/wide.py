@@ -28,7 +28,7 @@ def placed_variables(matrix: Matrix, variables: DataFrame, cap: int, strategy: s
         if n <= clustering.DRIVER_LIMIT:
             home = clustering.capped_clusters(sim, list(range(n)), cap, linkage, strategy)
         else:
-            home = clustering.capped_clusters_df(sim, variables.select(F.col("var_id").cast("int").alias("var_id")), cap, strategy)
+            home = clustering.capped_clusters_df(sim, variables.select(F.col("var_id").cast("int").alias("var_id")), cap, strategy, linkage=linkage)
     bit = F.row_number().over(W.partitionBy("cluster_id").orderBy("var_id")) - 1
     return variables.join(home, "var_id").select("item", "cluster_id", bit.alias("bit"))
 

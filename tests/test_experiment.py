@@ -2,6 +2,8 @@
 
 import inspect
 
+import pytest
+
 from vpatterns.operators import prepare
 from vpatterns.plans import experiment as X
 from vpatterns.plans.pipeline import discover
@@ -49,3 +51,36 @@ def test_above_the_cap_strategies_differ_and_agree_on_patterns(spark):
     closed = {(p, s) for p, s in sup.items() if s >= least and not any(sup[p | 1 << i] == s for i in range(8) if not p >> i & 1)}
     for d in found.values():
         assert {(r["mask"], r["support"]) for r in d.patterns.collect()} == closed
+
+
+@pytest.mark.parametrize("cap", [4, 5])
+def test_a_draw_in_one_task_is_the_workflow(spark, cap):
+    m = matrix(spark, 10)
+    runs = X.run_experiment("m", m, 0.05, (6, 9), 2, cap).collect()
+    got = {(r["n_vars"], r["run"], r["strategy"], r["metric"]): r["value"] for r in runs}
+    for size in (6, 9):
+        for run in (0, 1):
+            variables = prepare.numbered(prepare.draw(m.cells, size, run)).persist()
+            for strategy in ("similar", "dissimilar", "random"):
+                d = discover(m, variables, 0.05, cap, strategy)
+                at = lambda k: got[size, run, strategy, k]
+                lengths = [bin(r["mask"]).count("1") for r in d.local.collect()]
+                assert at("patterns") == d.patterns.count() and at("local_patterns") == len(lengths)
+                assert at("mean_length") == pytest.approx(sum(lengths) / len(lengths))
+                assert at("compared") == d.measures["compared"] and at("kept") == d.measures["kept"]
+                assert at("extension_rate") == pytest.approx(X.extension_rate(d.local, d.patterns).first()["rate"])
+
+
+def test_size_twenty_equals_mining_without_groups(spark):
+    from vpatterns.operators.closed import closed_patterns
+
+    m = matrix(spark, 20)
+    runs = X.run_experiment("m", m, 0.1, (20,), 1).where("metric = 'patterns'").collect()
+    assert {r["value"] for r in runs} == {closed_patterns(m, 0.1).count()} and len(runs) == 3
+
+
+def test_too_large_a_draw_is_refused(spark):
+    from vpatterns.plans import draws
+
+    with pytest.raises(ValueError, match="24 variables"):
+        draws.measured(None, None, ["v"] * 25, 1, 1, 4)

@@ -44,3 +44,29 @@ def test_table_function_alone():
     for m, w in ((0b111, 3), (0b011, 2), (0b100, 1)):
         f.eval({"mask": m, "w": w}, 3)
     assert dict(f.terminate()) == {1: 5, 2: 5, 4: 4, 3: 5, 5: 3, 6: 3, 7: 3}
+
+
+def test_unpaired_tests(spark):
+    import math
+
+    from vpatterns.functions import significance as G
+
+    a, b = [1.0, 2.0, 4.0, 7.0], [3.0, 5.0, 8.0, 9.0, 12.0]
+    rows = spark.createDataFrame([("a", x) for x in a] + [("b", x) for x in b] + [("c", 99.0), ("a", None)], "g string, x double")
+    mean, var = (lambda x: sum(x) / len(x)), (lambda x: sum((v - sum(x) / len(x)) ** 2 for v in x) / (len(x) - 1))
+    va, vb = var(a) / len(a), var(b) / len(b)
+    welch = G.independent_ttest(rows, "x", "g", "a", "b").first()
+    df = (va + vb) ** 2 / (va**2 / 3 + vb**2 / 4)
+    assert welch["t"] == pytest.approx((mean(a) - mean(b)) / math.sqrt(va + vb)) and welch["df"] == pytest.approx(df)
+
+    def by_sums(t, df, steps=200_000):  # the density's integral by the midpoint rule
+        c = math.exp(math.lgamma((df + 1) / 2) - math.lgamma(df / 2)) / math.sqrt(df * math.pi)
+        h = abs(t) / steps
+        half = sum(c * (1 + ((i + 0.5) * h) ** 2 / df) ** (-(df + 1) / 2) for i in range(steps)) * h
+        return 0.5 - half if t < 0 else 0.5 + half
+
+    assert welch["p_less"] == pytest.approx(by_sums(welch["t"], df), abs=1e-7)
+    assert welch["p_less"] + welch["p_greater"] == pytest.approx(1)
+    pooled = (3 * var(a) + 4 * var(b)) / 7
+    equal = G.independent_ttest(rows, "x", "g", "a", "b", True).first()
+    assert equal["df"] == 7 and equal["t"] == pytest.approx((mean(a) - mean(b)) / math.sqrt(pooled * (1 / 4 + 1 / 5)))

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -13,45 +14,84 @@ DRIVER_LIMIT = 5000
 LINKAGES = ("average", "single", "complete")
 
 
-def fuse(scores: dict[tuple[int, int], float], variables: list[int], cap: int, linkage: str = "average", direction: str = "similar"):
-    """(assignment, log of fusions) by fusing the best pair whose total is within the cap.
+def fuse_matrix(s: np.ndarray, cap: int, linkage: str = "average", direction: str = "similar"):
+    """(least member of each variable's cluster, log of fusions) from a symmetric matrix; nan is no pair.
 
-    Ties go to the least ids. A cluster that no other fits beside leaves the race.
+    Every row keeps its best later partner. A fusion changes one row, and only rows whose
+    partner was one of the two are searched again, so thousands of variables take seconds.
+    The matrix is overwritten.
     """
     if linkage not in LINKAGES:
         raise ValueError(f"linkage must be one of {LINKAGES}")
-    size, home = {v: 1 for v in variables}, {v: v for v in variables}
-    near = {(min(p), max(p)): s for p, s in scores.items()}
-    log, sign = [], -1.0 if direction == "similar" else 1.0
-    while True:
-        open_ = [(sign * round(s, 9), p) for p, s in near.items() if size[p[0]] + size[p[1]] <= cap]
-        if not open_:
-            break
-        score, (x, y) = min(open_)
-        log.append((len(log), x, y, sign * score))
-        for z in [z for z in size if z not in (x, y)]:
-            sx, sy = near.pop((min(x, z), max(x, z)), None), near.pop((min(y, z), max(y, z)), None)
-            some = [s for s in (sx, sy) if s is not None]
-            if not some:
-                continue
-            if linkage == "average":
-                new = (size[x] * (sx or 0.0) + size[y] * (sy or 0.0)) / (size[x] + size[y])
-            else:
-                new = max(some) if linkage == "single" else min(some)
-            near[(min(x, z), max(x, z))] = new
-        near.pop((x, y))
-        size[x] += size.pop(y)
-        home = {v: x if c == y else c for v, c in home.items()}
+    n, sign = len(s), 1.0 if direction == "similar" else -1.0
+    size, alive, home, log = np.ones(n, np.int64), np.ones(n, bool), np.arange(n), []
+    best, mate = np.full(n, -np.inf), np.full(n, -1)
+
+    def value(i, js):
+        v = sign * np.round(s[i, js], 9)
+        return np.where(alive[js] & (size[js] + size[i] <= cap) & ~np.isnan(v), v, -np.inf)
+
+    def search(i):
+        v = value(i, slice(i + 1, n))
+        k = int(v.argmax()) if len(v) else 0
+        best[i], mate[i] = (v[k], i + 1 + k) if len(v) and v[k] > -np.inf else (-np.inf, -1)
+
+    for i in range(n):
+        search(i)
+    while n and best.max() > -np.inf:
+        x = int(best.argmax())  # the first of equal ones has the least ids
+        y = int(mate[x])
+        log.append((len(log), x, y, float(np.round(s[x, y], 9))))
+        sx, sy = s[x], s[y]
+        if linkage == "average":
+            new = (size[x] * np.nan_to_num(sx) + size[y] * np.nan_to_num(sy)) / (size[x] + size[y])
+        else:
+            new = (np.fmax if linkage == "single" else np.fmin)(sx, sy)
+        new = np.where((np.isnan(sx) & np.isnan(sy)) | ~alive, np.nan, new)
+        new[[x, y]] = np.nan
+        s[x], s[:, x] = new, new
+        s[y], s[:, y] = np.nan, np.nan
+        alive[y], best[y], mate[y] = False, -np.inf, -1
+        size[x] += size[y]
+        home[home == y] = x
+        again = alive & ((mate == x) | (mate == y))
+        again[x] = True
+        for i in np.flatnonzero(again):
+            search(int(i))
+        before = np.flatnonzero(alive[:x] & ~again[:x])
+        v = sign * np.round(s[before, x], 9)
+        v = np.where((size[before] + size[x] <= cap) & ~np.isnan(v), v, -np.inf)
+        gain = (v > best[before]) | ((v == best[before]) & (v > -np.inf) & (x < mate[before]))
+        best[before[gain]], mate[before[gain]] = v[gain], x
     return home, log
 
 
+def fuse(scores: dict[tuple[int, int], float], variables: list[int], cap: int, linkage: str = "average", direction: str = "similar"):
+    """(assignment, log of fusions) by fusing the best pair whose total is within the cap.
+
+    Ties go to the least ids. A cluster that no other fits beside leaves the race. Pairs
+    without a score are not fused on their own; on average they count as 0.
+    """
+    ids = sorted(variables)
+    at = {v: i for i, v in enumerate(ids)}
+    s = np.full((len(ids), len(ids)), np.nan)
+    for (a, b), x in scores.items():
+        s[at[a], at[b]] = s[at[b], at[a]] = x
+    home, log = fuse_matrix(s, cap, linkage, direction)
+    return {v: ids[home[i]] for i, v in enumerate(ids)}, [(k, ids[x], ids[y], c) for k, x, y, c in log]
+
+
 def capped_clusters(sim: DataFrame, variables: list[int], cap: int, linkage: str = "average", direction: str = "similar", score: str = "sim") -> DataFrame:
     """var_id, cluster_id (least member): pairs of at most DRIVER_LIMIT variables are fused on the driver."""
     if len(variables) > DRIVER_LIMIT:
         return capped_clusters_df(sim, sim.sparkSession.createDataFrame([(v,) for v in variables], "var_id int"), cap, direction, score, linkage)
-    pairs = {(r["a"], r["b"]): r["s"] for r in sim.select("a", "b", F.col(score).alias("s")).collect()}
-    home, _ = fuse(pairs, variables, cap, linkage, direction)
-    return sim.sparkSession.createDataFrame(sorted(home.items()), "var_id int, cluster_id int")
+    ids = np.array(sorted(variables), np.int64)
+    pairs = sim.select(F.col("a").cast("long").alias("a"), F.col("b").cast("long").alias("b"), F.col(score).cast("double").alias("s")).where("s is not null").toArrow()
+    a, b = (np.searchsorted(ids, pairs.column(c).to_numpy()) for c in ("a", "b"))
+    s = np.full((len(ids), len(ids)), np.nan)
+    s[a, b] = s[b, a] = pairs.column("s").to_numpy()
+    home, _ = fuse_matrix(s, cap, linkage, direction)
+    return sim.sparkSession.createDataFrame([(int(v), int(ids[h])) for v, h in zip(ids, home)], "var_id int, cluster_id int")
 
 
 def capped_clusters_df(sim: DataFrame, variables: DataFrame, cap: int, direction: str = "similar", score: str = "sim", linkage: str = "average") -> DataFrame:

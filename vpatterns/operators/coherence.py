@@ -88,6 +88,21 @@ def bicluster_maximal(patterns: DataFrame, sig: DataFrame, n_vars: int) -> DataF
     return common.select(F.col("p").alias("mask"), "support", F.expr("shared = p").alias("maximal"))
 
 
+#: Whole numbers up to this size have ratios that are one double if and only if they are equal.
+EXACT_RATIO = 1 << 26
+
+
+def ratio(y: str, x: str):
+    """y / x of whole numbers as a double that stands for the reduced fraction.
+
+    Division rounds correctly, so equal fractions give one double; different ones of
+    numbers up to EXACT_RATIO lie further apart than a double's step. Larger numbers end
+    the query with an error.
+    """
+    fits = (F.abs(F.col(x)) <= EXACT_RATIO) & (F.abs(F.col(y)) <= EXACT_RATIO)
+    return F.when(fits, F.col(y).cast("double") / F.col(x).cast("double")).otherwise(F.raise_error(F.lit("ratios need values up to 2**26: use a coarser grid")).cast("double"))
+
+
 def pivot_differences(values: DataFrame, kind: str = "additive") -> DataFrame:
     """obs, pivot, var, d: for every pivot, the difference (ratio) of each later variable to it."""
     x = values.select("obs", F.col("var").alias("pivot"), F.col("value").alias("x"))
@@ -95,7 +110,7 @@ def pivot_differences(values: DataFrame, kind: str = "additive") -> DataFrame:
     both = x.join(y, "obs").where("pivot < var")
     if kind == "additive":
         return both.select("obs", "pivot", "var", (F.col("y") - F.col("x")).cast("double").alias("d"))
-    return both.where("x <> 0 and y <> 0").select("obs", "pivot", "var", F.round(F.col("y") / F.col("x"), 9).alias("d"))
+    return both.where("x <> 0 and y <> 0").select("obs", "pivot", "var", ratio("y", "x").alias("d"))
 
 
 def mine_offsets(values: DataFrame, least: int, kind: str = "additive", max_len: int | None = None) -> DataFrame:
@@ -123,15 +138,19 @@ def mine_offsets(values: DataFrame, least: int, kind: str = "additive", max_len:
     return found.where(F.col("support") >= least)
 
 
-def closed_offsets(patterns: DataFrame) -> DataFrame:
-    """Patterns that no longer one of the same support encloses, offsets taken from the pivot."""
-    tagged = patterns.withColumn("map", F.map_from_arrays("vars", "offsets"))
-    other = tagged.select(F.col("vars").alias("v2"), F.col("map").alias("o2"), F.col("support").alias("s2"))
+def closed_offsets(patterns: DataFrame, kind: str = "additive") -> DataFrame:
+    """Patterns that no longer one of the same support encloses, offsets taken from the pivot.
+
+    A longer pattern encloses a shorter one on its last variable; they meet on it.
+    """
+    tagged = patterns.withColumn("map", F.map_from_arrays("vars", "offsets")).withColumn("k", F.element_at("vars", -1))
+    other = tagged.select(F.col("vars").alias("v2"), F.col("map").alias("o2"), F.col("support").alias("s2"), F.explode("vars").alias("k2"))
     inside = F.size(F.array_except("vars", "v2")) == 0
     base = F.col("o2")[F.col("vars")[0]]
-    same = F.forall("vars", lambda v: F.abs(F.col("o2")[v] - base - F.col("map")[v]) < 1e-6)
-    cond = (F.col("support") == F.col("s2")) & (F.size("vars") < F.size("v2")) & inside & same
-    return tagged.join(other, cond, "left_anti").drop("map")
+    rest = lambda v: F.abs(F.col("o2")[v] - base - F.col("map")[v]) if kind == "additive" else F.abs(F.col("o2")[v] / base / F.col("map")[v] - 1)
+    same = F.forall("vars", lambda v: rest(v) < (1e-6 if kind == "additive" else 1e-12))
+    cond = (F.col("support") == F.col("s2")) & (F.col("k") == F.col("k2")) & (F.size("vars") < F.size("v2")) & inside & same
+    return tagged.join(other, cond, "left_anti").drop("map", "k")
 
 
 def mine_order(values: DataFrame, least: int, max_len: int | None = None) -> DataFrame:
@@ -157,41 +176,54 @@ def order_sequences(values: DataFrame) -> DataFrame:
     return ties.groupBy("obs").agg(F.array_sort(F.collect_list(F.struct("value", "same"))).alias("s")).select("obs", F.transform("s", lambda x: x["same"]).alias("sequence"))
 
 
-def prefixspan(values: DataFrame, least: int, n_obs: int, max_len: int = 10) -> DataFrame:
-    """The same patterns as ``mine_order`` by the library's sequence miner."""
+def prefixspan(values: DataFrame, least: int, n_obs: int, max_len: int | None = None) -> DataFrame:
+    """The same patterns as ``mine_order`` by the library's sequence miner, of any length.
+
+    A pattern has each variable once, so none is longer than the number of variables.
+    """
     from pyspark.ml.fpm import PrefixSpan
 
     rows = order_sequences(values)
-    got = PrefixSpan(minSupport=(least - 0.5) / n_obs, maxPatternLength=max_len).findFrequentSequentialPatterns(rows)
+    longest = max_len if max_len is not None else max(1, values.select("var").distinct().count())
+    got = PrefixSpan(minSupport=(least - 0.5) / n_obs, maxPatternLength=longest).findFrequentSequentialPatterns(rows)
     single = got.where(F.forall("sequence", lambda s: F.size(s) == 1) & (F.size("sequence") > 1))
     return single.select(F.flatten("sequence").alias("seq"), F.col("freq").alias("support"))
 
 
-def merge_offset(left: DataFrame, right: DataFrame, least: int) -> DataFrame:
-    """Common rows of two groups' patterns, split by the difference of their pivots.
+def merge_offset(left: DataFrame, right: DataFrame, least: int, kind: str = "additive") -> DataFrame:
+    """Common rows of two groups' patterns, split by the difference (ratio) of their pivots.
 
     ``left`` and ``right`` hold (obs, vars, offsets, base): the rows of each pattern with
     its pivot's value. Plain intersection would join rows whose pivots differ unequally.
     """
     a = left.select("obs", F.col("vars").alias("v1"), F.col("offsets").alias("o1"), F.col("base").alias("b1"))
     b = right.select("obs", F.col("vars").alias("v2"), F.col("offsets").alias("o2"), F.col("base").alias("b2"))
-    met = a.join(b, "obs").withColumn("shift", F.col("b2") - F.col("b1"))
+    shift = F.col("b2") - F.col("b1") if kind == "additive" else ratio("b2", "b1")
+    met = a.join(b, "obs").withColumn("shift", shift)
     kept = met.groupBy("v1", "o1", "v2", "o2", "shift").agg(F.count(F.lit(1)).alias("support")).where(F.col("support") >= least)
-    both = F.concat("o1", F.transform("o2", lambda o: o + F.col("shift")))
+    # a ratio is taken again from the whole numbers themselves, so it is the exact one
+    moved = (lambda o: o + F.col("shift")) if kind == "additive" else (lambda o: F.rint(o * F.col("b2")) / F.col("b1"))
+    both = F.concat("o1", F.transform("o2", moved))
     rows = met.join(kept.drop("support"), ["v1", "o1", "v2", "o2", "shift"], "left_semi")
     return rows.select("obs", F.concat("v1", "v2").alias("vars"), both.alias("offsets"), F.col("b1").alias("base"))
 
 
-def offset_rows(values: DataFrame, patterns: DataFrame) -> DataFrame:
-    """obs, vars, offsets, base of every row that holds one of the additive patterns; single variables hold all."""
+def offset_rows(values: DataFrame, patterns: DataFrame, kind: str = "additive") -> DataFrame:
+    """obs, vars, offsets, base of every row that holds one of the patterns; single variables hold all.
+
+    For ratios, values of 0 belong to no pattern.
+    """
+    values = values if kind == "additive" else values.where("value <> 0")
     x = values.groupBy("obs").agg(F.map_from_entries(F.collect_list(F.struct("var", "value"))).alias("m"))
     base = F.col("m")[F.col("vars")[0]]
-    holds = F.forall(F.arrays_zip("vars", "offsets"), lambda t: F.coalesce(F.abs(F.col("m")[t["vars"]] - base - t["offsets"]) < 1e-6, F.lit(False)))
+    of = (lambda v: (v - base).cast("double")) if kind == "additive" else (lambda v: v.cast("double") / base.cast("double"))
+    holds = F.forall(F.arrays_zip("vars", "offsets"), lambda t: F.coalesce(of(F.col("m")[t["vars"]]) == t["offsets"], F.lit(False)))
     # every pattern has a pivot and a first difference: rows meet it on these, then on the rest
     first = patterns.select("vars", "offsets", F.col("vars")[0].alias("pivot"), F.col("vars")[1].alias("var"), F.col("offsets")[1].alias("d"))
-    met = pivot_differences(values).join(first, ["pivot", "var", "d"]).select("obs", "vars", "offsets")
+    met = pivot_differences(values, kind).join(first, ["pivot", "var", "d"]).select("obs", "vars", "offsets")
     found = met.join(x, "obs").where(holds).select("obs", "vars", "offsets", base.cast("double").alias("base"))
-    single = values.select("obs", F.array("var").alias("vars"), F.array(F.lit(0.0)).alias("offsets"), F.col("value").cast("double").alias("base"))
+    zero = 0.0 if kind == "additive" else 1.0
+    single = values.select("obs", F.array("var").alias("vars"), F.array(F.lit(zero)).alias("offsets"), F.col("value").cast("double").alias("base"))
     return found.unionByName(single)
 
 
@@ -202,14 +234,8 @@ def merge_order(left: DataFrame, right: DataFrame, values: DataFrame, least: int
     """
     x = values.groupBy("obs").agg(F.map_from_entries(F.collect_list(F.struct("var", "value"))).alias("m"))
 
-    y = values.select("obs", F.col("var").alias("b"), F.col("value").alias("vb"))
-    rising = values.select("obs", F.col("var").alias("a"), F.col("value").alias("va")).join(y, "obs").where("va < vb").select("obs", "a", "b")
-
     def rows(p: DataFrame, name: str) -> DataFrame:
-        # longer patterns meet the rows on their first two variables, then on the rest
-        pairs = F.forall(F.sequence(F.lit(1), F.size("seq") - 1), lambda i: F.coalesce(F.col("m")[F.col("seq")[i - 1]] < F.col("m")[F.col("seq")[i]], F.lit(False)))
-        long = p.where(F.size("seq") > 1).select("seq", F.col("seq")[0].alias("a"), F.col("seq")[1].alias("b"))
-        held = rising.join(long, ["a", "b"]).join(x, "obs").where(pairs).select("obs", "seq")
+        held = _rows_in_order(values, x, p)
         short = p.where(F.size("seq") == 1).select("seq", F.col("seq")[0].alias("var"))
         one = values.select("obs", "var").join(short, "var").select("obs", "seq")
         return held.unionByName(one).withColumnRenamed("seq", name)
@@ -218,3 +244,31 @@ def merge_order(left: DataFrame, right: DataFrame, values: DataFrame, least: int
     inter = F.array_sort(F.transform(F.concat("s1", "s2"), lambda v: F.struct(F.col("m")[v].alias("k"), v.alias("v"))))
     both = both.withColumn("t", inter).where(F.size("t") == F.size(F.array_distinct(F.transform("t", lambda x: x["k"]))))
     return both.select("obs", F.transform("t", lambda x: x["v"]).alias("seq")).distinct().groupBy("seq").agg(F.count(F.lit(1)).alias("support")).where(F.col("support") >= least)
+
+
+def from_least(patterns: DataFrame, kind: str = "additive") -> DataFrame:
+    """vars ascending, offsets to the least variable: patterns of merged groups in one form."""
+    pairs = F.array_sort(F.arrays_zip("vars", "offsets"))
+    base = F.col("p")[0]["offsets"]
+    to = (lambda x: x["offsets"] - base) if kind == "additive" else (lambda x: x["offsets"] / base)
+    return patterns.withColumn("p", pairs).select(F.transform("p", lambda x: x["vars"]).alias("vars"), F.transform("p", to).alias("offsets"), "support")
+
+
+def order_rows(values: DataFrame, patterns: DataFrame) -> DataFrame:
+    """obs, seq: the rows of given ordered patterns; they meet on the first two variables, then on the rest."""
+    x = values.groupBy("obs").agg(F.map_from_entries(F.collect_list(F.struct("var", "value"))).alias("m"))
+    return _rows_in_order(values, x, patterns)
+
+
+def order_support(values: DataFrame, patterns: DataFrame, least: int) -> DataFrame:
+    """seq, support of given ordered patterns."""
+    return order_rows(values, patterns).groupBy("seq").agg(F.count(F.lit(1)).alias("support")).where(F.col("support") >= least)
+
+
+def _rows_in_order(values: DataFrame, maps: DataFrame, patterns: DataFrame) -> DataFrame:
+    """obs, seq of the rows that hold patterns of two variables or more."""
+    y = values.select("obs", F.col("var").alias("b"), F.col("value").alias("vb"))
+    rising = values.select("obs", F.col("var").alias("a"), F.col("value").alias("va")).join(y, "obs").where("va < vb").select("obs", "a", "b")
+    pairs = F.forall(F.sequence(F.lit(1), F.size("seq") - 1), lambda i: F.coalesce(F.col("m")[F.col("seq")[i - 1]] < F.col("m")[F.col("seq")[i]], F.lit(False)))
+    long = patterns.where(F.size("seq") > 1).select("seq", F.col("seq")[0].alias("a"), F.col("seq")[1].alias("b"))
+    return rising.join(long, ["a", "b"]).join(maps, "obs").where(pairs).select("obs", "seq")

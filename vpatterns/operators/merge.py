@@ -11,8 +11,8 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vpatterns.operators.mining import containing, support
-from vpatterns.operators.prepare import cut
+from vpatterns.operators.mining import BROADCAST_CANDIDATES, containing, support
+from vpatterns.operators.prepare import bits, cut
 
 
 def closed_pairwise(patterns: DataFrame) -> DataFrame:
@@ -37,16 +37,24 @@ def closed_collapse(patterns: DataFrame, sig: DataFrame) -> DataFrame:
 
 
 def maximal(patterns: DataFrame) -> DataFrame:
-    """Patterns without any frequent strict superset."""
-    other = patterns.select(F.col("mask").alias("m2"))
-    return patterns.join(other, F.expr("mask <> m2 and (mask & m2) = mask"), "left_anti")
+    """Patterns without any strict superset among them; supersets are met on the lowest variable."""
+    above = containing(patterns.select("mask"), patterns.select("mask"))
+    return patterns.join(above.where("mask <> _mask").select(F.col("_mask").alias("mask")).distinct(), "mask", "left_anti")
 
 
-def combined(current: DataFrame, more: DataFrame, sig: DataFrame, least: int) -> DataFrame:
-    """All patterns of ``current`` with one of ``more`` whose common rows reach the threshold."""
-    pairs = current.select(F.col("mask").alias("m1")).crossJoin(F.broadcast(more.select(F.col("mask").alias("m2"))))
-    made = pairs.select(F.expr("m1 | m2").alias("mask")).distinct()
-    return support(made, sig, n=None).where(F.col("support") >= least)
+def combined(current: DataFrame, more: DataFrame, sig: DataFrame, least: int, n_pairs: int) -> DataFrame:
+    """All patterns of ``current`` with one of ``more`` whose common rows reach the threshold.
+
+    ``n_pairs`` is their counted product. Few pairs are made and counted as masks; many are
+    never made: only patterns that some row holds together meet, by a join on the row.
+    """
+    if n_pairs <= BROADCAST_CANDIDATES:
+        pairs = current.select(F.col("mask").alias("m1")).crossJoin(F.broadcast(more.select(F.col("mask").alias("m2"))))
+        made = pairs.select(F.expr("m1 | m2").alias("mask")).distinct()
+        return support(made, sig, n=n_pairs).where(F.col("support") >= least)
+    held = lambda p, name: containing(p.select("mask"), sig).select(F.col("mask").alias("row"), "w", F.col("_mask").alias(name))
+    met = held(current, "m1").join(held(more, "m2").drop("w"), "row")
+    return met.groupBy(F.expr("m1 | m2").alias("mask")).agg(F.sum("w").alias("support")).where(F.col("support") >= least)
 
 
 def merge_sequential(local: list[DataFrame], sig: DataFrame, least: int) -> tuple[DataFrame, dict]:
@@ -61,7 +69,7 @@ def merge_sequential(local: list[DataFrame], sig: DataFrame, least: int) -> tupl
     for i, start in enumerate(local):
         current, n = start.select("mask", "support"), sizes[i]
         for j in range(i + 1, len(local)):
-            made = cut(combined(current, local[j], sig, least))
+            made = cut(combined(current, local[j], sig, least, n * sizes[j]))
             work["compared"] += n * sizes[j]
             fresh = made.count()
             work["kept"] += fresh
@@ -78,14 +86,14 @@ def merge_sequential(local: list[DataFrame], sig: DataFrame, least: int) -> tupl
 
 def merge_tree(local: list[DataFrame], sig: DataFrame, least: int) -> DataFrame:
     """The same by merging neighbours, closed after each round: log2 rounds."""
-    level = [x.select("mask", "support") for x in local]
+    level = [(x.select("mask", "support"), x.count()) for x in local]
     while len(level) > 1:
         nxt = []
-        for i in range(0, len(level) - 1, 2):
-            both = level[i].unionByName(level[i + 1]).unionByName(combined(level[i], level[i + 1], sig, least))
-            nxt.append(cut(closed_collapse(both, sig)))
+        for (x, n), (y, m) in zip(level[::2], level[1::2]):
+            both = cut(closed_collapse(x.unionByName(y).unionByName(combined(x, y, sig, least, n * m)), sig))
+            nxt.append((both, both.count()))
         level = nxt + level[len(level) & ~1 :]
-    return closed_collapse(level[0], sig)
+    return closed_collapse(level[0][0], sig)
 
 
 def merge_membership(local: list[DataFrame], sig: DataFrame, least: int) -> DataFrame:
@@ -94,7 +102,7 @@ def merge_membership(local: list[DataFrame], sig: DataFrame, least: int) -> Data
     Rows are signature ids with the patterns they hold, so neither masks over all
     variables nor row lists are needed; each group is one join on the row.
     """
-    member = [sig.join(F.broadcast(p.select(F.col("mask").alias("p"))), F.expr("(mask & p) = p")).select(F.col("mask").alias("row"), "w", "p") for p in local]
+    member = [containing(p.select("mask"), sig, n=p.count()).select(F.col("mask").alias("row"), "w", F.col("_mask").alias("p")) for p in local]
     now = None
     for m in member:
         if now is None:
@@ -121,7 +129,9 @@ def drop_overlapping(patterns: DataFrame, sig: DataFrame, theta: float) -> DataF
     """
     p = patterns.select("mask", "support", F.expr("bit_count(mask) * support").alias("area"))
     q = p.select(F.col("mask").alias("m2"), F.col("support").alias("s2"), F.col("area").alias("a2"))
-    pair = p.join(q, F.expr("(mask & m2) <> 0 and (a2 > area or (a2 = area and m2 < mask))"))
+    # two patterns meet once, on the lowest variable that they share
+    one = p.withColumn("v", F.explode(bits("mask"))).join(q.withColumn("v", F.explode(bits("m2"))), "v")
+    pair = one.where("shiftleft(1L, v) = ((mask & m2) & -(mask & m2)) and (a2 > area or (a2 = area and m2 < mask))").drop("v")
     both = support(pair.select(F.expr("mask | m2").alias("mask")).distinct(), sig).select(F.col("mask").alias("u"), F.col("support").alias("common"))
     scored = pair.withColumn("u", F.expr("mask | m2")).join(both, "u", "left")
     shared = F.coalesce("common", F.lit(0)) * F.expr("bit_count(mask & m2)")

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 import tempfile
+import uuid
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
@@ -21,6 +22,12 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def shared_folder(spark, name: str) -> str:
+    """A fresh folder below spark.checkpoint.dir, which all executors share; local only where that is unset."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.gettempdir()
+    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
 def to_cells(df: DataFrame, key: str, cols: list[str]) -> DataFrame:
     """Wide to (key, variable, value); missing cells have no row."""
     kept = df.select(key, *[F.col(c).cast("double").alias(c) for c in cols])
@@ -92,14 +99,18 @@ def numbered(items: DataFrame) -> DataFrame:
     return items.select("item", (F.row_number().over(W.orderBy("item")) - 1).alias("var_id"))
 
 
+def bit_of(place: str) -> Column:
+    """A mask's bit of that place; a place that no mask holds ends the query with an error."""
+    return F.expr(f"shiftleft(1L, cast(if({place} between 0 and {MASK_BITS - 1}, {place}, raise_error('a mask holds {MASK_BITS} variables; use plans.find or plans.wide')) as int))")
+
+
 def signatures(cells: DataFrame, variables: DataFrame) -> DataFrame:
-    """mask, w: distinct presence rows of the chosen variables (62 at most) with their number.
+    """mask, w: distinct presence rows of the chosen variables (62 at most, more are an error) with their number.
 
     Rows without any of them are left out; N comes from the base table. Both shuffles
     carry partial aggregates, and the second has a row a distinct mask and task at most.
     """
-    one = F.expr("shiftleft(1L, var_id)")
-    rows = cells.join(F.broadcast(variables), "item").groupBy("obs").agg(F.bit_or(one).alias("mask"))
+    rows = cells.join(F.broadcast(variables), "item").groupBy("obs").agg(F.bit_or(bit_of("var_id")).alias("mask"))
     return rows.groupBy("mask").agg(F.count(F.lit(1)).alias("w"))
 
 
@@ -109,7 +120,7 @@ def cluster_signatures(cells: DataFrame, variables: DataFrame) -> DataFrame:
     ``variables``: item, cluster_id, bit (place inside the cluster, so masks stay short
     however many variables there are).
     """
-    rows = cells.join(F.broadcast(variables), "item").groupBy("cluster_id", "obs").agg(F.bit_or(F.expr("shiftleft(1L, bit)")).alias("mask"))
+    rows = cells.join(F.broadcast(variables), "item").groupBy("cluster_id", "obs").agg(F.bit_or(bit_of("bit")).alias("mask"))
     return rows.groupBy("cluster_id", "mask").agg(F.count(F.lit(1)).alias("w"))
 
 
@@ -141,4 +152,4 @@ def cover(patterns: DataFrame, rows: DataFrame) -> DataFrame:
 
 
 def row_masks(cells: DataFrame, variables: DataFrame) -> DataFrame:
-    return cells.join(F.broadcast(variables), "item").groupBy("obs").agg(F.bit_or(F.expr("shiftleft(1L, var_id)")).alias("mask"))
+    return cells.join(F.broadcast(variables), "item").groupBy("obs").agg(F.bit_or(bit_of("var_id")).alias("mask"))

@@ -14,6 +14,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from vpatterns.operators.coherence import ratio
+
 #: What a joint level with a missing side is: no pair, one more level, or outside N.
 POLICIES = ("skip", "level", "pairwise")
 #: The level that stands for a missing cell under ``level``.
@@ -35,29 +37,37 @@ def joint_counts_of_signatures(sig: DataFrame) -> DataFrame:
     return pair.groupBy("a", "b").agg(F.sum("w").alias("c")).select("a", "b", F.lit(1).alias("la"), F.lit(1).alias("lb"), "c")
 
 
-def joint_counts_gram(cells: DataFrame, columns: list[tuple[int, int]]) -> DataFrame:
-    """The same by Gram products of one-hot blocks; ``columns`` lists (var_id, level)."""
-    at = {c: i for i, c in enumerate(columns)}
+def joint_counts_gram(cells: DataFrame, columns: list[tuple[int, int]], rows_each: int = 4096) -> DataFrame:
+    """The same by Gram products of one-hot rows in blocks of columns; ``columns`` lists (var_id, level)."""
+    spark = cells.sparkSession
+    n = len(columns)
+    place = spark.createDataFrame([(v, k, i) for i, (v, k) in enumerate(columns)], "var_id int, level int, place int")
+    starts = range(0, n, BLOCK)
 
     def step(batches):
-        total = np.zeros((len(columns), len(columns)))
+        total: dict[tuple[int, int], np.ndarray] = {}
         for batch in batches:
-            rows = batch.column(0).to_pylist()
-            hot = np.zeros((len(rows), len(columns)))
-            for i, row in enumerate(rows):
-                for c in row:
-                    j = at.get((c["var_id"], c["level"]))
-                    if j is not None:
-                        hot[i, j] = 1
-            total += hot.T @ hot
-        i, j = np.nonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(i), pa.array(j), pa.array(total[i, j].astype(np.int64))], names=["i", "j", "c"])
-
-    rows = cells.groupBy("obs").agg(F.collect_list(F.struct("var_id", "level")).alias("row")).select("row")
+            for at in range(0, batch.num_rows, rows_each):
+                lists = batch.column(0).slice(at, rows_each)
+                row = np.repeat(np.arange(len(lists)), np.diff(lists.offsets.to_numpy()))
+                hot = np.zeros((len(lists), n), np.float32)  # counts of a slice are exact in it
+                hot[row, lists.flatten().to_numpy()] = 1
+                for p in starts:
+                    for q in starts:
+                        if q >= p:
+                            got = (hot[:, p : p + BLOCK].T @ hot[:, q : q + BLOCK]).astype(np.int64)
+                            if got.any():
+                                total[p, q] = total[p, q] + got if (p, q) in total else got
+        for (p, q), t in total.items():
+            i, j = np.nonzero(np.triu(t) if p == q else t)  # each pair of columns once
+            yield pa.RecordBatch.from_arrays([pa.array(i + p), pa.array(j + q), pa.array(t[i, j])], names=["i", "j", "c"])
+
+    rows = cells.join(F.broadcast(place), ["var_id", "level"]).groupBy("obs").agg(F.collect_list("place").alias("row")).select("row")
     got = rows.mapInArrow(step, "i long, j long, c long").groupBy("i", "j").agg(F.sum("c").alias("c"))
-    name = cells.sparkSession.createDataFrame([(i, v, k) for i, (v, k) in enumerate(columns)], "k long, v int, l int")
-    a, b = name.select(F.col("k").alias("i"), F.col("v").alias("a"), F.col("l").alias("la")), name.select(F.col("k").alias("j"), F.col("v").alias("b"), F.col("l").alias("lb"))
-    return got.join(F.broadcast(a), "i").join(F.broadcast(b), "j").where("a < b").select("a", "b", "la", "lb", "c")
+    a, b = place.select(F.col("place").alias("i"), F.col("var_id").alias("a"), F.col("level").alias("la")), place.select(F.col("place").alias("j"), F.col("var_id").alias("b"), F.col("level").alias("lb"))
+    met = got.join(F.broadcast(a), "i").join(F.broadcast(b), "j")
+    flip = met.where("a > b").select(F.col("b").alias("a"), F.col("a").alias("b"), F.col("lb").alias("la"), F.col("la").alias("lb"), "c")
+    return met.where("a < b").select("a", "b", "la", "lb", "c").unionByName(flip)
 
 
 def marginals(cells: DataFrame) -> DataFrame:
@@ -114,31 +124,88 @@ def pattern_similarity(joint: DataFrame, single: DataFrame, n_obs: int, missing:
     return scored.select(F.col("a").cast("int").alias("a"), F.col("b").cast("int").alias("b"), keep("purity").alias("purity"), keep("concentration").alias("concentration"), (keep("purity") * keep("concentration")).alias("sim"))
 
 
-def difference_similarity(values: DataFrame, n_obs: int, kind: str = "additive") -> DataFrame:
+SIGNS = ("all", "positive", "split")
+
+
+def difference_similarity(values: DataFrame, n_obs: int, kind: str = "additive", sign_policy: str = "all") -> DataFrame:
     """The same for additive or multiplicative coherence, from whole-number values (obs, var, value).
 
-    A pair of variables is turned into (0, difference) or (1, ratio); ratios of whole
-    numbers are compared as reduced fractions, so equal ones are equal exactly, and zeros
-    have no ratio.
+    A pair of variables is turned into (0, difference) or (1, ratio). Ratios of whole
+    numbers are one double for each reduced fraction (``coherence.ratio``); zeros have no
+    ratio. ``sign_policy`` of ratios: all, of positive values only, or with the sign of the
+    first value as part of the level. Pairs that never meet have 0.
     """
+    if sign_policy not in SIGNS:
+        raise ValueError(f"sign_policy must be one of {SIGNS}")
     x, y = values.select("obs", F.col("var").alias("a"), F.col("value").alias("x")), values.select("obs", F.col("var").alias("b"), F.col("value").alias("y"))
-    both = x.join(y, "obs").where("a < b")
+    both = x.join(y, "obs").where("a < b").withColumn("side", F.lit(0))
     if kind == "additive":
-        both = both.withColumn("d", (F.col("y") - F.col("x")).cast("string"))
+        both = both.withColumn("d", (F.col("y") - F.col("x")).cast("double"))
     else:
-        both = both.where("x <> 0 and y <> 0").withColumn("d", F.round(F.col("y") / F.col("x"), 9).cast("string"))
-    counts = both.groupBy("a", "b", "d").agg(F.count(F.lit(1)).alias("c"))
-    pair = counts.groupBy("a", "b").agg(F.sum("c").alias("n"), F.count(F.lit(1)).alias("m"), F.sum((F.col("c") / n_obs) * F.log(F.col("c") / n_obs)).alias("e"))
-    purity = F.col("n") / F.col("n") / F.col("m")
+        both = both.where("x <> 0 and y <> 0" if sign_policy != "positive" else "x > 0 and y > 0").withColumn("d", ratio("y", "x"))
+        both = both.withColumn("side", F.signum("x").cast("int")) if sign_policy == "split" else both
+    counts = both.groupBy("a", "b", "side", "d").agg(F.count(F.lit(1)).alias("c"))
+    # (0, difference): the first value is one level for all pairs of a side, so the larger share is the side's
+    of_side = counts.groupBy("a", "b", "side").agg(F.sum("c").alias("all"), F.count(F.lit(1)).alias("m"), F.sum((F.col("c") / n_obs) * F.log(F.col("c") / n_obs)).alias("e"))
+    pair = of_side.groupBy("a", "b").agg(F.count(F.lit(1)).alias("sides"), F.sum("m").alias("m"), F.sum("e").alias("e"))
+    purity = F.col("sides") / F.col("m")
     concentration = 1 + F.col("e") / math.log(n_obs) if n_obs > 1 else F.lit(0.0)
-    return pair.select(F.col("a").cast("int").alias("a"), F.col("b").cast("int").alias("b"), purity.alias("purity"), concentration.alias("concentration"), (purity * concentration).alias("sim"))
+    ids = values.select("var").distinct()
+    grid = ids.select(F.col("var").alias("a")).join(ids.select(F.col("var").alias("b")), F.col("a") < F.col("b"))
+    scored = grid.join(pair.select("a", "b", purity.alias("purity"), concentration.alias("concentration")), ["a", "b"], "left")
+    keep = lambda c: F.coalesce(F.col(c), F.lit(0.0))
+    return scored.select(F.col("a").cast("int").alias("a"), F.col("b").cast("int").alias("b"), keep("purity").alias("purity"), keep("concentration").alias("concentration"), (keep("purity") * keep("concentration")).alias("sim"))
 
 
-def order_similarity(df: DataFrame, columns: list[str], n_obs: int | None = None) -> DataFrame:
+#: Variables whose pairs are expressions of one aggregation; more are counted in blocks.
+EXPRESSIONS = 24
+BLOCK = 128
+
+
+def _pair_blocks(df: DataFrame, columns: list[str], count, kinds: int) -> DataFrame:
+    """i, j, s0.. : sums over rows of ``count(x, y)`` for blocks of columns, added across partitions.
+
+    A task holds one block of results at a time for the rows of one batch; what it sends
+    are blocks, so the plan has one row a block, not an expression a pair.
+    """
+    m = len(columns)
+    starts = list(range(0, m, BLOCK))
+
+    def step(batches):
+        total: dict[tuple[int, int], np.ndarray] = {}
+        for batch in batches:
+            x = np.column_stack([batch.column(i).to_numpy(zero_copy_only=False).astype(float) for i in range(m)])
+            for p in starts:
+                for q in starts:
+                    if q >= p:
+                        got = count(x[:, p : p + BLOCK], x[:, q : q + BLOCK])
+                        total[p, q] = total[p, q] + got if (p, q) in total else got
+        for (p, q), t in total.items():
+            i, j = np.meshgrid(np.arange(p, p + t.shape[1]), np.arange(q, q + t.shape[2]), indexing="ij")
+            some = i < j
+            yield pa.RecordBatch.from_arrays([pa.array(i[some].astype(np.int32)), pa.array(j[some].astype(np.int32)), *(pa.array(t[k][some].astype(float)) for k in range(kinds))], names=["a", "b", *(f"s{k}" for k in range(kinds))])
+
+    schema = "a int, b int, " + ", ".join(f"s{k} double" for k in range(kinds))
+    rows = df.select(*[F.col(c).cast("double").alias(f"c{i}") for i, c in enumerate(columns)]).mapInArrow(step, schema)
+    return rows.groupBy("a", "b").agg(*[F.sum(f"s{k}").alias(f"s{k}") for k in range(kinds)])
+
+
+def order_similarity(df: DataFrame, columns: list[str], n_obs: int | None = None, engine: str | None = None) -> DataFrame:
     """a, b, sim over wide rows: the larger share of rows in which one variable is above the other.
 
-    One scan without a join: each pair is two sums; ties and missing values add nothing.
+    One scan without a join; ties and missing values add nothing. Few variables are
+    expressions (two sums a pair), many are counted in blocks of columns.
     """
+    engine = engine or ("expressions" if len(columns) <= EXPRESSIONS else "blocks")
+    if engine == "blocks":
+        def count(x, y):
+            above, below = np.zeros((x.shape[1], y.shape[1])), np.zeros((x.shape[1], y.shape[1]))
+            for k in range(x.shape[1]):
+                above[k], below[k] = (x[:, k, None] > y).sum(axis=0), (x[:, k, None] < y).sum(axis=0)
+            return np.stack([above, below])
+
+        n = n_obs if n_obs else df.count()
+        return _pair_blocks(df, columns, count, 2).select("a", "b", (F.greatest("s0", "s1") / n).alias("sim"))
     pairs = [(i, j) for i in range(len(columns)) for j in range(i + 1, len(columns))]
     sums = [F.sum(F.when(F.col(columns[i]) > F.col(columns[j]), 1).otherwise(0)).alias(f"g{i}_{j}") for i, j in pairs]
     sums += [F.sum(F.when(F.col(columns[i]) < F.col(columns[j]), 1).otherwise(0)).alias(f"l{i}_{j}") for i, j in pairs]
@@ -148,6 +215,15 @@ def order_similarity(df: DataFrame, columns: list[str], n_obs: int | None = None
     return total.select(each.alias("e"), "n").select("e.a", "e.b", (F.col("e.m") / n).alias("sim"))
 
 
+def order_similarity_cells(values: DataFrame, n_obs: int) -> DataFrame:
+    """The same from cells (obs, var, value); pairs that never meet have 0."""
+    x, y = values.select("obs", F.col("var").alias("a"), F.col("value").alias("x")), values.select("obs", F.col("var").alias("b"), F.col("value").alias("y"))
+    met = x.join(y, "obs").where("a < b").groupBy("a", "b").agg(F.count_if(F.expr("x > y")).alias("g"), F.count_if(F.expr("x < y")).alias("l"))
+    ids = values.select("var").distinct()
+    grid = ids.select(F.col("var").alias("a")).join(ids.select(F.col("var").alias("b")), F.col("a") < F.col("b"))
+    return grid.join(met, ["a", "b"], "left").select(F.col("a").cast("int").alias("a"), F.col("b").cast("int").alias("b"), (F.coalesce(F.greatest("g", "l"), F.lit(0)) / n_obs).alias("sim"))
+
+
 def jaccard(joint: DataFrame, single: DataFrame) -> DataFrame:
     """a, b, score: observations where both have one level over those where either is present."""
     n = single.groupBy("v").agg(F.sum("c").alias("c"))
@@ -157,7 +233,24 @@ def jaccard(joint: DataFrame, single: DataFrame) -> DataFrame:
     return grid.join(met, ["a", "b"], "left").select(F.col("a").cast("int").alias("a"), F.col("b").cast("int").alias("b"), (m / (F.col("na") + F.col("nb") - m)).alias("score"))
 
 
-def pearson(df: DataFrame, columns: list[str]) -> DataFrame:
+def pearson(df: DataFrame, columns: list[str], engine: str | None = None) -> DataFrame:
+    """a, b, score; many variables by sums of products in blocks, over rows where both are present.
+
+    The block form moves every variable by its mean first, so the sums keep their digits.
+    """
+    engine = engine or ("expressions" if len(columns) <= EXPRESSIONS else "blocks")
+    if engine == "blocks":
+        means = df.agg(*[F.avg(c).alias(f"m{i}") for i, c in enumerate(columns)]).first()
+        shift = [float(means[f"m{i}"] or 0.0) for i in range(len(columns))]
+        moved = df.select(*[(F.col(c) - F.lit(m)).alias(f"c{i}") for i, (c, m) in enumerate(zip(columns, shift))])
+
+        def count(x, y):
+            u, v = (~np.isnan(x)).astype(float), (~np.isnan(y)).astype(float)
+            x, y = np.nan_to_num(x), np.nan_to_num(y)
+            return np.stack([u.T @ v, x.T @ v, u.T @ y, (x * x).T @ v, u.T @ (y * y), x.T @ y])
+
+        sums = _pair_blocks(moved, [f"c{i}" for i in range(len(columns))], count, 6)
+        return sums.select("a", "b", F.expr("(s0 * s5 - s1 * s2) / nullif(sqrt(s0 * s3 - s1 * s1) * sqrt(s0 * s4 - s2 * s2), 0D)").alias("score"))
     pairs = [(i, j) for i in range(len(columns)) for j in range(i + 1, len(columns))]
     total = df.agg(*[F.corr(columns[i], columns[j]).alias(f"r{i}_{j}") for i, j in pairs])
     each = F.explode(F.array(*[F.struct(F.lit(i).alias("a"), F.lit(j).alias("b"), F.col(f"r{i}_{j}").alias("score")) for i, j in pairs]))

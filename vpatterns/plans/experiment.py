@@ -2,35 +2,61 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vpatterns.functions import significance
-from vpatterns.operators import prepare
-from vpatterns.plans.pipeline import STRATEGIES, discover
+from vpatterns.operators.prepare import cut, cutoff
+from vpatterns.plans.draws import STRATEGIES, drawn, measured
 from vpatterns.sources.workloads import Matrix
 
 SIZES, RUNS = (4, 8, 12, 16, 20), 10
 SCHEMA = "dataset string, n_vars int, run int, strategy string, metric string, value double"
 
 
-def run_experiment(name: str, matrix: Matrix, min_sup: float, sizes=SIZES, runs: int = RUNS, cap: int = 4, strategies=STRATEGIES, merge: str = "sequential") -> DataFrame:
-    """dataset, n_vars, run, strategy, metric, value: all strategies see the same draws."""
+def draw_signatures(matrix: Matrix, draws: list[tuple[int, int]], names: list[list[str]]) -> DataFrame:
+    """draw, mask, w: the weighted rows of all draws from one pass over the cells.
+
+    Every cell carries its bit in each draw, so a row's masks are all made by one aggregation.
+    """
+    spark = matrix.cells.sparkSession
+    of_item: dict[str, list[int]] = {}
+    for k, some in enumerate(names):
+        for i, item in enumerate(some):
+            of_item.setdefault(item, [0] * len(draws))[k] = 1 << i
+    table = spark.createDataFrame(list(of_item.items()), "item string, bits array<long>")
+    rows = matrix.cells.join(F.broadcast(table), "item").groupBy("obs").agg(*[F.bit_or(F.get("bits", F.lit(k))).alias(f"m{k}") for k in range(len(draws))])
+    each = rows.select(F.posexplode(F.array(*[f"m{k}" for k in range(len(draws))])).alias("draw", "mask")).where("mask <> 0")
+    return each.groupBy("draw", "mask").agg(F.count(F.lit(1)).alias("w"))
+
+
+def run_experiment(name: str, matrix: Matrix, min_sup: float, sizes=SIZES, runs: int = RUNS, cap: int = 4, strategies=STRATEGIES, linkage: str = "average") -> DataFrame:
+    """dataset, n_vars, run, strategy, metric, value: all strategies see the same draws.
+
+    One job makes the weighted rows of all draws, one runs the draws, a task each; a draw's
+    rows are at most 2**n_vars masks, however many observations there are. The result is
+    written, so times are read once and stay.
+    """
     spark = matrix.cells.sparkSession
-    cells = Matrix(matrix.cells.persist(), matrix.n_obs)
-    rows = []
-    for size in sizes:
-        for run in range(runs):
-            variables = prepare.numbered(prepare.draw(cells.cells, size, run)).persist()
-            for strategy in strategies:
-                found = discover(cells, variables, min_sup, cap, strategy, merge)
-                n = found.patterns.count()
-                means = found.local.agg(F.avg("support").alias("s"), F.avg(F.bit_count("mask")).alias("v")).first()
-                values = found.measures | {"patterns": n, "mean_support": means["s"], "mean_length": means["v"]}
-                rows += [(name, size, run, strategy, k, float(v)) for k, v in values.items() if v is not None]
-            variables.unpersist()
-    cells.cells.unpersist()
-    return spark.createDataFrame(rows, SCHEMA)
+    least = cutoff(min_sup, matrix.n_obs)
+    cells = Matrix(cut(matrix.cells), matrix.n_obs)
+    items = sorted(r["item"] for r in cells.cells.select("item").distinct().collect())
+    draws = [(size, run) for size in sizes for run in range(runs)]
+    names = [drawn(items, size, run) for size, run in draws]
+    if not items:
+        return spark.createDataFrame([], SCHEMA)
+    n_obs = matrix.n_obs
+
+    def one(key, rows):
+        k = key[0].as_py()
+        masks, w = rows.column("mask").to_numpy(), rows.column("w").to_numpy()
+        got = measured(masks, w, names[k], n_obs, least, cap, strategies, linkage)
+        columns = [[name] * len(got), [draws[k][0]] * len(got), [draws[k][1]] * len(got), *zip(*got)]
+        return pa.table([pa.array(c, t) for c, t in zip(columns, (pa.string(), pa.int32(), pa.int32(), pa.string(), pa.string(), pa.float64()))], ["dataset", "n_vars", "run", "strategy", "metric", "value"])
+
+    sig = draw_signatures(cells, draws, names)
+    return cut(sig.repartition(len(draws), "draw").groupBy("draw").applyInArrow(one, SCHEMA))
 
 
 def pattern_counts(runs: DataFrame) -> DataFrame:
@@ -64,3 +90,17 @@ def planted_recovery(found: DataFrame, truth: DataFrame, key: str = "vars") -> D
     pair = truth.select("plant", F.col(key).alias("t")).crossJoin(F.broadcast(found.select(F.col(key).alias("f"))))
     score = F.size(F.array_intersect("t", "f")) / F.size(F.array_union("t", "f"))
     return pair.groupBy("plant").agg(F.max(score).alias("best"))
+
+
+def cell_recovery(rows: DataFrame, key: list[str], planted: DataFrame, truth: list[int], name: str) -> DataFrame:
+    """plant, best: the largest Jaccard index of the plant's cells with a found pattern's cells.
+
+    ``rows``: obs and the pattern's columns ``key``, its variables being the first of them;
+    ``planted``: obs of the plant, its cells being those of the variables ``truth``.
+    """
+    met = rows.join(planted.select("obs", F.lit(1).alias("own")), "obs", "left")
+    each = met.groupBy(*key).agg(F.count(F.lit(1)).alias("n"), F.count("own").alias("hit"))
+    size = F.lit(planted.count() * len(truth))
+    variables = F.array(*[F.lit(v) for v in truth])
+    common = F.col("hit") * F.size(F.array_intersect(F.col(key[0]), variables))
+    return each.agg(F.round(F.max(common / (F.col("n") * F.size(key[0]) + size - common)), 6).alias("best")).select(F.lit(name).alias("plant"), "best")

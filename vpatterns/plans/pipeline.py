@@ -34,29 +34,31 @@ def group_variables(sig: DataFrame, variables: DataFrame, n_obs: int, cap: int,
         raise ValueError(f"strategy must be one of {STRATEGIES}")
     joint, single = similarity.joint_counts_of_signatures(sig), similarity.marginals_of_signatures(sig)
     sim = similarity.jaccard(joint, single) if score == "score" else similarity.pattern_similarity(joint, single, n_obs, missing)
-    ids = sorted(r["var_id"] for r in variables.select("var_id").collect())
-    pairs = {(r["a"], r["b"]): r["s"] for r in sim.select("a", "b", F.col(score).alias("s")).collect()}
-    full = {(a, b): pairs.get((a, b), 0.0) for i, a in enumerate(ids) for b in ids[i + 1 :]}
-    home, _ = C.fuse(full, ids, cap, linkage, "similar" if strategy == "similar" else "dissimilar")
-    return sig.sparkSession.createDataFrame(sorted(home.items()), "var_id int, cluster_id int")
+    ids = sorted(r["var_id"] for r in variables.select("var_id").collect())  # at most a mask's places
+    grid = sig.sparkSession.createDataFrame([(a, b) for i, a in enumerate(ids) for b in ids[i + 1 :]], "a int, b int")
+    full = grid.join(F.broadcast(sim), ["a", "b"], "left").select("a", "b", F.coalesce(score, F.lit(0.0)).alias("s"))
+    return C.capped_clusters(full, ids, cap, linkage, "similar" if strategy == "similar" else "dissimilar", "s")
 
 
 def local_patterns(sig: DataFrame, assignment: DataFrame, least: int, closed: bool = True) -> DataFrame:
     """cluster_id, mask (over all variables), support of every group, mined in one job a level."""
-    groups = assignment.groupBy("cluster_id").agg(F.bit_or(F.expr("shiftleft(1L, var_id)")).alias("own"))
+    groups = assignment.groupBy("cluster_id").agg(F.bit_or(prepare.bit_of("var_id")).alias("own"))  # at most a mask's places
     parts = sig.join(F.broadcast(groups)).select("cluster_id", F.expr("mask & own").alias("mask"), "w").where("mask <> 0")
     parts = parts.groupBy("cluster_id", "mask").agg(F.sum("w").alias("w"))
     found = mining.apriori(parts, least, keys=("cluster_id",))
     if not closed:
         return found
-    hit = parts.join(F.broadcast(found.select(F.col("cluster_id").alias("c"), F.col("mask").alias("p"))), F.expr("cluster_id = c and (mask & p) = p"))
-    ids = hit.groupBy("c", "p").agg(F.sum("w").alias("support"), F.bit_xor(F.xxhash64("mask")).alias("h1"), F.bit_xor(F.xxhash64("mask", F.lit(1))).alias("h2"))
-    shut = ids.groupBy(F.col("c").alias("cluster_id"), "support", "h1", "h2").agg(F.bit_or("p").alias("mask"))
+    hit = mining.containing(found.select("cluster_id", "mask"), parts, ("cluster_id",), found.count())
+    ids = hit.groupBy("_cluster_id", "_mask").agg(F.sum("w").alias("support"), F.bit_xor(F.xxhash64("mask")).alias("h1"), F.bit_xor(F.xxhash64("mask", F.lit(1))).alias("h2"))
+    shut = ids.groupBy(F.col("_cluster_id").alias("cluster_id"), "support", "h1", "h2").agg(F.bit_or("_mask").alias("mask"))
     return shut.select("cluster_id", "mask", "support")
 
 
 def discover(matrix: Matrix, variables: DataFrame, min_sup: float, cap: int = 4, strategy: str = "similar", merge: str = "sequential", linkage: str = "average", closed_local: bool = True, score: str = "sim") -> Discovery:
-    """Closed frequent patterns of constant coherence over the chosen variables (62 at most)."""
+    """Closed frequent patterns of constant coherence over the chosen variables.
+
+    More than a mask holds (62) is an error; ``plans.find`` takes any number.
+    """
     began = time.perf_counter()
     least = prepare.cutoff(min_sup, matrix.n_obs)
     sig = prepare.cut(prepare.signatures(matrix.cells, variables))

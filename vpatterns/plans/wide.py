@@ -35,7 +35,7 @@ def placed_variables(matrix: Matrix, variables: DataFrame, cap: int, strategy: s
 
 def weighted_rows(matrix: Matrix, placed: DataFrame) -> DataFrame:
     """row, w, cluster_id, mask: distinct rows as their groups' masks, one line a group."""
-    masks = matrix.cells.join(placed, "item").groupBy("obs", "cluster_id").agg(F.bit_or(F.expr("shiftleft(1L, bit)")).alias("mask"))
+    masks = matrix.cells.join(placed, "item").groupBy("obs", "cluster_id").agg(F.bit_or(prepare.bit_of("bit")).alias("mask"))
     rows = masks.groupBy("obs").agg(F.array_sort(F.collect_list(F.struct("cluster_id", "mask"))).alias("parts")).groupBy("parts").agg(F.count(F.lit(1)).alias("w"))
     numbered = cut(rows.withColumn("row", F.monotonically_increasing_id()))
     return numbered.select("row", "w", F.explode("parts").alias("p")).select("row", "w", "p.cluster_id", "p.mask")
@@ -72,13 +72,13 @@ def merged(rows: DataFrame, local: DataFrame, least: int) -> DataFrame:
     return union.groupBy("support", "h1", "h2").agg(F.array_sort(F.collect_list(F.struct("cluster_id", "p"))).alias("parts")).select("parts", "support")
 
 
-def discover_wide(matrix: Matrix, min_sup: float, cap: int = 8, strategy: str = "similar", variables: DataFrame | None = None) -> DataFrame:
+def discover_wide(matrix: Matrix, min_sup: float, cap: int = 8, strategy: str = "similar", variables: DataFrame | None = None, linkage: str = "average") -> DataFrame:
     """items (sorted), support of all closed frequent patterns of constant coherence."""
     least = prepare.cutoff(min_sup, matrix.n_obs)
     variables = prepare.numbered(matrix.cells.select("item").distinct()) if variables is None else variables
-    placed = cut(placed_variables(matrix, cut(variables), cap, strategy))
+    placed = cut(placed_variables(matrix, cut(variables), cap, strategy, linkage))
     rows = cut(weighted_rows(matrix, placed))
     found = merged(rows, cut(closed_local(rows, least)), least)
-    one = found.withColumn("k", F.monotonically_increasing_id()).select("k", "support", F.explode("parts").alias("e"))
+    one = found.select("parts", "support", F.explode("parts").alias("e"))
     named = one.join(placed, F.expr("e.cluster_id = cluster_id and getbit(e.p, bit) = 1"))
-    return named.groupBy("k", "support").agg(F.array_sort(F.collect_list("item")).alias("items")).select("items", "support")
+    return named.groupBy("parts", "support").agg(F.array_sort(F.collect_list("item")).alias("items")).select("items", "support")

@@ -12,6 +12,8 @@ from vpatterns.operators import prepare as P
 from vpatterns.operators.closed import closed_patterns
 from vpatterns.plans import experiment as X
 from vpatterns.plans import pipeline as D
+from vpatterns.plans.find import find
+from vpatterns.plans.kinds import discover_kind
 from vpatterns.plans.wide import closed_local, discover_wide, placed_variables, weighted_rows
 from vpatterns.queries import query
 from vpatterns.queries import views as V
@@ -212,6 +214,14 @@ def related_sample(spark, sf_dir):
     return D.contract(mining.sample_mine(sig, 0.5, m.n_obs, 0.005))
 
 
+@query("related_sample_recall")
+def related_sample_recall(spark, sf_dir):
+    """How many of the exact patterns the sample gives."""
+    m, _, sig, _ = brand_signatures(spark, sf_dir)
+    exact = mining.apriori(sig, P.cutoff(0.005, m.n_obs))
+    return mining.recall(mining.sample_mine(sig, 0.5, m.n_obs, 0.005), exact)
+
+
 def _patterns(key):
     f, ms = WL.WORKLOADS[key]
 
@@ -243,6 +253,13 @@ def wide_patterns(spark, sf_dir):
     return got.select(F.array_join("items", ",").alias("pattern"), F.size("items").alias("n_vars"), F.col("support").cast("long").alias("support"))
 
 
+@query("wide_discover", WIDE)
+def wide_discover(spark, sf_dir):
+    """The same through the entry point that takes any matrix: its profile asks for the wide form."""
+    got = find(WL.embedding_bins(spark, sf_dir), 0.055, cap=6)
+    return got.select(F.array_join("items", ",").alias("pattern"), F.size("items").alias("n_vars"), F.col("support").cast("long").alias("support"))
+
+
 def _whole(key):
     f, ms = WL.WORKLOADS[key]
 
@@ -352,20 +369,75 @@ def measure_pattern_bound(spark, sf_dir):
     return sizes.select("n_vars", (F.pow(F.lit(2.0), "n_vars") - 1).cast("long").alias("bound"))
 
 
-def draw_sql(size: int, run: int) -> str:
-    """Closed patterns of one draw, variables numbered by name."""
-    return f"""SELECT {size} AS n_vars, {run} AS run, (SELECT count(*) FROM (
-WITH {V.W7}, vars AS (SELECT item, row_number() OVER (ORDER BY item) - 1 AS v FROM (SELECT DISTINCT item FROM it ORDER BY md5('42:{run}:' || item), item LIMIT {size})),
-sig AS (SELECT mask, count(*) AS w FROM (SELECT obs, sum(1::BIGINT << v::INT)::BIGINT AS mask FROM it JOIN vars USING (item) GROUP BY obs) GROUP BY mask),
-{V.frequent(size, 0.01)}, {V.CLOSED} SELECT * FROM closed))::DOUBLE AS value"""
+#: Draws that SQL checks by trying all masks; the whole experiment goes to 20 variables.
+CHECKED = (4, 8, 12)
 
 
-@query("experiment_counts", "SELECT n_vars, run, strategy, value FROM (" + " UNION ALL ".join(draw_sql(s, r) for s in (4, 8) for r in (0, 1)) + "), (SELECT unnest(['similar', 'dissimilar', 'random']) AS strategy)")
+def draws_sql(view: str, min_sup: float, sizes=CHECKED, runs: int = X.RUNS, seed: int = 42) -> str:
+    """vars, sig, freq and closed of all draws, by (k, run); variables numbered by name."""
+    return f"""{view}, draws AS (SELECT k, run FROM (SELECT unnest({list(sizes)}) AS k), (SELECT unnest(range(0, {runs}))::INT AS run)),
+ranked AS (SELECT run, item, row_number() OVER (PARTITION BY run ORDER BY md5('{seed}:' || run || ':' || item), item) AS r FROM (SELECT DISTINCT item FROM it), (SELECT DISTINCT run FROM draws)),
+vars AS (SELECT k, run, item, row_number() OVER (PARTITION BY k, run ORDER BY item) - 1 AS v FROM ranked JOIN draws USING (run) WHERE r <= k),
+sig AS (SELECT k, run, mask, count(*) AS w FROM (SELECT k, run, obs, sum(1::BIGINT << v::INT)::BIGINT AS mask FROM it JOIN vars USING (item) GROUP BY ALL) GROUP BY ALL),
+freq AS (SELECT k, run, p AS mask, sum(w)::BIGINT AS support FROM sig JOIN (SELECT DISTINCT k, unnest(range(1, 1 << k::INT)) AS p FROM draws) USING (k) WHERE (mask & p) = p GROUP BY ALL HAVING sum(w) / (SELECT n FROM n) > {min_sup}::DOUBLE),
+closed AS (SELECT * FROM freq a WHERE NOT EXISTS (SELECT 1 FROM freq b WHERE b.k = a.k AND b.run = a.run AND b.support = a.support AND b.mask <> a.mask AND (a.mask & b.mask) = a.mask)),
+n_closed AS (SELECT k, run, count(c.mask) AS c FROM draws LEFT JOIN closed c USING (k, run) GROUP BY k, run)"""
+
+
+@query("experiment_counts", f"""WITH {draws_sql(V.W7, 0.01)} SELECT k::INT AS n_vars, run, strategy, c::DOUBLE AS value FROM n_closed, (SELECT unnest(['similar', 'dissimilar', 'random']) AS strategy)""")
 def experiment_counts(spark, sf_dir):
-    runs = X.run_experiment("w7", WL.user_event_hours(spark, sf_dir), 0.01, (4, 8), 2)
+    """Closed patterns of every draw under every strategy: grouping never changes them."""
+    runs = X.run_experiment("w7", WL.user_event_hours(spark, sf_dir), 0.01, CHECKED)
     return runs.where("metric = 'patterns'").select("n_vars", "run", "strategy", "value")
 
 
+def _table2(key):
+    f, ms = WL.WORKLOADS[key]
+
+    def run(spark, sf_dir):
+        got = X.pattern_counts(X.run_experiment(key, f(spark, sf_dir), ms, CHECKED))
+        return got.select("dataset", "n_vars", F.round("mean", 6).alias("mean"), F.round("sd", 6).alias("sd"), F.col("bound").cast("long").alias("bound"))
+
+    return run
+
+
+def series_sql(key: str, min_sup: float, sizes=(4, 8), cap: int = 4) -> str:
+    """Mean support and length of closed local patterns by strategy; groups by recursion over all draws at once."""
+    return f"""WITH RECURSIVE {draws_sql(V.VIEWS[key], min_sup, sizes)},
+one AS (SELECT k, run, v, sum(w) AS c FROM sig JOIN vars USING (k, run) WHERE (mask >> v::INT) & 1 = 1 GROUP BY ALL),
+pair AS (SELECT x.k, x.run, x.v::INT AS a, y.v::INT AS b, x.c AS ca, y.c AS cb FROM one x JOIN one y ON x.k = y.k AND x.run = y.run AND x.v < y.v),
+met AS (SELECT p.k, p.run, a, b, ca, cb, sum(w)::DOUBLE AS c FROM pair p JOIN sig s ON s.k = p.k AND s.run = p.run AND (mask >> a) & 1 = 1 AND (mask >> b) & 1 = 1 GROUP BY ALL),
+sim AS (SELECT p.k, p.run, p.a, p.b, coalesce(c / greatest(p.ca, p.cb) * (1 + c / n * ln(c / n) / ln(n)), 0) AS s FROM pair p LEFT JOIN met m ON m.k = p.k AND m.run = p.run AND m.a = p.a AND m.b = p.b, n),
+st AS (SELECT 0 AS step, k, run, sign, list_transform(range(0, k), lambda x: x::INT) AS c FROM draws, (SELECT unnest([1, -1]) AS sign)
+UNION ALL SELECT step + 1, k, run, sign, list_transform(c, lambda x: CASE WHEN x = v THEN u ELSE x END) FROM (
+  SELECT *, row_number() OVER (PARTITION BY k, run, sign ORDER BY sign * round(s, 9) DESC, u, v) AS place FROM (
+    SELECT step, st.k, st.run, sign, c, least(c[a + 1], c[b + 1]) AS u, greatest(c[a + 1], c[b + 1]) AS v, avg(s) AS s FROM st JOIN sim ON sim.k = st.k AND sim.run = st.run WHERE c[a + 1] <> c[b + 1] GROUP BY ALL)
+  WHERE len(list_filter(c, lambda x: x = u OR x = v)) <= {cap}) WHERE place = 1),
+fin AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY k, run, sign ORDER BY step DESC) AS last FROM st) WHERE last = 1),
+rnd AS (SELECT k, run, v, floor((row_number() OVER (PARTITION BY k, run ORDER BY md5('42:' || item), item) - 1) / {cap}) AS g FROM vars),
+home AS (SELECT CASE WHEN sign = 1 THEN 'similar' ELSE 'dissimilar' END AS strategy, k, run, i AS v, c[i + 1] AS g FROM fin, LATERAL (SELECT unnest(range(0, k)) AS i) UNION ALL SELECT 'random', k, run, v, g::INT FROM rnd),
+own AS (SELECT strategy, k, run, g, sum(1::BIGINT << v::INT)::BIGINT AS own FROM home GROUP BY ALL),
+f AS (SELECT strategy, freq.k, freq.run, g, mask, support FROM freq JOIN own ON own.k = freq.k AND own.run = freq.run AND (mask & own) = mask),
+loc AS (SELECT strategy, k, run, avg(support) AS s, avg(bit_count(mask)) AS l FROM f x WHERE NOT EXISTS (SELECT 1 FROM f y WHERE y.strategy = x.strategy AND y.k = x.k AND y.run = x.run AND y.g = x.g AND y.support = x.support AND x.mask <> y.mask AND (x.mask & y.mask) = x.mask) GROUP BY ALL)
+SELECT '{key}' AS dataset, metric, strategy, k::INT AS n_vars, round(avg(CASE metric WHEN 'mean_support' THEN s ELSE l END), 6) AS mean, round(stddev_samp(CASE metric WHEN 'mean_support' THEN s ELSE l END), 6) AS sd
+FROM loc, (SELECT unnest(['mean_support', 'mean_length']) AS metric) GROUP BY ALL"""
+
+
+def _series(key, sizes=(4, 8)):
+    f, ms = WL.WORKLOADS[key]
+
+    def run(spark, sf_dir):
+        got = X.series(X.run_experiment(key, f(spark, sf_dir), ms, sizes)).where("metric in ('mean_support', 'mean_length')")
+        return got.select("dataset", "metric", "strategy", "n_vars", F.round("mean", 6).alias("mean"), F.round("sd", 6).alias("sd"))
+
+    return run
+
+
+for _key, (_, _ms) in WL.WORKLOADS.items():
+    query(f"{_key}_table2", f"""WITH {draws_sql(V.VIEWS[_key], _ms)} SELECT '{_key}' AS dataset, k::INT AS n_vars, round(avg(c), 6) AS mean, round(stddev_samp(c), 6) AS sd, (pow(2, k) - 1)::BIGINT AS bound FROM n_closed GROUP BY k""")(_table2(_key))
+    query(f"{_key}_series", series_sql(_key, _ms))(_series(_key))
+
+
 def whole_experiment(spark, sf_dir, keys=tuple(WL.WORKLOADS)):
     """Every size and draw of the experiment on each workload, at its own minimum support."""
     runs = [X.run_experiment(k, f(spark, sf_dir), ms) for k, (f, ms) in WL.WORKLOADS.items() if k in keys]
@@ -581,15 +653,84 @@ def merge_order_planted(spark, sf_dir):
     return _seq(H.merge_order(sides[0], sides[1], values, least))
 
 
-@query("planted_recovery", "SELECT plant, 1.0::DOUBLE AS best FROM (SELECT unnest(['additive', 'multiplicative', 'order']) AS plant)")
+def _closed_sql(sql: str) -> str:
+    """The patterns of ``_offset_sql`` that none of the same support encloses."""
+    head, tail = sql.rsplit("\nSELECT", 1)
+    shut = """, shut AS (SELECT * FROM f WHERE NOT EXISTS (SELECT 1 FROM f g WHERE g.support = f.support AND len(g.vars) > len(f.vars) AND list_has_all(g.vars, f.vars)
+AND list_bool_and(list_transform(range(1, len(f.vars) + 1), lambda i: abs({rest}) < 1e-9))))"""
+    at = lambda v: f"g.offs[list_position(g.vars, {v})]"
+    rest = f"{at('f.vars[i]')} - {at('f.vars[1]')} - f.offs[i]" if "round(l[i + 1] /" not in sql else f"{at('f.vars[i]')} / {at('f.vars[1]')} / f.offs[i] - 1"
+    return head + shut.replace("{rest}", rest) + "\nSELECT" + tail.replace("FROM f", "FROM shut")
+
+
+def _pipeline_offsets(first, kind):
+    def run(spark, sf_dir):
+        values, _ = planted(spark, sf_dir, first, first + 4)
+        got = discover_kind(values, values.select("obs").distinct().count(), 0.1, kind, cap=3)
+        text = lambda c, f: F.array_join(F.transform(c, f), ",")
+        return got.select(text("vars", lambda v: v.cast("string")).alias("pattern"), text("offsets", lambda o: F.round(o, 3).cast("string")).alias("offsets"), F.col("support").cast("long").alias("support"))
+
+    return run
+
+
+query("pipeline_additive", _closed_sql(_offset_sql(1, "(l[i + 1] - l[vs[1] + 1])::DOUBLE")))(_pipeline_offsets(1, "additive"))
+query("pipeline_multiplicative", _closed_sql(_offset_sql(6, "round(l[i + 1] / l[vs[1] + 1], 9)", "AND len(list_filter(vs, lambda i: l[i + 1] = 0)) = 0")))(_pipeline_offsets(6, "multiplicative"))
+
+
+@query("pipeline_order", ORDER)
+def pipeline_order(spark, sf_dir):
+    values, _ = planted(spark, sf_dir, 11, 14)
+    return _seq(discover_kind(values, values.select("obs").distinct().count(), 0.1, "order", cap=2))
+
+
+@query("merge_multiplicative_planted", _offset_sql(6, "round(l[i + 1] / l[vs[1] + 1], 9)", "AND len(list_filter(vs, lambda i: l[i + 1] = 0)) = 0 AND len(list_filter(vs, lambda i: i < 3)) > 0 AND len(list_filter(vs, lambda i: i >= 3)) > 0"))
+def merge_multiplicative_planted(spark, sf_dir):
+    """Groups 6-8 and 9-10 mined apart, their rows split by the ratio of pivots."""
+    values, least = planted(spark, sf_dir, 6, 10)
+    sides = []
+    for a, b in ((6, 8), (9, 10)):
+        own = values.where(f"var between {a} and {b}")
+        sides.append(H.offset_rows(own, H.mine_offsets(own, least, "multiplicative"), "multiplicative"))
+    rows = H.merge_offset(sides[0], sides[1], least, "multiplicative")
+    got = rows.groupBy("vars", "offsets").agg(F.count(F.lit(1)).alias("support")).where(F.col("support") >= least)
+    text = lambda c, f: F.array_join(F.transform(c, f), ",")
+    return got.select(text("vars", lambda v: v.cast("string")).alias("pattern"), text("offsets", lambda o: F.round(o, 3).cast("string")).alias("offsets"), "support")
+
+
+_FIVE = ORDER.replace("BETWEEN 11 AND 14", "BETWEEN 11 AND 15").split("every AS")[0] + "five AS (SELECT four.obs, list_append(s, v.var) AS s, v.x FROM four JOIN v ON four.obs = v.obs AND four.x < v.x), "
+
+
+def _recovery_sql() -> str:
+    """Of each plant: rows by pattern, how many of them are the plant's, and the best overlap of cells."""
+    each = []
+    for plant, k, first, combine, where in (
+        ("additive", 0, 1, "(l[i + 1] - l[vs[1] + 1])::DOUBLE", ""),
+        ("multiplicative", 1, 6, "round(l[i + 1] / l[vs[1] + 1], 9)", "AND len(list_filter(vs, lambda i: l[i + 1] = 0)) = 0"),
+        ("constant", 3, 16, "l[i + 1]::DOUBLE", ""),
+    ):
+        head = _offset_sql(first, combine, where).rsplit(",\nf AS", 1)[0].replace("SELECT list_transform(vs, lambda i: i +", "SELECT obs, list_transform(vs, lambda i: i +")
+        each.append(f"(SELECT '{plant}' AS plant, best FROM ({head}, g AS (SELECT vars, offs, count(*) AS c, count(*) FILTER (WHERE obs % 4 = {k}) AS hit FROM r GROUP BY ALL HAVING count(*) / (SELECT n FROM n) > 0.1) SELECT round(max(hit * len(vars) / (c * len(vars) + 5 * (SELECT count(*) FROM embeddings WHERE vec_id % 4 = {k}) - hit * len(vars))::DOUBLE), 6) AS best FROM g))")
+    every = "every AS (" + " UNION ALL ".join(f"SELECT obs, s FROM {x}" for x in ("two", "three", "four", "five")) + ")"
+    each.append(f"(SELECT 'order' AS plant, best FROM ({_FIVE}{every}, g AS (SELECT s AS vars, count(*) AS c, count(*) FILTER (WHERE obs % 4 = 2) AS hit FROM every GROUP BY s HAVING count(*) / (SELECT n FROM n) > 0.1) SELECT round(max(hit * len(vars) / (c * len(vars) + 5 * (SELECT count(*) FROM embeddings WHERE vec_id % 4 = 2) - hit * len(vars))::DOUBLE), 6) AS best FROM g))")
+    return " UNION ALL ".join(each)
+
+
+@query("planted_recovery", _recovery_sql())
 def planted_recovery(spark, sf_dir):
-    """Jaccard index of each planted set of variables with the best pattern found."""
-    out = None
-    for plant, first, mine in (("additive", 1, H.mine_offsets), ("multiplicative", 6, lambda v, n: H.mine_offsets(v, n, "multiplicative")), ("order", 11, H.mine_order)):
+    """Overlap of each plant's cells with the best pattern found on its variables."""
+    out = []
+    for plant, k, first in (("additive", 0, 1), ("multiplicative", 1, 6), ("order", 2, 11), ("constant", 3, 16)):
         values, least = planted(spark, sf_dir, first, first + 4)
-        found = mine(values, least)
-        found = found.select(F.col("vars" if "vars" in found.columns else "seq").alias("vars"))
-        truth = spark.createDataFrame([(plant, list(range(first, first + 5)))], "plant string, vars array<int>")
-        one = X.planted_recovery(found, truth)
-        out = one if out is None else out.unionByName(one)
-    return out
+        own = values.select("obs").distinct().where(F.col("obs") % 4 == k)
+        if plant == "order":
+            rows, key = H.order_rows(values, H.mine_order(values, least)), ["seq"]
+        elif plant == "constant":  # an observation of value 0 as pivot turns values into differences
+            both = values.unionByName(values.select("obs", F.lit(0).alias("var"), F.lit(0).cast("long").alias("value")).distinct())
+            found = H.mine_offsets(both, least).where("vars[0] = 0 and size(vars) > 2")
+            rows = H.offset_rows(both, found).where("size(vars) > 2").select("obs", F.slice("vars", 2, 99).alias("vars"), "offsets")
+            key = ["vars", "offsets"]
+        else:
+            rows = H.offset_rows(values, H.mine_offsets(values, least, plant), plant).where("size(vars) > 1")
+            key = ["vars", "offsets"]
+        out.append(X.cell_recovery(rows, key, own, list(range(first, first + 5)), plant))
+    return M.union(out)

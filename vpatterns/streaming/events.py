@@ -2,13 +2,11 @@
 
 from __future__ import annotations
 
-import uuid
-
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from vpatterns.operators.prepare import cut
+from vpatterns.operators.prepare import shared_folder
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -47,46 +45,93 @@ def with_segment(stream: DataFrame, customers: DataFrame) -> DataFrame:
     return stream.join(customers, stream.user_id == customers.c_custkey, "left")
 
 
-def level_masks(stream: DataFrame, kinds: list[str]) -> DataFrame:
-    """user_id, mask: the running set of event types of each user, kept as state."""
-    place = {k: i for i, k in enumerate(kinds)}
+#: The bit of event types that are not among the named ones.
+OTHER = 62
+
+
+def level_masks(stream: DataFrame, kinds: list[str], expire: str | None = None) -> DataFrame:
+    """user_id, mask: the running set of event types of each user, kept as state.
+
+    Types that are not named share one bit (OTHER). With ``expire`` (milliseconds as text
+    or a number) a user not seen for so long is forgotten and begins anew.
+    """
+    if len(kinds) > OTHER:
+        raise ValueError(f"{OTHER} kinds at most")
+    bit = {k: 1 << i for i, k in enumerate(kinds)}
+    wait = int(expire) if expire else 0
 
     def update(key, frames, state):
+        if state.hasTimedOut:
+            state.remove()
+            return
         mask = state.get[0] if state.exists else 0
         for x in frames:
-            for kind in x["event_type"]:
-                mask |= 1 << place.get(kind, 62)
+            for kind in x["event_type"].unique():
+                mask |= bit.get(kind, 1 << OTHER)
         state.update((mask,))
+        if wait:
+            state.setTimeoutDuration(wait)
         yield pd.DataFrame({"user_id": [key[0]], "mask": [mask]})
 
-    return stream.groupBy("user_id").applyInPandasWithState(update, "user_id long, mask long", "mask long", "update", "NoTimeout")
+    return stream.groupBy("user_id").applyInPandasWithState(update, "user_id long, mask long", "mask long", "update", "ProcessingTimeTimeout" if wait else "NoTimeout")
 
 
 def finished(df: DataFrame, mode: str = "complete") -> DataFrame:
-    """Run a stream over what is there, and give its result as a table of the session."""
-    spark, name = df.sparkSession, "s" + uuid.uuid4().hex
-    q = df.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+    """Run a stream over what is there; its result is a table in the folder that all executors share.
+
+    Appended rows go to the file sink. Complete results replace the one before, updates are
+    kept batch by batch; a batch that is run again replaces its own files.
+    """
+    spark, folder = df.sparkSession, shared_folder(df.sparkSession, "stream")
+    out = f"{folder}/out"
+    writer = df.writeStream.outputMode(mode).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True)
+    if mode == "append":
+        writer.format("parquet").option("path", out).start().awaitTermination()
+        return spark.read.schema(df.schema).parquet(out)
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(out if mode == "complete" else f"{out}/batch={number}")
+
+    writer.foreachBatch(keep).start().awaitTermination()
+    return spark.read.schema(df.schema).parquet(out).select(*df.columns)
 
 
 class CoOccurrence:
-    """Joint counts of user-day event types, added up batch by batch.
+    """Presence cells of user-days, from which joint counts are added up batch by batch.
 
-    Counts are additive as long as a batch brings whole user-days; rows of one user-day in
-    two batches are merged first by keeping the presence cells themselves.
+    Rows of one user-day may come in several batches, so the cells themselves are kept. A
+    batch writes only cells that are new, to files of its own, and compares with the days
+    it touches; run again, it replaces its own files.
     """
 
+    KEY = ("user_id", "day", "event_type")
+
     def __init__(self):
-        self.cells: DataFrame | None = None
+        self.folder: str | None = None
+        self.batches: list[int] = []
+
+    def cells(self, spark: SparkSession, schema, numbers) -> DataFrame | None:
+        paths = [f"{self.folder}/cells/{n}" for n in numbers]
+        return spark.read.schema(schema).parquet(*paths) if paths else None
 
-    def add(self, batch: DataFrame, _number: int) -> None:
+    def add(self, batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
         new = batch.select("user_id", F.to_date("ts").alias("day"), "event_type").distinct()
-        both = new if self.cells is None else self.cells.unionByName(new).distinct()
-        self.cells = cut(both)
+        have = self.cells(spark, new.schema, [n for n in self.batches if n < number])
+        if have is not None:
+            ends = new.agg(F.min("day").alias("a"), F.max("day").alias("b")).first()
+            if ends["a"] is not None:
+                have = have.where(F.col("day").between(F.lit(ends["a"]), F.lit(ends["b"])))
+            new = new.join(have, list(self.KEY), "left_anti")
+        new.write.mode("overwrite").parquet(f"{self.folder}/cells/{number}")
+        if number not in self.batches:
+            self.batches.append(number)
 
     def run(self, stream: DataFrame) -> DataFrame:
-        q = stream.writeStream.foreachBatch(self.add).trigger(availableNow=True).start()
+        spark = stream.sparkSession
+        self.folder = shared_folder(spark, "cooccurrence")
+        q = stream.writeStream.foreachBatch(self.add).option("checkpointLocation", f"{self.folder}/checkpoint").trigger(availableNow=True).start()
         q.awaitTermination()
-        return self.cells
-
+        schema = stream.select("user_id", F.to_date("ts").alias("day"), "event_type").schema
+        got = self.cells(spark, schema, self.batches)
+        return got if got is not None else spark.createDataFrame([], schema)

@@ -26,8 +26,8 @@ def brute(texts):
     return [(len(s), find(i)) for i, s in enumerate(sets)]
 
 
-@pytest.mark.parametrize("seed", [1, 2, 3])
-def test_same_as_brute_force(make, seed):
+@pytest.mark.parametrize("seed, hot", [(1, jaccard.HOT_ENTRIES), (2, jaccard.HOT_ENTRIES), (3, jaccard.HOT_ENTRIES), (2, 1), (3, 1)])
+def test_same_as_brute_force(make, seed, hot):
     rng = random.Random(seed)
     word = lambda: "".join(rng.choice("abcde") for _ in range(4))
     shared = [word() for _ in range(30)]
@@ -40,7 +40,7 @@ def test_same_as_brute_force(make, seed):
                 w[rng.randrange(len(w))] = word()
             texts.append(" ".join((shared if rng.random() < 0.4 else []) + w))
     rng.shuffle(texts)
-    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard.classes(make(texts)).collect()}
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard.classes(make(texts), hot_entries=hot).collect()}
     assert [got[i] for i in range(len(texts))] == brute(texts)
 
 
@@ -49,3 +49,32 @@ def test_large_group_of_near_copies(make):
     texts = [" ".join(base[:k] + [f"x{i}"] + base[k + 1 :]) for i, k in ((i, i % 100) for i in range(300))]
     got = {r["component_id"] for r in jaccard.classes(make(texts)).collect()}
     assert got == {0}
+
+
+def test_blocks_add_up_in_both_forms():
+    import numpy as np
+
+    rng = np.random.default_rng(1)
+    total, want = np.zeros(jaccard.BLOCK, np.int64), np.zeros(jaccard.BLOCK, np.int64)
+    for share, most in ((0.01, 5), (0.9, 9), (0.01, 1 << 40), (0.9, 1 << 40)):
+        block = np.where(rng.random(jaccard.BLOCK) < share, rng.integers(1, most, jaccard.BLOCK), 0)
+        jaccard._add_block(total, jaccard._block_bytes(block))
+        want += block
+    assert (total == want).all()
+
+
+def test_components_in_one_task_and_by_stars(spark, tmp_path):
+    from vpatterns.llm.components import components
+
+    rng = random.Random(4)
+    edges = [(rng.randrange(300), rng.randrange(300)) for _ in range(200)] + [(i, i + 1) for i in range(400, 450)] + [(7, 7)]
+    home = {x: {x} for e in edges for x in e}
+    for a, b in edges:
+        if home[a] is not home[b]:
+            home[a] |= home[b]
+            for x in home[b]:
+                home[x] = home[a]
+    want = {x: min(s) for x, s in home.items() if len(s) > 1}
+    for in_one in (1_000, 0):
+        got = components(spark.createDataFrame(edges, "a long, b long").repartition(5), f"file://{tmp_path}/{in_one}", "c", in_one).collect()
+        assert {r["node"]: r["component"] for r in got} == want and len(got) == len(want)

@@ -19,7 +19,8 @@
 Defined cases: null texts and texts without words have an empty set and link with
 nothing; a row with a null id gets its class's component but names none; rows that share
 an id are one document, the set of the least digest counting; repeated rows agree; other
-columns are not read.
+columns are not read. Ids are whole numbers; a column of other ids fails as it cannot be
+cast. One very long text takes some forty bytes a word of one task's memory.
 """
 
 from __future__ import annotations
@@ -34,13 +35,19 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from vpatterns.llm.common import documents, forget, scratch, tidy, written
+from vpatterns.llm.common import documents, forget, input_bytes, scratch, tidy, written
 from vpatterns.llm.components import components
 from vpatterns.llm.shingles import WordIds, mixed, shingle_set
 
 PERCENT, WIDTH = 75, 5
-#: Cells of the frequency table (log2), cells of one block of it, fragments of the order.
-CELLS, BLOCK, FRAGMENTS = 21, 1 << 14, 8
+#: Cells of the frequency table (log2, least and most), cells of one block of it, fragments of the order.
+CELLS, MOST_CELLS, BLOCK, FRAGMENTS = 21, 24, 1 << 14, 8
+#: Bytes of input for each cell, between these ends.
+CELL_BYTES = 256
+#: Sets whose share of all is above one in so many are met by a broadcast of that many rows at most.
+HEAVY = 4096
+#: A shingle's group is dealt out by salts where its cell has so many entries, and so many times the mean.
+HOT_ENTRIES, HOT_TIMES, SALTS = 1_000_000, 64, 64
 #: Bits of the filter that spares most texts outside any candidate pair a shuffle.
 BITS = 1 << 23
 FAN_IN = 64
@@ -104,22 +111,43 @@ def _sets(docs: DataFrame, width: int, cells: int) -> DataFrame:
                 [pa.array(np.zeros(m, np.int32)), batch.column(0), pa.array(n, pa.int64()), pa.array(d1, pa.int64()), pa.array(d2, pa.int64()), pa.array(bits, pa.binary()), empty(pa.int32(), m), empty(pa.int32(), m), empty(pa.binary(), m)],
                 names=["kind", "doc_id", "n", "d1", "d2", "bits", "block", "part", "counts"],
             )
-        blocks = [b.tobytes() for b in total.astype(np.int64).reshape(-1, BLOCK)] if total.any() else []
+        blocks = [(i, _block_bytes(b)) for i, b in enumerate(total.reshape(-1, BLOCK)) if b.any()]
         m = len(blocks)
         yield pa.RecordBatch.from_arrays(
-            [pa.array(np.ones(m, np.int32)), *(empty(pa.int64(), m) for _ in range(4)), empty(pa.binary(), m), pa.array(np.arange(m, dtype=np.int32)), pa.array(np.full(m, part, np.int32)), pa.array(blocks, pa.binary())],
+            [pa.array(np.ones(m, np.int32)), *(empty(pa.int64(), m) for _ in range(4)), empty(pa.binary(), m), pa.array([i for i, _ in blocks], pa.int32()), pa.array(np.full(m, part, np.int32)), pa.array([b for _, b in blocks], pa.binary())],
             names=["kind", "doc_id", "n", "d1", "d2", "bits", "block", "part", "counts"],
         )
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(step, _SET)
 
 
-def _added(blocks: DataFrame, parts: int) -> np.ndarray:
+def _block_bytes(block: np.ndarray) -> bytes:
+    """One block of cells: all of them, or places and counts where few are set."""
+    at = np.flatnonzero(block)
+    wide = np.int64 if block.max(initial=0) >= 1 << 31 else np.int32
+    if 3 * len(at) < len(block):
+        return b"s" + bytes([np.dtype(wide).itemsize]) + at.astype(np.uint16).tobytes() + block[at].astype(wide).tobytes()
+    return b"d" + bytes([np.dtype(wide).itemsize]) + block.astype(wide).tobytes()
+
+
+def _add_block(total: np.ndarray, raw: bytes) -> None:
+    size = raw[1]
+    kind = np.int64 if size == 8 else np.int32
+    if raw[:1] == b"d":
+        total += np.frombuffer(raw, kind, offset=2)
+        return
+    n = (len(raw) - 2) // (2 + size)
+    total[np.frombuffer(raw, np.uint16, n, 2).astype(np.int64)] += np.frombuffer(raw[2 + 2 * n :], kind)
+
+
+def _added(blocks: DataFrame, parts: int, cells: int) -> np.ndarray:
     """The sum of all partitions' cells; each group adds FAN_IN blocks at most."""
 
     def add(key, t):
-        total = np.sum([np.frombuffer(x.as_py(), np.int64) for x in t.column("counts")], axis=0)
-        return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), "part": pa.array([key[1].as_py()], pa.int32()), "counts": pa.array([total.tobytes()], pa.binary())})
+        total = np.zeros(BLOCK, np.int64)
+        for x in t.column("counts"):
+            _add_block(total, x.as_py())
+        return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), "part": pa.array([key[1].as_py()], pa.int32()), "counts": pa.array([_block_bytes(total)], pa.binary())})
 
     while True:
         blocks = blocks.withColumn("part", F.expr(f"cast(part div {FAN_IN} as int)"))
@@ -127,8 +155,19 @@ def _added(blocks: DataFrame, parts: int) -> np.ndarray:
         parts = -(-parts // FAN_IN)
         if parts <= 1:
             break
-    got = sorted((r["block"], r["counts"]) for r in blocks.toArrow().to_pylist())
-    return np.concatenate([np.frombuffer(c, np.int64) for _, c in got]) if got else np.zeros(0, np.int64)
+    out = np.zeros(1 << cells, np.int64)
+    for batch in blocks.select("block", "counts").toArrow().to_batches():
+        for i, raw in zip(batch.column(0).to_pylist(), batch.column(1)):
+            _add_block(out[i * BLOCK : (i + 1) * BLOCK], raw.as_py())
+    return out
+
+
+def cells_for(docs: DataFrame) -> int:
+    """log2 of the number of cells: a fixed number of input bytes each, between the two ends.
+
+    The order of shingles may be any, so this changes only speed.
+    """
+    return int(min(MOST_CELLS, max(CELLS, math.ceil(math.log2(input_bytes(docs) / CELL_BYTES)))))
 
 
 def pivots(levels: np.ndarray, counts: np.ndarray, fragments: int) -> np.ndarray:
@@ -149,8 +188,9 @@ def _keys(s: np.ndarray, levels: np.ndarray, cells: int) -> np.ndarray:
     return levels[(s >> np.uint64(64 - cells)).astype(np.int64)].astype(np.uint64) << np.uint64(56) | s >> np.uint64(8)
 
 
-def _prefixes(docs: DataFrame, levels, copies, width: int, percent: int, cells: int) -> DataFrame:
-    """token, doc_id, n, place, copy: each set's prefix; ``copy`` if it may not stand for its class."""
+def _prefixes(docs: DataFrame, levels, copies, width: int, percent: int, cells: int, hot_level: int) -> DataFrame:
+    """token, doc_id, n, place, copy, hot, salt: each set's prefix; ``copy`` if it may not stand
+    for its class, ``hot`` if the shingle's cell has so many entries that its group is dealt out."""
 
     def step(batches):
         ids, table = WordIds(), levels.value
@@ -167,13 +207,36 @@ def _prefixes(docs: DataFrame, levels, copies, width: int, percent: int, cells:
                     order = np.argsort(_keys(s, table, cells), kind="stable")[:p]
                     token.append(s[order])
                     node.append(np.full(p, key, np.int64))
-                    packed.append(n << 32 | np.arange(p, dtype=np.int64) << 1 | int(c))
+                    hot = (table[(s[order] >> np.uint64(64 - cells)).astype(np.int64)] >= hot_level).astype(np.int64)
+                    packed.append(n << 33 | np.arange(p, dtype=np.int64) << 2 | hot << 1 | int(c))
                 if token:
                     yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in ([t.view(np.int64) for t in token], node, packed)], names=["token", "doc_id", "packed"])
 
     rows = docs.select(F.col("doc_id").cast("long"), "text").withColumn("h", F.pmod(F.xxhash64("doc_id"), F.lit(BITS)))
-    dealt = rows.mapInArrow(step, "token long, doc_id long, packed long").repartition("token")  # three numbers travel as one
-    return dealt.selectExpr("token", "doc_id", "cast(shiftright(packed, 32) as int) as n", "cast(shiftright(packed & 4294967295L, 1) as int) as place", "packed & 1L = 1 as copy")
+    dealt = rows.mapInArrow(step, "token long, doc_id long, packed long")  # four numbers travel as one
+    if hot_level <= 63:
+        dealt = dealt.withColumn("salt", F.when(F.expr("packed & 2L = 2"), F.pmod(F.xxhash64("doc_id"), F.lit(SALTS))).otherwise(0)).repartition("token", "salt").drop("salt")
+    else:
+        dealt = dealt.repartition("token")
+    return dealt.selectExpr("token", "doc_id", "cast(shiftright(packed, 33) as int) as n", "cast(shiftright(packed & 8589934591L, 2) as int) as place", "packed & 1L = 1 as copy", "packed & 2L = 2 as hot")
+
+
+def _of_group(rows: DataFrame, facts: dict, hot: bool, key: str) -> DataFrame:
+    """rows with facts (aggregates by token, name ``c`` being the count) of groups of two or more.
+
+    Groups of hot shingles are added up in parts and their facts sent back by salts, so no
+    task sees such a group whole; the others are windows.
+    """
+    over = W.partitionBy("token")
+    plain = rows.where("not hot") if hot else rows
+    out = plain.withColumns({k: f.over(over) for k, f in facts.items()}).where("c > 1")
+    if not hot:
+        return out
+    some = rows.where("hot")
+    each = some.groupBy("token").agg(*[f.alias(k) for k, f in facts.items()]).where("c > 1")
+    each = each.withColumn("salt", F.explode(F.expr(f"sequence(0L, {SALTS - 1}L)")))
+    met = some.withColumn("salt", F.pmod(F.xxhash64(key), F.lit(SALTS))).join(each, ["token", "salt"]).drop("salt")
+    return out.unionByName(met.select(*out.columns))
 
 
 def _spans(percent: int) -> tuple:
@@ -279,40 +342,61 @@ def _texts_of(nodes: DataFrame, docs: DataFrame) -> DataFrame:
     return rows.join(nodes, "doc_id", "left_semi")
 
 
-def classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH, cells: int = CELLS, fragments: int = FRAGMENTS) -> DataFrame:
+def _members(sets: DataFrame) -> DataFrame:
+    """doc_id, n_shingles, node: node is the least id with the same set, null where that is empty.
+
+    A set that holds more than one in HEAVY of all rows is met by a broadcast (there are
+    fewer than HEAVY of them), so its rows stay where they are.
+    """
+    own = sets.where("kind = 0").select("doc_id", F.col("n").alias("n_shingles"), "d1", "d2")
+    full = own.where("n_shingles > 0")
+    of_set = full.groupBy("d1", "d2").agg(F.min("doc_id").alias("node"), F.count(F.lit(1)).alias("rows"))
+    least = max(1, own.count() // HEAVY)
+    heavy = F.broadcast(of_set.where(F.col("rows") > least).select("d1", "d2", "node"))
+    light = of_set.where(F.col("rows") <= least).select("d1", "d2", "node")
+    out = full.join(heavy, ["d1", "d2"]).unionByName(full.join(heavy, ["d1", "d2"], "left_anti").join(light, ["d1", "d2"]))
+    return out.select("doc_id", "n_shingles", "node").unionByName(own.where("n_shingles = 0").select("doc_id", "n_shingles", F.lit(None).cast("long").alias("node")))
+
+
+def classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH, cells: int | None = None, fragments: int = FRAGMENTS, hot_entries: int = HOT_ENTRIES) -> DataFrame:
     """doc_id, n_shingles, component_id of every row of docs (columns doc_id, text)."""
     spark = docs.sparkSession
     folder = scratch(spark)
+    cells = cells_for(docs) if cells is None else cells
     sets = written(_sets(docs, width, cells), folder, "sets")
     parts = max(1, docs.rdd.getNumPartitions())
-    counts = _added(sets.where("kind = 1").select("block", "part", "counts"), parts)
-    if not len(counts):
-        counts = np.zeros(1 << cells, np.int64)
+    counts = _added(sets.where("kind = 1").select("block", "part", "counts"), parts, cells)
     level = np.floor(np.log2(counts + 1)).astype(np.uint8)
+    hot_level = math.ceil(math.log2(max(hot_entries, HOT_TIMES * counts.mean()) + 1))
+    hot = bool(level.max(initial=0) >= hot_level)
+    hot_level = hot_level if hot else 64
     levels = spark.sparkContext.broadcast(level)
     cuts = pivots(level.astype(np.int64), counts, fragments)
-    own = sets.where("kind = 0").select("doc_id", "n", "d1", "d2")
-    of_set = own.groupBy("d1", "d2").agg(F.min("doc_id").alias("node"))
-    member = own.join(of_set, ["d1", "d2"]).select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("node")).alias("node"), "d1", "d2")
-    member = written(member, folder, "members")
+    del counts
+    member = written(_members(sets), folder, "members")
 
     # Prefix shingles that a smaller and a larger set may share, copies of one set taken as one.
     early, least, most = _spans(percent)
-    own_token = W.partitionBy("token")
     smaller = F.when(early, F.col("n"))
+    count = F.count(F.lit(1))
     to_node = member.where("node is not null").groupBy("doc_id").agg(F.min("node").alias("node"))
     copies = _id_filter(to_node.where("doc_id <> node"))
-    rows = _prefixes(docs, levels, copies, width, percent, cells)
-    rows = rows.withColumns({"c": F.count(F.lit(1)).over(own_token), "lo": F.min(smaller).over(own_token), "hi": F.max(smaller).over(own_token)})
-    rows = written(rows.where(F.col("c") > 1).where(early | ((least <= F.col("hi")) & (most >= F.col("lo")))).drop("c", "lo", "hi"), folder, "prefixes")
+    rows = _prefixes(docs, levels, copies, width, percent, cells, hot_level)
+    if hot:
+        rows = written(rows, folder, "all_prefixes")
+    rows = _of_group(rows, {"c": count, "lo": F.min(smaller), "hi": F.max(smaller)}, hot, "doc_id")
+    rows = written(rows.where(early | ((least <= F.col("hi")) & (most >= F.col("lo")))).drop("c", "lo", "hi"), folder, "prefixes")
+    copies.destroy()
     tidy(spark)
     stands = rows.where("copy").join(to_node.where("doc_id = node").select("doc_id"), "doc_id", "left_semi")
-    hits = rows.where("not copy").unionByName(stands.select(*rows.columns)).repartition("token")
-    hits = hits.groupBy("token", F.col("doc_id").alias("node")).agg(F.min("n").alias("n"), F.min("place").alias("place"))
+    hits = rows.where("not copy").unionByName(stands.select(*rows.columns))
+    hits = hits if hot else hits.repartition("token")
+    hits = hits.groupBy("token", F.col("doc_id").alias("node")).agg(F.min("n").alias("n"), F.min("place").alias("place"), F.first("hot").alias("hot"))
+    hits = written(hits, folder, "all_hits") if hot else hits
     at = F.struct("node", "n", "place")
-    hits = hits.withColumns({"c": F.count(F.lit(1)).over(own_token), "low": F.min(at).over(own_token), "high": F.max(at).over(own_token)}).where("c > 1")
-    hits = written(hits, folder, "hits")
-    forget(spark, folder, "prefixes")
+    hits = written(_of_group(hits, {"c": count, "low": F.min(at), "high": F.max(at)}, hot, "node"), folder, "hits")
+    for name in ("prefixes", "all_prefixes", "all_hits"):
+        forget(spark, folder, name)
     tidy(spark)
 
     # Stars: everyone against the least and the greatest of its groups.
@@ -327,31 +411,33 @@ def classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH, cells:
         tidy(spark)
         return found
 
-    first = linked(stars, "links1")
+    links = linked(stars, "links1")
+    final = components(links, folder, "c1")
 
     # What is left: members of one group in different components. The larger of two sets
     # looks for the smaller among those that have the shingle early enough, by ranges of the
     # sizes that its own place still allows; what has no such partner goes before that.
-    found = components(first, folder, "c1")
-    known = hits.select("token", "node", "n", "place").join(found, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    known = hits.select("token", "node", "n", "place", "hot").join(final, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    known = written(known, folder, "placed") if hot else known
     component = F.when(early, F.col("component"))
-    known = known.withColumns({"lo": F.min(smaller).over(own_token), "hi": F.max(smaller).over(own_token), "one": F.min(component).over(own_token), "other": F.max(component).over(own_token), "c1": F.min("component").over(own_token), "c2": F.max("component").over(own_token)})
+    known = _of_group(known, {"c": count, "lo": F.min(smaller), "hi": F.max(smaller), "one": F.min(component), "other": F.max(component), "c1": F.min("component"), "c2": F.max("component")}, hot, "node")
     larger = (least <= F.col("hi")) & (most >= F.col("lo")) & ((F.col("one") != F.col("component")) | (F.col("other") != F.col("component")))
     known = known.where("c1 < c2").where(early | larger).withColumns({"larger": larger, "early": early})
-    known = written(known.drop("lo", "hi", "one", "other", "c1", "c2"), folder, "known")
-    range_of = lambda n: F.floor(F.log(n.cast("double")) / math.log(RANGE))
-    x = known.where("larger").withColumn("size", F.explode(F.sequence(range_of(least), range_of(most))))
-    x = x.select("token", "size", F.col("node").alias("u"), F.col("n").alias("na"), F.col("place").alias("pa"), F.col("component").alias("ca"))
-    y = known.where("early").select("token", range_of(F.col("n")).alias("size"), F.col("node").alias("v"), F.col("n").alias("nb"), F.col("place").alias("pb"), F.col("component").alias("cb"))
-    groups = y.groupBy("token", "size", "cb").agg(F.min("nb").alias("least"))
-    near = x.join(groups, ["token", "size"]).where("ca <> cb and na >= least")
-    rest = near.join(y, ["token", "size", "cb"]).where(_allowed(percent) + " and (na > nb or (na = nb and u > v))")
-    flip = "u > v"
-    rest = rest.select(F.least("u", "v").alias("a"), F.greatest("u", "v").alias("b"), F.expr(f"if({flip}, nb, na)").alias("na"), F.expr(f"if({flip}, na, nb)").alias("nb")).distinct()
-    rest = rest.join(stars.select("a", "b"), ["a", "b"], "left_anti")
-    second = linked(written(rest, folder, "rest"), "links2")
-    links = first.unionByName(second)
-    final = components(links, folder, "c2")
+    known = written(known.drop("c", "lo", "hi", "one", "other", "c1", "c2", "hot"), folder, "known")
+    forget(spark, folder, "placed")
+    if known.limit(1).count():
+        range_of = lambda n: F.floor(F.log(n.cast("double")) / math.log(RANGE))
+        x = known.where("larger").withColumn("size", F.explode(F.sequence(range_of(least), range_of(most))))
+        x = x.select("token", "size", F.col("node").alias("u"), F.col("n").alias("na"), F.col("place").alias("pa"), F.col("component").alias("ca"))
+        y = known.where("early").select("token", range_of(F.col("n")).alias("size"), F.col("node").alias("v"), F.col("n").alias("nb"), F.col("place").alias("pb"), F.col("component").alias("cb"))
+        groups = y.groupBy("token", "size", "cb").agg(F.min("nb").alias("least"))
+        near = x.join(groups, ["token", "size"]).where("ca <> cb and na >= least")
+        rest = near.join(y, ["token", "size", "cb"]).where(_allowed(percent) + " and (na > nb or (na = nb and u > v))")
+        flip = "u > v"
+        rest = rest.select(F.least("u", "v").alias("a"), F.greatest("u", "v").alias("b"), F.expr(f"if({flip}, nb, na)").alias("na"), F.expr(f"if({flip}, na, nb)").alias("nb")).distinct()
+        rest = written(rest.join(stars.select("a", "b"), ["a", "b"], "left_anti"), folder, "rest")
+        if rest.limit(1).count():
+            final = components(links.unionByName(linked(rest, "links2")), folder, "c2")
     out = member.join(final, "node", "left")
     return out.select("doc_id", "n_shingles", F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.coalesce("component", "node")).alias("component_id"))
 

@@ -11,7 +11,8 @@ import xxhash
 
 from vpatterns.llm.common import ASCII_LOWER
 
-CACHE = 400_000
+#: Words whose numbers are at hand; more would not stay in the processor's cache.
+CACHE = 50_000
 _M1, _M2, _M3 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -36,7 +37,7 @@ def shingle_set(text: str | None, ids: WordIds, width: int = 5) -> np.ndarray:
     words = (text or "").encode("utf-8", "surrogatepass").translate(ASCII_LOWER).split()
     if not words:
         return np.zeros(0, np.uint64)
-    h = np.fromiter((ids[w] for w in words), np.uint64, len(words))
+    h = np.fromiter(map(ids.__getitem__, words), np.uint64, len(words))
     n = len(words) - width + 1
     if n < 1:
         number = np.array([len(words)], np.uint64)  # a whole short text is no window of a longer one

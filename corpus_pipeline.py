@@ -23,11 +23,17 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each component of near duplicates the document with the least id stays."""
-    found = jaccard.classes(docs)
-    stays = found.where("doc_id = component_id").select("doc_id").distinct()
-    kept = docs.join(stays, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
-    return kept.unionByName(docs.where("doc_id is null"))
+    """Of each component of near duplicates the document with the least id stays.
+
+    Of rows that share an id the least stays, by all columns that have an order, so reruns agree.
+    """
+    stays = jaccard.classes(docs).where("doc_id = component_id").select(F.col("doc_id").alias("_id")).distinct()
+    # a row travels as one value, so no column of it can clash
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
+    ordered = F.struct(*[F.col(f"`{f.name}`") for f in docs.schema if not f.dataType.simpleString().startswith(("map", "variant"))])
+    kept = docs.select(F.col("doc_id").alias("_id"), row.alias("_row"), ordered.alias("_order")).join(stays, "_id", "left_semi")
+    one = kept.groupBy("_id").agg(F.min_by("_row", "_order").alias("_row"))
+    return one.select("_row.*").unionByName(docs.where("doc_id is null"))
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

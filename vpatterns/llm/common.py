@@ -71,9 +71,9 @@ def input_bytes(df: DataFrame) -> int:
         return 1 << 30
 
 
-def shards(df: DataFrame, bytes_each: int = 2 << 20, least: int = 64, most: int = 1 << 20) -> int:
-    """Number of hash shards that keeps one shard's share of the input near bytes_each."""
-    return int(min(most, max(least, input_bytes(df) // bytes_each)))
+def shards(df: DataFrame, bytes_each: int = 2 << 20, least: int = 64) -> int:
+    """Number of hash shards that keeps one shard's share of the input near bytes_each, however large it is."""
+    return int(max(least, input_bytes(df) // bytes_each))
 
 
 def slices(texts, limit: int = SLICE_BYTES):

@@ -3,18 +3,22 @@
 Rolling-hash triggers cut every text into phrases; a trigger depends on its own bytes
 only, so equal passages are cut alike wherever they stand. A suffix that starts in a
 phrase is the rest of that phrase (a suffix of a dictionary entry) followed by a suffix
-of the parse, and two suffixes agree on ``LENGTH`` bytes exactly if both parts do. The
-order of suffixes is only needed down to that depth, that is as classes of equal ones,
-so the ranks that suffix arrays of dictionary and parse would give are replaced by
-numbers of their classes, and only suffixes that can have an equal are looked at:
+of the parse. The order of suffixes is needed down to ``LENGTH`` bytes, where neighbours
+that agree are repeats, and only of suffixes that can have an equal:
 
 1. Each trigger stands for the suffixes of its phrase. Where its next ``HALF`` bytes
-   are found once in the corpus, none of them has an equal. Where the whole stretch
-   (phrase and all it takes to the right) is found twice, all of them have.
-2. The suffixes of the triggers left over are classed one by one.
+   are found once in the corpus (a rolling hash; a false hit costs work, not results),
+   none of them has an equal. Where the whole stretch (phrase and all it takes to the
+   right) is found twice, by 128-bit numbers, all of them have.
+2. The stretches left over go, as bytes, to shards by what follows their trigger, so
+   suffixes that are equal meet. A shard sorts the suffixes of its dictionary of phrases
+   (a suffix array by doubling) and the suffixes of the parse that follow the phrases,
+   with the common prefixes of neighbours, and combines both into the order of all its
+   suffixes. Equality is by bytes.
+3. A trigger with more than ``HOT`` occurrences would bring one shard without bound; its
+   suffixes are counted by 128-bit numbers in shards of their own, each once a pack.
 
 Gaps without a trigger use denser ones, then every position, again by their own bytes.
-Class numbers are 64-bit rolling hashes; equal numbers are taken as equal bytes.
 
 Every question "how often is this number found" goes to a shard of the numbers. A pack
 asks once for a number, with its own count, so a number that a third of all texts share
@@ -23,13 +27,15 @@ brings its shard one entry a pack. Texts are written once in packs of
 
 Defined cases: null texts are empty; texts under ``LENGTH`` bytes lose nothing; repeated
 rows are separate texts that repeat each other; null ids are kept; other columns are not
-read by the query.
+read by the query. One very long text is a pack of its own and takes some thirty times its
+bytes of one task's memory.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -43,8 +49,10 @@ PACK = 8 << 20
 _B = 0xD6E8FEB86659FD93
 _ASK = "shard int, pack long, kind int, keys binary, offs binary, counts binary, known binary"
 #: Kinds of questions and answers: a trigger's right side, its whole stretch, one suffix,
-#: and runs of suffixes that are settled.
-RIGHT, WHOLE, SUFFIX, RUN = 0, 1, 2, 3
+#: runs of suffixes that are settled, and stretches that a shard puts in order.
+RIGHT, WHOLE, SUFFIX, RUN, STRETCH = 0, 1, 2, 3, 4
+#: Occurrences of a trigger and its right side up to which its stretches are ordered in one shard.
+HOT = 4096
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -136,22 +144,39 @@ def spread(pack: int, n_shards: int) -> int:
     return ((pack >> 24) * 31 + pack) % n_shards
 
 
+def _digests(pieces) -> np.ndarray:
+    """128-bit numbers of byte strings, as rows of two halves."""
+    raw = b"".join(map(xxhash.xxh3_128_digest, pieces))
+    return np.frombuffer(raw, np.uint64).reshape(-1, 2)
+
+
+def _alike(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(first place of each distinct row of numbers, the row that each place has), in order."""
+    order = np.lexsort(keys.T[::-1])
+    some = keys[order]
+    new = np.r_[True, (some[1:] != some[:-1]).any(axis=1)] if len(keys) else np.zeros(0, bool)
+    at = np.empty(len(keys), np.int64)
+    at[order] = np.cumsum(new) - 1
+    return order[new], at
+
+
 def _asks(pack: int, kind: int, keys: np.ndarray, offs: np.ndarray, n_shards: int):
-    """Ask rows of one pack: each number once, with the place that carries its answer.
+    """Ask rows of one pack: each number (a row of keys) once, with the place that carries its answer.
 
     Of suffixes, those that the pack itself has twice are known here; a place below 0 only
     lends its number and wants no answer.
     """
     if not len(keys):
         return
-    values, first, at, times = np.unique(keys, return_index=True, return_inverse=True, return_counts=True)
-    place = offs[first].astype(np.int32)
+    first, at = _alike(keys)
+    times = np.bincount(at, minlength=len(first))
+    values, place = keys[first], offs[first].astype(np.int32)
     if kind == SUFFIX:
         known = offs[(times[at] > 1) & (offs >= 0)]
         if len(known):
             yield spread(pack, n_shards), pack, kind, b"", b"", b"", np.sort(known).astype(np.int32).tobytes()
         place[times > 1] = -1
-    shard = (values >> np.uint64(8)) % np.uint64(n_shards)
+    shard = (values[:, 0] >> np.uint64(8)) % np.uint64(n_shards)
     order = np.argsort(shard, kind="stable")
     times = times.astype(np.int32)
     cuts = np.flatnonzero(np.r_[True, shard[order][1:] != shard[order][:-1]])
@@ -160,12 +185,117 @@ def _asks(pack: int, kind: int, keys: np.ndarray, offs: np.ndarray, n_shards: in
         yield int(shard[some[0]]), pack, kind, values[some].tobytes(), place[some].tobytes(), times[some].tobytes(), b""
 
 
+def _stretch_rows(pack: int, right: np.ndarray, facts: np.ndarray, pieces: list[bytes], n_shards: int):
+    """Stretches of one pack for their shards. ``facts``: place of the first suffix, bytes from
+    it to the trigger, suffixes less one, whether it only lends; one row a stretch."""
+    shard = ((right >> np.uint64(8)) % np.uint64(n_shards)).astype(np.int64)
+    order = np.argsort(shard, kind="stable")
+    cuts = np.flatnonzero(np.r_[True, shard[order][1:] != shard[order][:-1]]) if len(order) else []
+    for a, b in zip(cuts, [*cuts[1:], len(order)]):
+        some = order[a:b]
+        yield int(shard[some[0]]), pack, STRETCH, b"".join(pieces[i] for i in some), facts[some].astype(np.int32).tobytes(), b"", b""
+
+
 def _batch(rows: list) -> pa.RecordBatch:
     kinds = [pa.int32(), pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.binary()]
     columns = list(zip(*rows)) or [()] * 7
     return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], names=["shard", "pack", "kind", "keys", "offs", "counts", "known"])
 
 
+def _padded(strings: list[bytes], width: int) -> np.ndarray:
+    return np.frombuffer(b"".join(x.ljust(width, b"\0") for x in strings), np.uint8).reshape(-1, width)
+
+
+def dictionary_ranks(phrases_: list[bytes]) -> np.ndarray:
+    """Rank of the suffix of each phrase at each place among the suffixes of all phrases.
+
+    Suffixes end with their phrase; equal ones have one rank. By doubling: ranks of eight
+    bytes, then of sixteen, until the longest phrase is covered.
+    """
+    longest = max(map(len, phrases_), default=0)
+    width = -(-max(longest, 1) // 8) * 8
+    text = np.zeros((len(phrases_), width + 8), np.int64)
+    text[:, :width] = _padded(phrases_, width)
+    size = np.array(list(map(len, phrases_)), np.int64)
+    text[:, :width] += np.arange(width) < size[:, None]  # what ends is less than a byte of 0
+    word = np.zeros((len(phrases_), width + 1), np.int64)
+    for i in range(6):  # nine bits a place; the last column is past every end, its rank is 1
+        word = word << 9 | text[:, i : i + width + 1]
+    rank = np.unique(word, return_inverse=True)[1].reshape(word.shape).astype(np.int64) + 1
+    covered = 6
+    while covered < longest:
+        ahead = np.ones_like(rank)
+        ahead[:, : max(0, width + 1 - covered)] = rank[:, covered:]
+        rank = np.unique(rank * (int(rank.max(initial=0)) + 1) + ahead, return_inverse=True)[1].reshape(word.shape).astype(np.int64) + 1
+        covered *= 2
+    return rank
+
+
+def parse_order(contexts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(rank of each text that follows a phrase, common prefix of each rank with the one before)."""
+    distinct = sorted(set(contexts))
+    place = {x: i for i, x in enumerate(distinct)}
+    ranks = np.fromiter((place[x] for x in contexts), np.int64, len(contexts))
+    size = np.array(list(map(len, distinct)), np.int64)
+    table = _padded(distinct, max(1, int(size.max(initial=1))))
+    same = table[1:] == table[:-1]
+    prefix = np.where(same.all(axis=1), table.shape[1], same.argmin(axis=1))
+    return ranks, np.r_[0, np.minimum(prefix, np.minimum(size[1:], size[:-1]))].astype(np.int64)
+
+
+def corpus_order(stretches: list[bytes], before: np.ndarray, last: np.ndarray, length: int = LENGTH):
+    """(stretch, place in it, equal) of all suffixes of the stretches in their order.
+
+    ``before``: bytes from a stretch's start to its trigger; ``last``: place of its last
+    suffix. ``equal`` says that a suffix agrees with the one before it on ``length`` bytes:
+    the rest of the phrase is the same suffix of the dictionary, and what follows agrees
+    on the bytes that are left.
+    """
+    phrase = [x[: a + TRIGGER] for x, a in zip(stretches, before.tolist())]
+    number = {x: i for i, x in enumerate(dict.fromkeys(phrase))}
+    which = np.fromiter((number[x] for x in phrase), np.int64, len(phrase))
+    of_dictionary = dictionary_ranks(list(number))
+    of_parse, prefix = parse_order([x[a + TRIGGER :] for x, a in zip(stretches, before.tolist())])
+    owner = np.repeat(np.arange(len(stretches)), last + 1)
+    place = _each(np.zeros(len(last), np.int64), last)
+    first, second = of_dictionary[which[owner], place], of_parse[owner]
+    order = np.lexsort((second, first))
+    owner, place, first, second = owner[order], place[order], first[order], second[order]
+    need = length - TRIGGER - before[owner] + place  # bytes of the parse that a suffix takes
+    # agreeing on n bytes: no neighbour between two ranks has a shorter common prefix
+    equal = np.zeros(len(order), bool)
+    near = 1 + np.flatnonzero(first[1:] == first[:-1])
+    near = near[np.argsort(need[near], kind="stable")]
+    cuts = np.flatnonzero(np.r_[True, need[near][1:] != need[near][:-1]]) if len(near) else []
+    for a, b in zip(cuts, [*cuts[1:], len(near)]):
+        some = near[a:b]
+        breaks = np.cumsum(prefix < need[some[0]])
+        equal[some] = breaks[second[some - 1]] == breaks[second[some]]
+    return owner, place, equal
+
+
+def _ordered(t: pa.Table) -> list[tuple]:
+    """Answer rows for a shard's stretches: by pack, the places of suffixes that have an equal."""
+    packs, facts, pieces = [], [], []
+    for pack, raw, some in zip(*(t.column(c).to_pylist() for c in ("pack", "keys", "offs"))):
+        f = np.frombuffer(some, np.int32).reshape(-1, 4).astype(np.int64)
+        ends = np.cumsum(f[:, 2] + LENGTH)
+        pieces += [raw[a:b] for a, b in zip(np.r_[0, ends[:-1]].tolist(), ends.tolist())]
+        facts.append(f)
+        packs += [pack] * len(f)
+    if not pieces:
+        return []
+    facts, packs = np.concatenate(facts), np.array(packs, np.int64)
+    owner, place, equal = corpus_order(pieces, facts[:, 1], facts[:, 2])
+    many = equal | np.r_[equal[1:], False]
+    hit = many & (facts[owner, 3] == 0)
+    owner, place = owner[hit], place[hit]
+    order = np.argsort(packs[owner], kind="stable")
+    owner, place = owner[order], place[order]
+    cuts = np.flatnonzero(np.r_[True, packs[owner][1:] != packs[owner][:-1]]) if len(owner) else []
+    return [(int(packs[owner[a]]), SUFFIX, (facts[owner[a:b], 0] + place[a:b]).astype(np.int32).tobytes(), b"") for a, b in zip(cuts, [*cuts[1:], len(owner)])]
+
+
 def _answers(asks: DataFrame) -> DataFrame:
     """pack, kind, offs, counts of all places whose number is found twice or more.
 
@@ -177,13 +307,17 @@ def _answers(asks: DataFrame) -> DataFrame:
         kinds = t.column("kind").to_numpy()
         for kind in np.unique(kinds):
             some = t.filter(pa.array(kinds == kind)).sort_by("pack")
+            if kind == STRETCH:
+                rows += _ordered(some)
+                continue
             packs = some.column("pack").to_numpy()
+            width = 1 if kind == RIGHT else 2
             keys, offs, n = ([np.frombuffer(x.as_py(), d) for x in some.column(c)] for c, d in (("keys", np.uint64), ("offs", np.int32), ("counts", np.int32)))
-            owner = np.repeat(np.arange(len(packs)), [len(x) for x in keys])
+            owner = np.repeat(np.arange(len(packs)), [len(x) for x in offs])
             if not len(owner):
                 continue
-            keys, offs, n = np.concatenate(keys), np.concatenate(offs), np.concatenate(n)
-            _, first, at = np.unique(keys, return_index=True, return_inverse=True)
+            keys, offs, n = np.concatenate(keys).reshape(-1, width), np.concatenate(offs), np.concatenate(n)
+            first, at = _alike(keys)
             many = np.minimum(np.bincount(at, n), 2**31 - 1).astype(np.int32)[at]
             many[first] *= -1
             hit = (np.abs(many) > 1) & (offs >= 0)
@@ -225,13 +359,15 @@ def _loaded(roll: Rolling, texts: list[bytes], starts: np.ndarray):
         if len(raw) < LENGTH:
             continue
         roll.load(raw)
-        yield ends - size, ends, int(starts[a])
+        yield ends - size, ends, int(starts[a]), raw.tobytes()
 
 
-def _keys(roll: Rolling, m, lo, hi, level) -> tuple[np.ndarray, np.ndarray]:
+def _keys(roll: Rolling, raw: bytes, m, lo, hi, level) -> tuple[np.ndarray, np.ndarray]:
+    """Numbers of each trigger's right side, and of its stretch with the places in it."""
     right = _mix(roll.at(m, HALF) + level.astype(np.uint64))
-    whole = _mix(roll.at(lo, hi - lo + LENGTH) + _mix(((hi - lo) * 512 + (m - lo)).astype(np.uint64) * np.uint64(4) + level.astype(np.uint64)))
-    return right, whole
+    head = (((hi - lo) * 512 + (m - lo)) * 4 + level).astype(np.uint32).tobytes()
+    whole = _digests([head[4 * i : 4 * i + 4] + raw[a : b + LENGTH] for i, (a, b) in enumerate(zip(lo.tolist(), hi.tolist()))])
+    return right[:, None], whole
 
 
 def _first_asks(packs: DataFrame, n_shards: int) -> DataFrame:
@@ -253,12 +389,12 @@ def _first_asks(packs: DataFrame, n_shards: int) -> DataFrame:
                     yield from flush()
                 now = int(names[a])
                 texts = [t.as_buffer().to_pybytes() for t in batch.column(2)[a:b]]
-                for starts, ends, base in _loaded(roll, texts, batch.column(1)[a:b].to_numpy()):
+                for starts, ends, base, raw in _loaded(roll, texts, batch.column(1)[a:b].to_numpy()):
                     m, lo, hi, level = phrases(roll, starts, ends)
-                    r, w = _keys(roll, m, lo, hi, level)
+                    r, w = _keys(roll, raw, m, lo, hi, level)
                     right.append(r)
                     whole.append(w)
-                    offs.append(m + base)
+                    offs.append(lo + base)
         yield from flush()
 
     return packs.select("pack", "start", "_text").mapInArrow(step, _ASK)
@@ -278,16 +414,15 @@ def _sets(answers: pa.Table) -> dict[int, tuple[np.ndarray, np.ndarray]]:
     return out
 
 
-def _counted(keys: np.ndarray, m: np.ndarray, answer) -> tuple[np.ndarray, np.ndarray]:
+def _counted(keys: np.ndarray, places: np.ndarray, answer) -> tuple[np.ndarray, np.ndarray]:
     """(count of each key in the corpus, whether the place speaks for its key); 1 if unanswered."""
     count, speaks = np.ones(len(keys), np.int64), np.zeros(len(keys), bool)
     if answer is not None and len(answer[0]):
-        carrier = np.searchsorted(m, answer[0])
-        order = np.argsort(keys[carrier])
-        known = keys[carrier][order]
-        at = np.minimum(np.searchsorted(known, keys), len(known) - 1)
-        same = known[at] == keys
-        count[same] = np.abs(answer[1])[order][at[same]]
+        carrier = np.searchsorted(places, answer[0])
+        first, at = _alike(keys)
+        of_key = np.ones(len(first), np.int64)
+        of_key[at[carrier]] = np.abs(answer[1])
+        count = of_key[at]
         speaks[carrier[answer[1] < 0]] = True
     return count, speaks
 
@@ -297,7 +432,7 @@ def _each(lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
     return np.repeat(lo - np.r_[0, np.cumsum(n)[:-1]].astype(np.int64), n) + np.arange(n.sum()) if len(n) else np.zeros(0, np.int64)
 
 
-def _second_asks(packs: DataFrame, answers: DataFrame, n_shards: int) -> DataFrame:
+def _second_asks(packs: DataFrame, answers: DataFrame, n_shards: int, hot: int = HOT) -> DataFrame:
     def step(key, docs, got):
         pack, rows = key[0].as_py(), []
         sets = _sets(got)
@@ -305,26 +440,31 @@ def _second_asks(packs: DataFrame, answers: DataFrame, n_shards: int) -> DataFra
         texts, places = _texts(docs)
         roll = Rolling()
         found = []
-        for starts, ends, base in _loaded(roll, texts, places) if sets else ():
+        for starts, ends, base, raw in _loaded(roll, texts, places) if sets else ():
             m, lo, hi, level = phrases(roll, starts, ends)
-            found.append((m + base, lo + base, hi + base, *_keys(roll, m, lo, hi, level)))
+            found.append((m + base, lo + base, hi + base, *_keys(roll, raw, m, lo, hi, level)))
         if found:
             m, lo, hi, right, whole = (np.concatenate(x) for x in zip(*found))
-            order = np.argsort(m, kind="stable")
+            order = np.argsort(lo, kind="stable")  # no two phrases share a suffix
             m, lo, hi, right, whole = (x[order] for x in (m, lo, hi, right, whole))
-            n_right, _ = _counted(right, m, sets.get(RIGHT))
-            n_whole, speaks = _counted(whole, m, sets.get(WHOLE))
+            n_right, _ = _counted(right, lo, sets.get(RIGHT))
+            n_whole, speaks = _counted(whole, lo, sets.get(WHOLE))
             settled = n_whole > 1
             part = (n_right > 1) & ~settled
             # others share the right side but not the stretch: one of its places lends its suffixes
             lends = settled & speaks & (n_right > n_whole)
-            keys, offs = [], []
-            for starts, ends, base in _loaded(roll, texts, places):
-                a, b = np.searchsorted(lo, [base, base + int(ends[-1])])
-                for chosen, sign in ((part[a:b], 1), (lends[a:b], 0)):
-                    p = _each(lo[a:b][chosen] - base, hi[a:b][chosen] - base)
-                    keys.append(_mix(roll.at(p, LENGTH)))
-                    offs.append(p + base if sign else np.full(len(p), -1))
+            often = n_right > hot
+            keys, offs, pieces = [], [], []
+            cold = np.flatnonzero((part | lends) & ~often)
+            facts = np.column_stack([lo, m - lo, hi - lo, lends])[cold]
+            joined = b"".join(texts)  # a place is an offset in the pack
+            for a, b in zip(lo[cold].tolist(), hi[cold].tolist()):
+                pieces.append(joined[a : b + LENGTH])
+            rows += _stretch_rows(pack, right[cold, 0], facts, pieces, n_shards)
+            for chosen, sign in ((part & often, 1), (lends & often, 0)):
+                p = _each(lo[chosen], hi[chosen])
+                keys.append(_digests([joined[a : a + LENGTH] for a in p.tolist()]))
+                offs.append(p if sign else np.full(len(p), -1))
             rows += _asks(pack, SUFFIX, np.concatenate(keys), np.concatenate(offs), n_shards)
             runs = np.stack([lo[settled], hi[settled]], 1).astype(np.int32)
             if len(runs):
@@ -334,7 +474,7 @@ def _second_asks(packs: DataFrame, answers: DataFrame, n_shards: int) -> DataFra
     return packs.select("pack", "start", "_text").groupBy("pack").cogroup(answers.groupBy("pack")).applyInArrow(step, _ASK)
 
 
-def spans_of(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", whole_characters: bool = False) -> DataFrame:
+def spans_of(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", whole_characters: bool = False, hot: int = HOT) -> DataFrame:
     """id, n_bytes, spans (start, end in bytes) that repeat, and the kept bytes of every row.
 
     With ``whole_characters`` a character that loses a byte is lost, so the rest is text.
@@ -345,7 +485,7 @@ def spans_of(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", whol
     packs = written(packed(df, id_col, text_col), folder, "packs")
     first = written(_answers(_first_asks(packs, n_shards)), folder, "first")
     tidy(spark)
-    second = written(_answers(_second_asks(packs, first, n_shards)), folder, "second")
+    second = written(_answers(_second_asks(packs, first, n_shards, hot)), folder, "second")
     tidy(spark)
     kind = df.schema[id_col].dataType.simpleString()
 

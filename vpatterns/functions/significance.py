@@ -54,6 +54,17 @@ def min_support(n_obs: int, item_prob: float, length: int = 4, alpha: float = 0.
     return high
 
 
+def item_probability(cells: DataFrame, n_obs: int) -> float:
+    """Chance of an item if all were alike: the share of present cells (obs, item)."""
+    got = cells.agg(F.count(F.lit(1)).alias("c"), F.count_distinct("item").alias("m")).first()
+    return got["c"] / (n_obs * got["m"]) if n_obs and got["m"] else 0.0
+
+
+def item_probabilities(cells: DataFrame, n_obs: int) -> DataFrame:
+    """item, p: each item's own share of the observations."""
+    return cells.groupBy("item").agg((F.count(F.lit(1)) / n_obs).alias("p"))
+
+
 def t_cdf(t: float, df: float) -> float:
     tail = incomplete_beta(df / (df + t * t), df / 2, 0.5) / 2
     return 1 - tail if t > 0 else tail

@@ -401,7 +401,7 @@ def _table2(key):
     return run
 
 
-def series_sql(key: str, min_sup: float, sizes=(4, 8), cap: int = 4) -> str:
+def series_sql(key: str, min_sup: float, sizes=CHECKED, cap: int = 4) -> str:
     """Mean support and length of closed local patterns by strategy; groups by recursion over all draws at once."""
     return f"""WITH RECURSIVE {draws_sql(V.VIEWS[key], min_sup, sizes)},
 one AS (SELECT k, run, v, sum(w) AS c FROM sig JOIN vars USING (k, run) WHERE (mask >> v::INT) & 1 = 1 GROUP BY ALL),
@@ -423,7 +423,7 @@ SELECT '{key}' AS dataset, metric, strategy, k::INT AS n_vars, round(avg(CASE me
 FROM loc, (SELECT unnest(['mean_support', 'mean_length']) AS metric) GROUP BY ALL"""
 
 
-def _series(key, sizes=(4, 8)):
+def _series(key, sizes=CHECKED):
     f, ms = WL.WORKLOADS[key]
 
     def run(spark, sf_dir):
@@ -517,6 +517,24 @@ def min_support_variants(spark, sf_dir):
     return spark.createDataFrame([(d, G.min_support(n, q)) for d, n, q in VARIANTS], "dataset string, min_support long")
 
 
+def _density_sql(key: str) -> str:
+    """The share of present cells of a workload as the chance of every item, and the least significant count."""
+    return f"""(SELECT dataset, min_support FROM (WITH {V.VIEWS[key]}, d AS (SELECT '{key}' AS dataset, n, (SELECT count(*) FROM it) / n / (SELECT count(DISTINCT item) FROM it) AS q FROM n), s AS (SELECT dataset, n, pow(q, 4) AS p FROM d),
+u AS (SELECT dataset, k, exp(lgamma(n + 1) - lgamma(k + 1.0) - lgamma(n - k + 1.0) + k * ln(p) + (n - k) * ln(1 - p)) AS f FROM (SELECT *, unnest(range(0, n::BIGINT + 1)) AS k FROM s)),
+v AS (SELECT dataset, k, sum(f) OVER (ORDER BY k DESC ROWS UNBOUNDED PRECEDING) AS tail FROM u)
+SELECT dataset, min(k)::BIGINT AS min_support FROM v WHERE tail <= 0.05 GROUP BY dataset))"""
+
+
+@query("min_support_density", " UNION ALL ".join(map(_density_sql, WL.WORKLOADS)))
+def min_support_density(spark, sf_dir):
+    """Least significant support of four items, the chance of an item taken from each workload's density."""
+    out = []
+    for key, (f, _) in WL.WORKLOADS.items():
+        m = f(spark, sf_dir)
+        out.append((key, G.min_support(m.n_obs, G.item_probability(m.cells, m.n_obs))))
+    return spark.createDataFrame(out, "dataset string, min_support long")
+
+
 # Paired tests: quantity against ten times the discount, of the first lines by supplier group.
 TTEST = """WITH r AS (SELECT c_nationkey % 5 AS g, c_nationkey, avg(c_acctbal) AS x FROM customer GROUP BY ALL), q AS (SELECT s_nationkey, avg(s_acctbal) AS y FROM supplier GROUP BY ALL),
 d AS (SELECT g, x - y AS d FROM r JOIN q ON c_nationkey = s_nationkey), s AS (SELECT g, avg(d) / (stddev_samp(d) / sqrt(count(*))) AS t, (count(*) - 1)::INT AS df FROM d GROUP BY g HAVING count(*) = 5),

@@ -89,7 +89,7 @@ def sim_partner_counts(spark, sf_dir):
     return S.partner_counts(S.joint_counts(cells)).select("a", "b", "la", "partners")
 
 
-def grid_values(spark, sf_dir, dims=6, width=0.05):
+def grid_values(spark, sf_dir, dims=64, width=0.05):
     e = load(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("obs"), F.posexplode(F.slice("embedding", 1, dims)).alias("var", "v"))
     return e.select("obs", "var", F.floor(F.col("v").cast("double") / F.lit(width)).cast("long").alias("value"))
 
@@ -98,7 +98,7 @@ GRID_SQL = "g AS (SELECT vec_id AS obs, generate_subscripts(embedding, 1) - 1 AS
 
 
 def _difference_sql(values: str, d: str, where: str = "") -> str:
-    return f"""WITH {values}, j AS (SELECT x.v AS a, y.v AS b, {d} AS d, count(*) AS c FROM g x JOIN g y ON x.obs = y.obs AND x.v < y.v WHERE x.v < 6 AND y.v < 6 {where} GROUP BY ALL),
+    return f"""WITH {values}, j AS (SELECT x.v AS a, y.v AS b, {d} AS d, count(*) AS c FROM g x JOIN g y ON x.obs = y.obs AND x.v < y.v WHERE true {where} GROUP BY ALL),
 r AS (SELECT a, b, 1.0::DOUBLE / count(*) AS purity, 1 + sum(c / n * ln(c / n)) / ln(min(n)) AS concentration FROM j, n GROUP BY a, b) {FULL}"""
 
 
@@ -116,14 +116,14 @@ def sim_multiplicative_lineitem(spark, sf_dir):
     return _rounded(S.difference_similarity(values, line.count(), "multiplicative"), "purity", "concentration", "sim")
 
 
-def wide_embeddings(spark, sf_dir, dims=6):
+def wide_embeddings(spark, sf_dir, dims=64):
     e = load(spark, sf_dir, "embeddings")
     return e.select("vec_id", *[F.element_at("embedding", i + 1).cast("double").alias(f"y{i}") for i in range(dims)])
 
 
-@query("sim_order_embeddings", "WITH g AS (SELECT vec_id AS obs, generate_subscripts(embedding, 1) - 1 AS v, unnest(embedding)::DOUBLE AS x FROM embeddings) SELECT x.v::INT AS a, y.v::INT AS b, round(greatest(sum((x.x > y.x)::INT), sum((x.x < y.x)::INT)) / count(*), 6) AS sim FROM g x JOIN g y ON x.obs = y.obs AND x.v < y.v WHERE y.v < 6 GROUP BY x.v, y.v")
+@query("sim_order_embeddings", "WITH g AS (SELECT vec_id AS obs, generate_subscripts(embedding, 1) - 1 AS v, unnest(embedding)::DOUBLE AS x FROM embeddings) SELECT x.v::INT AS a, y.v::INT AS b, round(greatest(sum((x.x > y.x)::INT), sum((x.x < y.x)::INT)) / count(*), 6) AS sim FROM g x JOIN g y ON x.obs = y.obs AND x.v < y.v GROUP BY x.v, y.v")
 def sim_order_embeddings(spark, sf_dir):
-    return _rounded(S.order_similarity(wide_embeddings(spark, sf_dir), [f"y{i}" for i in range(6)]), "sim")
+    return _rounded(S.order_similarity(wide_embeddings(spark, sf_dir), [f"y{i}" for i in range(64)]), "sim")
 
 
 NUM = ["l_quantity", "l_discount", "l_tax"]

@@ -44,8 +44,7 @@ def brute(cells, kind, least):
     return {(vs, tuple(map(float, offs))): n for (vs, offs), n in out.items() if shut(vs, offs, n)}
 
 
-@pytest.mark.parametrize("kind, low, high", [("additive", -1, 2), ("multiplicative", -2, 3)])
-@pytest.mark.parametrize("strategy, cap", [("similar", 2), ("random", 3), ("dissimilar", 2)])
+@pytest.mark.parametrize("kind, low, high, strategy, cap", [("additive", -1, 2, "similar", 2), ("additive", -1, 2, "random", 3), ("multiplicative", -2, 3, "similar", 3), ("multiplicative", -2, 3, "dissimilar", 2)])
 def test_offsets(spark, kind, low, high, strategy, cap):
     cells = table(7, low, high)
     values = spark.createDataFrame([(o, v, x) for (o, v), x in cells.items()], CELLS)

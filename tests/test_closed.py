@@ -4,6 +4,7 @@ import random
 
 import pytest
 
+from vpatterns.operators import closed
 from vpatterns.operators.closed import closed_patterns
 from vpatterns.operators.prepare import cutoff
 from vpatterns.plans.wide import discover_wide
@@ -22,8 +23,11 @@ def as_set(df):
     return set(got)
 
 
+@pytest.mark.parametrize("dense, table", [(0, 0), (26, 18), (26, 6)])
 @pytest.mark.parametrize("seed, share, always", [(1, 0.5, False), (2, 0.8, True), (3, 0.2, False)])
-def test_brute_force(spark, seed, share, always):
+def test_brute_force(spark, monkeypatch, seed, share, always, dense, table):
+    monkeypatch.setattr(closed, "DENSE", dense)
+    monkeypatch.setattr(closed, "TABLE", table)
     rng, n_vars = random.Random(seed), 10
     rows = [sum((rng.random() < share or (always and i == 4)) << i for i in range(n_vars)) for _ in range(50)]
     rows = [x | (x & 1) << 7 for x in rows]  # one variable implies another
@@ -39,10 +43,14 @@ def test_more_variables_than_a_mask_holds(spark):
 def test_registered_query_finds_patterns_beyond_the_twelve_most_frequent(spark):
     sf = "/root/testdata/sf0.001"
     m = WL.user_day_events(spark, sf)
-    got = {(frozenset(r["pattern"].split(",")), r["support"]) for r in queries()["w4_whole"](spark, sf).collect()}
+    listed = closed_patterns(m, 0.005)
+    got = {(frozenset(i), s) for i, s in as_set(listed)}
     single = {frozenset([r["item"]]) for r in m.cells.groupBy("item").count().collect() if r["count"] >= cutoff(0.005, m.n_obs)}
     assert len(single) > 12 and len(set().union(*(p for p, _ in got))) == len(single)
     assert got == {(frozenset(i), s) for i, s in as_set(discover_wide(m, 0.005))}
+    of_length = {n: [s for i, s in got if len(i) == n] for n in {len(i) for i, _ in got}}
+    whole = {r["n_vars"]: tuple(r)[1:] for r in queries()["w4_whole"](spark, sf).collect()}
+    assert whole == {n: (len(s), min(s), max(s), sum(s)) for n, s in of_length.items()}
 
 
 def test_measures_are_over_all_variables(spark):
@@ -50,4 +58,4 @@ def test_measures_are_over_all_variables(spark):
     got = {(r["strategy"], r["metric"]): (r["n_vars"], r["value"]) for r in queries()["w4_whole_measures"](spark, sf).collect()}
     n = WL.user_day_events(spark, sf).cells.select("item").distinct().count()
     assert {k for k, _ in got} == {"similar", "dissimilar", "random"} and {v for v, _ in got.values()} == {n} and n > 12
-    assert {v for (_, k), (_, v) in got.items() if k == "patterns"} == {float(queries()["w4_whole"](spark, sf).count())}
+    assert {v for (_, k), (_, v) in got.items() if k == "patterns"} == {float(closed_patterns(WL.user_day_events(spark, sf), 0.005).count())}

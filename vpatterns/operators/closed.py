@@ -3,6 +3,10 @@
 A closed pattern grows by one later variable and is closed again over its rows; the result
 counts only if closing added nothing before that variable, so no pattern is made twice and
 nothing is compared or stored beside the path. Work is dealt out by the first two variables.
+
+Few frequent variables can have nearly as many closed patterns as there are masks. Up to
+``DENSE`` of them, every support comes from sums over supersets instead: a task takes one
+choice of the last variables and a table of 2**TABLE entries for the others.
 """
 
 from __future__ import annotations
@@ -12,9 +16,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vpatterns.operators.prepare import cut, cutoff
+from vpatterns.operators.prepare import bits, cut, cutoff
 from vpatterns.sources.workloads import Matrix
 
+#: Frequent variables up to which all masks are looked at, and those of one table.
+DENSE, TABLE = 26, 18
+
 
 def extended(rows: np.ndarray, w: np.ndarray, first: np.ndarray, last: int, least: float):
     """(pattern, support) of a closed pattern's closed extensions by variables after ``last``.
@@ -38,13 +45,57 @@ def extended(rows: np.ndarray, w: np.ndarray, first: np.ndarray, last: int, leas
                 stack.append((rows[keep], w[keep], shut, j))
 
 
+def superset_sums(masks: np.ndarray, w: np.ndarray, n: int) -> np.ndarray:
+    """Weight of the rows that hold each of 2**n masks, one variable at a time."""
+    total = np.bincount(masks, w, 1 << n).astype(np.int64)
+    for i in range(n):
+        halves = total.reshape(-1, 2, 1 << i)
+        halves[:, 0] += halves[:, 1]
+    return total
+
+
+def _dense(rows: DataFrame, m: int, least: int, table: int) -> DataFrame:
+    """mask, support of all closed patterns of m variables from rows (mask, w)."""
+    low = min(m, table)
+    high = m - low
+    # a row belongs to every choice of last variables that it holds
+    choices = F.sequence(F.lit(0), F.lit((1 << high) - 1))
+    top = F.shiftright("mask", low)
+    each = rows.withColumn("choice", F.explode(F.filter(choices, lambda c: top.bitwiseAND(c.cast("long")) == c.cast("long"))))
+
+    def one(key, t):
+        choice = key[0].as_py()
+        masks, w = t.column("mask").to_numpy(), t.column("w").to_numpy()
+        own = masks & ((1 << low) - 1)
+        total = superset_sums(own, w, low)
+        keep = total >= least
+        if not choice:
+            keep[0] = False  # the empty pattern
+        for i in range(low):
+            halves, kept = total.reshape(-1, 2, 1 << i), keep.reshape(-1, 2, 1 << i)
+            kept[:, 0] &= halves[:, 0] != halves[:, 1]
+        for i in range(high):
+            if not choice >> i & 1:
+                has = (masks >> (low + i) & 1) == 1
+                keep &= superset_sums(own[has], w[has], low) != total
+        found = np.flatnonzero(keep)
+        return pa.table({"mask": pa.array(found | choice << low, pa.int64()), "support": pa.array(total[found])})
+
+    return each.repartition(max(1, 1 << high), "choice").groupBy("choice").applyInArrow(one, "mask long, support long")
+
+
 def closed_patterns(matrix: Matrix, min_sup: float) -> DataFrame:
-    """items (sorted), support of all closed frequent patterns over all variables."""
+    """items (sorted), support, n_vars of all closed frequent patterns over all variables."""
     spark, least = matrix.cells.sparkSession, cutoff(min_sup, matrix.n_obs)
     counts = matrix.cells.groupBy("item").agg(F.count(F.lit(1)).alias("f")).where(F.col("f") >= least)
     names = [r["item"] for r in counts.orderBy("f", "item").collect()]
     m = len(names)
     numbers = spark.createDataFrame([(n, i) for i, n in enumerate(names)], "item string, v int")
+    named = F.array(*map(F.lit, names)) if names else F.array().cast("array<string>")
+    if 0 < m <= DENSE:
+        masks = matrix.cells.join(F.broadcast(numbers), "item").groupBy("obs").agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.col("v"))).alias("mask"))
+        found = _dense(cut(masks.groupBy("mask").agg(F.count(F.lit(1)).alias("w"))), m, least, TABLE)
+        return found.select(F.array_sort(F.transform(bits("mask"), lambda v: F.get(named, v))).alias("items"), "support", F.bit_count("mask").cast("int").alias("n_vars"))
     rows = matrix.cells.join(F.broadcast(numbers), "item").groupBy("obs").agg(F.array_sort(F.collect_list("v")).alias("vars"))
     rows = cut(rows.groupBy("vars").agg(F.count(F.lit(1)).alias("w")))
     first = rows.select("vars", "w", F.explode("vars").alias("i"))
@@ -79,5 +130,4 @@ def closed_patterns(matrix: Matrix, min_sup: float) -> DataFrame:
     asked = spark.createDataFrame(starts, "i int, j int")
     each = first.select("vars", "w", "i", F.explode("vars").alias("j")).where("i < j").join(F.broadcast(asked), ["i", "j"])
     deeper = each.groupBy("i", "j").applyInArrow(branch, "p array<int>, support long")
-    named = F.array(*map(F.lit, names)) if names else F.array().cast("array<string>")
-    return alone.unionByName(deeper).select(F.array_sort(F.transform("p", lambda v: F.get(named, v))).alias("items"), "support")
+    return alone.unionByName(deeper).select(F.array_sort(F.transform("p", lambda v: F.get(named, v))).alias("items"), "support", F.size("p").alias("n_vars"))

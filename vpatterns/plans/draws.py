@@ -14,6 +14,7 @@ import time
 
 import numpy as np
 
+from vpatterns.operators.closed import superset_sums
 from vpatterns.operators.clustering import fuse
 
 #: Variables of a draw at most: the table of supports has 2**n entries of 8 bytes.
@@ -31,15 +32,6 @@ def drawn(items: list[str], size: int, run: int, seed: int = 42) -> list[str]:
     return sorted(sorted(items, key=lambda x: (digest(seed, run, x), x))[:size])
 
 
-def supports(masks: np.ndarray, w: np.ndarray, n: int) -> np.ndarray:
-    """Weight of the rows that hold each mask: sums over supersets, one variable at a time."""
-    total = np.bincount(masks, w, 1 << n).astype(np.int64)
-    for i in range(n):
-        halves = total.reshape(-1, 2, 1 << i)
-        halves[:, 0] += halves[:, 1]
-    return total
-
-
 def similarities(table: np.ndarray, n: int, n_obs: int) -> dict[tuple[int, int], float]:
     """Purity times concentration of each pair; presence has one joint level a pair."""
     out = {}
@@ -117,7 +109,7 @@ def measured(masks: np.ndarray, w: np.ndarray, names: list[str], n_obs: int, lea
     n = len(names)
     if n > MOST:
         raise ValueError(f"a draw has {MOST} variables at most; mine more with operators.closed or plans.wide")
-    table, out = supports(masks, w, n), []
+    table, out = superset_sums(masks, w, n), []
     for strategy in strategies:
         whole, merge = [], []
         for _ in range(repeats):

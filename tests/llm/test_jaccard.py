@@ -44,7 +44,9 @@ def test_same_as_brute_force(make, seed, hot):
     assert [got[i] for i in range(len(texts))] == brute(texts)
 
 
-def test_large_group_of_near_copies(make):
+@pytest.mark.parametrize("few", [jaccard.FEW_PAIRS, 8])
+def test_large_group_of_near_copies(make, monkeypatch, few):
+    monkeypatch.setattr(jaccard, "FEW_PAIRS", few)
     base = [f"w{i}" for i in range(120)]
     texts = [" ".join(base[:k] + [f"x{i}"] + base[k + 1 :]) for i, k in ((i, i % 100) for i in range(300))]
     got = {r["component_id"] for r in jaccard.classes(make(texts)).collect()}

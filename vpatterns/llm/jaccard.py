@@ -46,6 +46,8 @@ CELLS, MOST_CELLS, BLOCK, FRAGMENTS = 21, 24, 1 << 14, 8
 CELL_BYTES = 256
 #: Sets whose share of all is above one in so many are met by a broadcast of that many rows at most.
 HEAVY = 4096
+#: Pairs of one set that a task takes in any case.
+FEW_PAIRS = 256
 #: A shingle's group is dealt out by salts where its cell has so many entries, and so many times the mean.
 HOT_ENTRIES, HOT_TIMES, SALTS = 1_000_000, 64, 64
 #: Bits of the filter that spares most texts outside any candidate pair a shuffle.
@@ -312,6 +314,22 @@ def _hopeful(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.select("a", "b", "na", "nb", "x", "y").mapInArrow(step, "a long, b long, na int, nb int").distinct()
 
 
+def _dealt_pairs(texts: DataFrame, pairs: DataFrame) -> DataFrame:
+    """doc_id, text, a, b, na, nb: each text beside its pairs.
+
+    A set that is the middle of a large star has very many pairs. Such sets, fewer than
+    HEAVY of them by the way they are chosen, come in copies that share the pairs.
+    """
+    of_text = pairs.select("*", F.explode(F.array("a", "b")).alias("doc_id"))
+    each = max(FEW_PAIRS, 2 * pairs.count() // HEAVY)
+    many = of_text.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > each)
+    many = F.broadcast(many.select("doc_id", F.ceil(F.col("n") / each).alias("copies")))
+    copies = F.coalesce("copies", F.lit(1).cast("long"))
+    of_text = of_text.join(many, "doc_id", "left").withColumn("copy", F.pmod(F.xxhash64("a", "b"), copies)).drop("copies")
+    texts = texts.join(many, "doc_id", "left").select("doc_id", "text", F.explode(F.sequence(F.lit(0).cast("long"), copies - 1)).alias("copy"))
+    return texts.join(of_text, ["doc_id", "copy"])
+
+
 def _ends(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
 
@@ -406,8 +424,7 @@ def classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH, cells:
     def linked(pairs: DataFrame, name: str) -> DataFrame:
         near = written(_hopeful(pairs, sets, percent), folder, f"{name}_near")
         texts = _texts_of(_ends(near), docs).dropDuplicates(["doc_id"])
-        of_text = near.select("*", F.explode(F.array("a", "b")).alias("doc_id"))
-        found = written(verified(_fragments(texts.join(of_text, "doc_id"), levels, cuts, width, cells), percent), folder, name)
+        found = written(verified(_fragments(_dealt_pairs(texts, near), levels, cuts, width, cells), percent), folder, name)
         tidy(spark)
         return found
 

@@ -18,14 +18,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from vpatterns.llm.common import WORD, documents
+from vpatterns.llm.common import WORD, documents, input_bytes, scratch, written
 
 #: Sources by code point weigh so much, repeating.
 WEIGHTS = (5, 2, 1)
 #: Percent of all words that the mix has, and the most rounds over a source.
 SHARE, ROUNDS = 150, 2
-#: Ranges of a source's shuffle and of finish times; each holds a small part of the rows.
+#: Ranges of a source's shuffle and of finish times, at least; each holds a small part of the rows.
 RANGES = 1024
+#: Bytes of input for each range where that makes more of them.
+RANGE_BYTES = 256 << 20
 
 
 def words(text: str = "text"):
@@ -52,11 +54,18 @@ def targets(sizes: DataFrame, weights=WEIGHTS, share: int = SHARE, rounds: int =
     return s.select("source", "source_size", F.coalesce(F.least("stop", F.col("weight") * F.col("level")), F.col("stop")).alias("target"))
 
 
-def plan(df: DataFrame, id_col: str = "doc_id", weights=WEIGHTS, share: int = SHARE, rounds: int = ROUNDS, ranges: int = RANGES, size=None) -> DataFrame:
-    """id, size, source_size, target, copies and taken of every row of df."""
+def plan(df: DataFrame, id_col: str = "doc_id", weights=WEIGHTS, share: int = SHARE, rounds: int = ROUNDS, ranges: int | None = None, size=None) -> DataFrame:
+    """id, size, source_size, target, copies and taken of every row of df.
+
+    ``ranges``: by default they grow with the input, so that a range stays a small part of it;
+    the result does not depend on their number.
+    """
+    ranges = max(RANGES, input_bytes(df) // RANGE_BYTES) if ranges is None else ranges
     size = words() if size is None else size
     base = df.select(F.col(id_col).alias("doc_id"), "source", size.alias("size"), F.md5(F.coalesce(F.col(id_col).cast("string"), F.lit(""))).alias("place"))
     base = base.withColumn("bin", (F.conv(F.substring("place", 1, 8), 16, 10).cast("long") * ranges / F.lit(1 << 32)).cast("int"))
+    # every text is read and counted once; all that follows works on these narrow rows
+    base = written(base, scratch(df.sparkSession), "sizes")
     bins = base.groupBy("source", "bin").agg(F.sum("size").alias("bin_size"))
     sizes = bins.groupBy("source").agg(F.sum("bin_size").alias("source_size"))
     goal = targets(sizes, weights, share, rounds)
@@ -95,8 +104,10 @@ def mixed(df: DataFrame, **options) -> DataFrame:
     """df with each row as often as the mix takes it; rows that share an id go by the most of them."""
     id_col = options.get("id_col", "doc_id")
     chosen = plan(df, **options).groupBy(F.col("doc_id").alias("_mix_id")).agg(F.max("copies").alias("_mix_copies")).where("_mix_copies > 0")
-    joined = df.join(chosen, df[id_col].eqNullSafe(chosen["_mix_id"]))
-    return joined.withColumn("_mix_round", F.explode(F.sequence(F.lit(1), F.col("_mix_copies")))).select(*df.columns)
+    # the row travels as one value, so no column of it can clash with the mix's own
+    rows = df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("_mix_row"))
+    joined = rows.join(chosen, F.col("_mix_row")[id_col].eqNullSafe(F.col("_mix_id")))
+    return joined.withColumn("_mix_round", F.explode(F.sequence(F.lit(1), F.col("_mix_copies")))).select("_mix_row.*")
 
 
 def op1_fair_queue_mix(spark: SparkSession, sf_dir: str) -> DataFrame:

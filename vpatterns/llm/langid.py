@@ -25,8 +25,8 @@ from pyspark.sql import functions as F
 
 from vpatterns.llm.common import documents, remainder
 
-#: Positions of the filter and hashes of a trigram: fixed size, so it can be broadcast.
-POSITIONS, HASHES = 1 << 20, 3
+#: Positions of the filter at least and at most, positions for each kept trigram, hashes of one.
+POSITIONS, MOST_POSITIONS, ROOM, HASHES = 1 << 20, 1 << 24, 8, 3
 #: A trigram's rate in a language over its highest rate, and its least count, to be kept.
 SHARE, LEAST = 0.1, 2
 #: Bits used of one 64-bit mask; more languages take more masks a position.
@@ -90,19 +90,46 @@ def gram_counts(train: DataFrame) -> DataFrame:
     return rows.groupBy("lang", "gram").agg(F.sum("n").alias("n"))
 
 
-def build_filter(train: DataFrame, positions: int = POSITIONS, hashes: int = HASHES) -> tuple[list[str], np.ndarray]:
-    """(languages, masks by word and position); what is collected is bounded by the filter."""
+def filter_size(kept: DataFrame, least: int = POSITIONS, most: int = MOST_POSITIONS) -> tuple[int, int]:
+    """(positions, least count of a trigram) from the counted trigrams, so that the filter never fills.
+
+    It has ROOM positions a trigram. Where that is more than ``most``, the size of the model
+    that every task holds, trigrams below a power of two go: the rarest of more than
+    ``most`` / ROOM, which few texts hold.
+    """
+    level = F.floor(F.log2("n")).cast("int")
+    ladder = sorted(((r["l"], r["m"]) for r in kept.groupBy(level.alias("l")).agg(F.count(F.lit(1)).alias("m")).collect()), reverse=True)
+    held, cut = 0, 0
+    for at, m in ladder:
+        if held and (held + m) * ROOM > most:
+            cut = 1 << (at + 1)
+            break
+        held += m
+    positions = least
+    while positions < min(most, held * ROOM):
+        positions *= 2
+    return positions, cut
+
+
+def build_filter(train: DataFrame, positions: int | None = None, hashes: int = HASHES, most: int = MOST_POSITIONS) -> tuple[list[str], np.ndarray]:
+    """(languages, masks by word and position); what is collected is bounded by the filter.
+
+    ``positions``: by default the number that the counted trigrams need (``filter_size``).
+    """
     counts = gram_counts(train).persist()
     totals = {r["lang"]: r["n"] for r in counts.groupBy("lang").agg(F.sum("n").alias("n")).collect() if r["n"]}
     langs = sorted(totals, key=lambda x: (-totals[x], x))
     if not langs:
         counts.unpersist()
-        return [], np.zeros((1, positions), np.int64)
+        return [], np.zeros((1, positions or POSITIONS), np.int64)
     index = F.create_map(*[F.lit(x) for i, lang in enumerate(langs) for x in (lang, i)])
     size = F.create_map(*[F.lit(x) for lang in langs for x in (lang, float(totals[lang]))])
     rated = counts.select("gram", index[F.col("lang")].alias("at"), "n", (F.col("n") / size[F.col("lang")]).alias("rate"))
     top = rated.groupBy("gram").agg(F.max("rate").alias("top"), F.collect_list(F.struct("at", "n", "rate")).alias("each"))
     kept = top.select("gram", F.explode("each").alias("e"), "top").where(f"e.n >= {LEAST} and e.rate >= {SHARE} * top")
+    if positions is None:
+        positions, least = filter_size(kept.groupBy("gram").agg(F.max("e.n").alias("n")), min(POSITIONS, most), most)
+        kept = kept.where(F.col("e.n") >= least)
     bit = F.expr(f"shiftleft(1L, cast(e.at % {BITS} as int))")
     masks = kept.groupBy("gram", F.expr(f"cast(e.at div {BITS} as int)").alias("word")).agg(F.bit_or(bit).alias("mask"))
 

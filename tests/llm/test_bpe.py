@@ -47,3 +47,15 @@ def test_decode_of_encode(make):
     got = bpe.encode(df, PATH)
     plain = {r["doc_id"]: r["decoded"] for r in got.collect()}
     assert {r["doc_id"]: r["decoded"] for r in bpe.decode(got, PATH).collect()} == plain
+
+
+def test_long_runs_in_parallel_pieces(make, library):
+    rng = random.Random(8)
+    some = ["", None, "the cat", "the " + "ab" * 300 + " and <|endoftext|>" + "é" * 200 + " end", "x" * 65, "!" * 500 + "a" * 500]
+    some += [" ".join("".join(rng.choice("abcdeéin!") for _ in range(rng.choice([3, 40, 300]))) for _ in range(6)) for _ in range(30)]
+    df = make([*some, some[3]])
+    got = {r["doc_id"]: (r["ids"], r["decoded"]) for r in bpe.encode(df, PATH, parallel=64, piece=16).collect()}
+    assert len(got) == len(some) + 1 and got[3] == got[len(some)]
+    for i, t in enumerate(some):
+        ids = library.encode(t or "", add_special_tokens=False).ids
+        assert got[i] == (ids, library.decode(ids, skip_special_tokens=False)), repr(t)[:60]

@@ -8,6 +8,10 @@ tokens are those the two sides had already. Every adjacent pair of the result th
 is a pair of some valid encoding, and a sequence all of whose adjacent pairs are
 valid is the encoding of its text, so the result equals one pass over the run.
 
+Texts with an unsplit run above ``PARALLEL`` symbols go a way of their own: their long
+runs are cut into pieces that tasks encode in parallel, and a text's pieces are joined at
+their seams afterwards.
+
 Defined cases: null and empty texts have no tokens and decode to the empty string;
 repeated rows give repeated results; an empty table gives an empty table; columns
 other than the id and the text are not read, so their names cannot clash.
@@ -19,6 +23,7 @@ import json
 import re
 
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -31,6 +36,8 @@ _PLAIN_RUN = re.compile(
 )
 #: Runs above so many symbols are encoded as a tree; its leaves have half as many at most.
 LEAF = 32
+#: Runs above so many symbols are encoded by several tasks, in pieces of so many.
+PARALLEL, PIECE = 1 << 14, 1 << 12
 #: Runs kept in a worker's cache; it starts anew when full.
 CACHE = 400_000
 
@@ -140,6 +147,31 @@ class TextEncoder:
             self.cache[run] = entry
         return entry
 
+    def parts(self, text: str, most: int):
+        """The text's special tokens and runs in order: (ids, decoded), or a run of more than ``most`` symbols itself.
+
+        What lies between long runs comes as one entry; there is one at least.
+        """
+        ids, decoded, empty = [], [], True
+        for part in self.cut.split(text) if self.cut and "<|" in text else [text]:
+            if part in self.special:
+                ids.append(self.special[part])
+                decoded.append(part)
+                continue
+            for run in self.runs(part):
+                if len(run) * 4 > most and len(run.encode()) > most:
+                    if ids:
+                        yield ids, " ".join(decoded)
+                        ids, decoded = [], []
+                    yield run
+                    empty = False
+                    continue
+                found = self.cache.get(run) or self.known(run)
+                ids.extend(found[0])
+                decoded.append(found[1])
+        if ids or empty:
+            yield ids, " ".join(decoded)
+
     def __call__(self, text: str) -> tuple[list[int], str]:
         """(ids, decoded text) of one text."""
         ids, decoded = [], []
@@ -157,9 +189,84 @@ class TextEncoder:
         return ids, " ".join(decoded)
 
 
-def encode(df: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", leaf: int = LEAF) -> DataFrame:
-    """id, ids (array of int) and decoded text of every row, in one pass without a shuffle."""
+def encode(df: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", leaf: int = LEAF, parallel: int = PARALLEL, piece: int = PIECE) -> DataFrame:
+    """id, ids (array of int) and decoded text of every row, in one pass.
 
+    Only texts with a run of more than ``parallel`` characters without a blank are shuffled.
+    """
+    rows = df.select(id_col, F.coalesce(text_col, F.lit("")).alias(text_col))
+    # a byte level symbol is a byte: four a character at most
+    longest = F.array_max(F.transform(F.split(text_col, r"\s+"), F.length))
+    long = (F.length(text_col) * 4 > parallel) & (longest * 4 > parallel)
+    short = _encode_rows(rows.where(~long), tokenizer, id_col, text_col, leaf)
+    return short.unionByName(_encode_pieces(rows.where(long), tokenizer, id_col, text_col, leaf, parallel, piece))
+
+
+def _encode_pieces(df: DataFrame, tokenizer: str, id_col: str, text_col: str, leaf: int, parallel: int, piece: int) -> DataFrame:
+    """The same for texts with long runs: pieces of a run are encoded apart and joined at their seams."""
+    kind = df.schema[id_col].dataType.simpleString()
+    names = ["row", "no", "run", "last", "key", "ids", "decoded", "symbols"]
+
+    def cut(batches):
+        encoder, number = TextEncoder(tokenizer, leaf), TaskContext.get().partitionId() << 33
+        for batch in batches:
+            kinds = [pa.int64(), pa.int32(), pa.int32(), pa.bool_(), batch.schema.field(0).type, pa.list_(pa.int32()), pa.string(), pa.string()]
+            for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                out = []
+                for run, found in enumerate(encoder.parts(text or "", parallel)):
+                    if isinstance(found, str):
+                        raw = found.encode()
+                        for at in range(0, len(raw), piece):
+                            out.append((number, len(out), run, at + piece >= len(raw), key, None, None, "".join(encoder.run.bytes[b] for b in raw[at : at + piece])))
+                    else:
+                        out.append((number, len(out), run, False, key, *found, None))
+                number += 1
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*out)) or [()] * 8, kinds)], names=names)
+
+    def encoded(batches):
+        encoder = TextEncoder(tokenizer, leaf)
+        for batch in batches:
+            got = []
+            for symbols, last in zip(batch.column(7).to_pylist(), batch.column(3).to_pylist()):
+                some = None if symbols is None else list(symbols)
+                if some and last:
+                    some[-1] += encoder.run.suffix
+                got.append(None if some is None else encoder.run.tree(some))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:7], pa.array(got, pa.list_(pa.string()))], names=[*names[:7], "tokens"])
+
+    def joined(key, t):
+        encoder = TextEncoder(tokenizer, leaf)
+        t = t.sort_by("no")
+        ids, decoded, open_, now = [], [], [], None
+
+        def close():
+            level = open_[:]
+            open_.clear()
+            while len(level) > 1:
+                pairs = [encoder.run.joined(*level[i : i + 2]) for i in range(0, len(level) - 1, 2)]
+                level = pairs + level[len(level) & ~1 :]
+            for tokens in level:
+                ids.extend(encoder.vocab[x] for x in tokens)
+                decoded.append(" ".join(tokens))
+
+        for run, some, text, tokens in zip(*(t.column(c).to_pylist() for c in ("run", "ids", "decoded", "tokens"))):
+            if run != now:
+                close()
+            now = run
+            if tokens is not None:
+                open_.append(tokens)
+            else:
+                ids.extend(some)
+                decoded.append(text)
+        close()
+        return pa.table([t.column("key").slice(0, 1), pa.array([ids], pa.list_(pa.int32())), pa.array([" ".join(decoded)], pa.string())], names=[id_col, "ids", "decoded"])
+
+    rows = df.select(id_col, text_col).mapInArrow(cut, f"row long, no int, run int, last boolean, key {kind}, ids array<int>, decoded string, symbols string")
+    pieces = rows.repartition("row", "no").mapInArrow(encoded, f"row long, no int, run int, last boolean, key {kind}, ids array<int>, decoded string, tokens array<string>")
+    return pieces.groupBy("row").applyInArrow(joined, f"`{id_col}` {kind}, ids array<int>, decoded string")
+
+
+def _encode_rows(df: DataFrame, tokenizer: str, id_col: str, text_col: str, leaf: int) -> DataFrame:
     def step(batches):
         encoder = TextEncoder(tokenizer, leaf)
         for batch in batches:

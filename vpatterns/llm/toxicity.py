@@ -35,8 +35,10 @@ from vpatterns.llm.common import documents, remainder, table
 
 #: Rows of each label that the classifier is fitted on at most.
 SAMPLE = 20_000
-#: Toxic documents that must have a unit, and units kept.
-LEAST, UNITS = 4, 200_000
+#: Toxic documents of the sample that must have a unit.
+LEAST = 4
+#: Letters of the character model, the most frequent of any script: its size is their square.
+LETTERS = 1024
 #: Stems are the first so many letters of a word.
 STEMS = (4, 5, 6)
 CACHE = 500_000
@@ -171,8 +173,15 @@ class Restorer:
 
 def tokens(text: str) -> list[str]:
     """Lower-cased tokens; letters set apart by spaces or points are one token."""
-    text = text.lower()
-    return [*text.split(), *(re.sub(r"[ .\-_*]", "", m) for m in _SPACED.findall(text))]
+    return [x for part in _split(text.lower())[:2] for x in part]
+
+
+def _split(low: str) -> tuple[list[str], list[str], list[str]]:
+    """(tokens, letters set apart as one token each, the stretches they were in) of a lower-cased text."""
+    regions = _APART.findall(low)
+    # four letters and more stand inside some stretch of three and more
+    glued = [re.sub(r"[ .\-_*]", "", m) for m in _SPACED.findall(low)] if regions else []
+    return low.split(), glued, regions
 
 
 class Units:
@@ -184,8 +193,9 @@ class Units:
 
     def tokens(self, text: str) -> list[str]:
         """Tokens of the text and the words that its letters set apart spell."""
-        out = tokens(text)
-        for region in _APART.findall(text.lower()):
+        out, glued, regions = _split(text.lower())
+        out += glued
+        for region in regions:
             if region not in self.split:
                 if len(self.split) >= CACHE:
                     self.split.clear()
@@ -194,6 +204,8 @@ class Units:
         return out
 
     def words(self, token: str) -> list[str]:
+        if token.isalpha() and not _RUN.search(token):
+            return [token]
         core = _EDGE.sub("", token)
         if _PLAIN_WORD.match(core) and not _RUN.search(core):
             return [core]
@@ -214,34 +226,60 @@ class Units:
 def character_model(df: DataFrame, text_col: str = "text", least: int = 20) -> tuple[str, np.ndarray]:
     """(alphabet, log probabilities of one letter after another) over all texts.
 
-    Characters beyond the basic plane's first 1,024 places share no cell: they are left
-    to the floor, which keeps the counted matrix at a fixed size.
+    Letters of every script are counted. The alphabet is the LETTERS most frequent ones
+    that come ``least`` times or more, all others share the place of what is no letter, so
+    the matrix has a fixed size.
     """
-    size = 1024
+    size, wide = 1024, 1 << 21
 
     def step(batches):
-        total = np.zeros(size * size, np.int64)
-        table_of = np.array([i if chr(i).isalpha() else 0 for i in range(size)], np.int64)
+        total, rest = np.zeros(size * size, np.int64), []
+        letters = np.fromiter((chr(i).isalpha() for i in range(0x110000)), bool, 0x110000)
+
+        def some(cells, n):
+            return pa.RecordBatch.from_arrays([pa.array(cells), pa.array(n)], names=["cell", "n"])
+
         for batch in batches:
             texts = batch.column(0).to_pylist()
             for at in range(0, len(texts), 256):
                 joined = " ".join(["", *(t or "" for t in texts[at : at + 256]), ""]).lower()
-                codes = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32)
-                codes = table_of[np.where(codes < size, codes, 0)]
-                total += np.bincount(codes[:-1] * size + codes[1:], minlength=size * size)
+                codes = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64)
+                codes[~letters[codes]] = 0
+                x, y = codes[:-1], codes[1:]
+                high = (x >= size) | (y >= size)
+                if high.any():
+                    rest.append(np.unique(x[high] * wide + y[high], return_counts=True))
+                    x, y = x[~high], y[~high]
+                total += np.bincount(x * size + y, minlength=size * size)
+                if sum(len(c) for c, _ in rest) > 1_000_000:
+                    yield some(*_summed(rest))
+                    rest = []
         cells = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(total[cells])], names=["cell", "n"])
-
-    rows = df.select(text_col).mapInArrow(step, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
-    counts = np.zeros((size, size))
-    counts.reshape(-1)[rows.column("cell").to_numpy()] = rows.column("n").to_numpy()
-    counts[0, 0] = 0
-    used = [i for i in np.flatnonzero(counts.sum(axis=0) >= least) if i]
-    keep = [*used, 0]
-    small = counts[np.ix_(keep, keep)] + 0.5
+        yield some(cells // size * wide + cells % size, total[cells])
+        if rest:
+            yield some(*_summed(rest))
+
+    counts = df.select(text_col).mapInArrow(step, "cell long, n long").groupBy("cell").agg(F.sum("n").alias("n")).persist()
+    a, b = F.expr(f"cell div {wide}").alias("a"), F.expr(f"cell % {wide}").alias("b")
+    top = counts.select(b, "n").groupBy("b").agg(F.sum("n").alias("n")).where((F.col("b") > 0) & (F.col("n") >= least))
+    used = sorted(r["b"] for r in top.orderBy(F.desc("n"), "b").limit(LETTERS).collect())
+    known = F.array(*map(F.lit, used)) if used else F.array().cast("array<int>")
+    place = lambda c: F.array_position(known, F.col(c).cast("int"))  # noqa: E731  0: no letter of the alphabet
+    pairs = counts.select(a, b, "n").select(place("a").alias("a"), place("b").alias("b"), "n").groupBy("a", "b").agg(F.sum("n").alias("n")).toArrow()
+    counts.unpersist()
+    k = len(used)
+    small = np.zeros((k + 1, k + 1))
+    small[pairs.column("a").to_numpy() - 1, pairs.column("b").to_numpy() - 1] = pairs.column("n").to_numpy()  # 0 becomes the last
+    small[k, k] = 0
+    small += 0.5
     return "".join(map(chr, used)), np.log(small / small.sum(axis=1, keepdims=True))
 
 
+def _summed(parts: list) -> tuple[np.ndarray, np.ndarray]:
+    cells, at = np.unique(np.concatenate([c for c, _ in parts]), return_inverse=True)
+    return cells, np.bincount(at, np.concatenate([n for _, n in parts])).astype(np.int64)
+
+
 def word_model(df: DataFrame, text_col: str = "text", least: int = WORD_LEAST) -> dict[str, float]:
     """Log share of each frequent word among the words of all texts."""
 
@@ -372,8 +410,8 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, least: int = L
         n1, n0 = (part.where(f"toxic = {k}").count() + 1 for k in (1, 0))
         counts = unit_counts(part, alphabet, logs, words).where(f"toxic >= {least} and toxic / {n1} > 3 * clean / {n0}")
         ratio = F.log((F.col("toxic") + 0.1) / n1) - F.log((F.col("clean") + 0.5) / n0)
-        top = counts.withColumn("w", ratio).orderBy(F.desc("w"), "unit").limit(UNITS)
-        return {r["unit"]: r["w"] for r in top.select("unit", "w").toArrow().to_pylist()}
+        got = counts.select("unit", ratio.alias("w")).toArrow()  # the sample bounds it
+        return dict(zip(got.column("unit").to_pylist(), got.column("w").to_pylist()))
 
     # Weights of one half are tried on the other, so the last model sees honest evidence.
     halves = [weights(rows.where(f"half = {k}")) for k in (0, 1)]

@@ -119,9 +119,9 @@ def test_toxicity(make, spark):
 
 def test_exact_likelihood():
     rng = np.random.default_rng(0)
-    m = hmm.Model.first(3)
+    m = hmm.Model.first(3, 400)
     m.start, m.moves = np.array([0.5, 0.3, 0.2]), rng.dirichlet(np.ones(3), 3)
-    lines = [rng.integers(0, hmm.CLASSES, k).astype(np.uint16) for k in (1, 5, 64, 65, 200)]
+    lines = [rng.integers(0, 400, k).astype(np.uint32) for k in (1, 5, 64, 65, 200)]
     for line, got in zip(lines, hmm.likelihoods(m, lines)):
         a, want = m.start * m.emits[line[0]], 0.0
         for x in line[1:]:
@@ -133,7 +133,7 @@ def test_exact_likelihood():
 def test_expectation_raises_the_likelihood():
     rng = np.random.default_rng(1)
     lines = [np.repeat(rng.integers(0, 2, 6) * 50, 8).astype(np.uint16) + rng.integers(0, 5, 48).astype(np.uint16) for _ in range(50)]
-    m, last = hmm.Model.first(2), -np.inf
+    m, last = hmm.Model.first(2, 400), -np.inf
     for _ in range(4):
         *counts, now = hmm.expected(m, lines)
         assert now > last - 1e-6

@@ -1,10 +1,11 @@
 """Language-model scores by a hidden Markov model trained with Baum-Welch.
 
 Tokens are lower-cased words and one end. The states emit word classes: a class of its
-own for each of the most frequent words and for the end, and 255 classes of the others by
-their last bytes; inside such a class a word has its add-one share of the class's training
-tokens, with one share left for unknown words. So the model is a probability over whole
-texts with a fixed number of parameters, while every count grows with the corpus.
+own for the most frequent words, for each other word with ``OWN_LEAST`` training
+occurrences or more and for the end, and 256 classes of the others by their last bytes; inside such a class a word has its add-one share
+of the class's training tokens, with one share left for unknown words. So the model is a
+probability over whole texts, and its emissions grow with the vocabulary that the corpus
+has evidence for, up to the ``HELD`` words whose counts every task holds.
 
 Expectation steps run over the training texts in windows, add their counts up in each
 partition and then across partitions; only the summed counts (states times classes) reach
@@ -31,15 +32,19 @@ from pyspark.sql import functions as F
 from vpatterns.llm.common import ASCII_LOWER, documents, forget, remainder, scratch, shards, tidy, written
 
 STATES, STEPS, WINDOW = 4, 5, 64
-#: Words with a class of their own, and words whose counts every task holds.
-OWN, HELD = 3840, 1 << 18
+#: Most frequent words with a class of their own in any corpus, occurrences that give any
+#: other word one, and words whose counts every task holds.
+OWN, OWN_LEAST, HELD = 3840, 1000, 1 << 18
 TAILS = 256
-CLASSES = OWN + 1 + TAILS
-CACHE = 400_000
+CACHE = 50_000
 
 
 class WordNumbers(dict):
-    """Word to a 64-bit number whose low byte is the class of its last bytes."""
+    """Word to a number: 56 bits of its digest, and a low byte that is the class of its last bytes.
+
+    Two words share a number with a chance of 2**-56 a pair at most; that would add their
+    counts up.
+    """
 
     def __missing__(self, word: bytes) -> int:
         if len(self) >= CACHE:
@@ -50,7 +55,7 @@ class WordNumbers(dict):
 
 def numbers(text: str | None, ids: WordNumbers) -> np.ndarray:
     words = (text or "").encode("utf-8", "surrogatepass").translate(ASCII_LOWER).split()
-    return np.fromiter((ids[w] for w in words), np.uint64, len(words))
+    return np.fromiter(map(ids.__getitem__, words), np.uint64, len(words))
 
 
 def _sharded(values: np.ndarray, n_shards: int):
@@ -140,7 +145,7 @@ def _sequences(docs: DataFrame, shared, n_shards: int) -> DataFrame:
 
     def step(batches):
         ids, at = WordNumbers(), shared.value
-        words, count, class_of, end_count, room = at["words"], at["counts"], at["classes"], at["end"], at["room"]
+        words, count, class_of, end_count, room, own = at["words"], at["counts"], at["classes"], at["end"], at["room"], at["own"]
         pack = TaskContext.get().partitionId() << 24
         for batch in batches:
             kinds[3] = batch.schema.field(0).type
@@ -153,12 +158,12 @@ def _sequences(docs: DataFrame, shared, n_shards: int) -> DataFrame:
                     place = np.minimum(np.searchsorted(words, w), max(0, len(words) - 1))
                     hit = words[place] == w if len(words) else np.zeros(len(w), bool)
                     tail = (w & np.uint64(0xFF)).astype(np.int64)
-                    classes = OWN + 1 + tail
+                    classes = own + 1 + tail
                     classes[hit] = class_of[place[hit]]
                     logs = np.log10(count[place[hit]] + 1.0)
-                    shared_class = classes[hit] > OWN
-                    within = logs[shared_class].sum() - room[tail[classes > OWN]].sum()
-                    line = np.r_[classes, 0].astype(np.uint16)
+                    shared_class = classes[hit] > own
+                    within = logs[shared_class].sum() - room[tail[classes > own]].sum()
+                    line = np.r_[classes, 0].astype(np.uint32)
                     rows.append((0, pack, i, key, held, len(w) + 1, int(hit.sum()) + (end_count > 0), float(logs.sum() + np.log10(end_count + 1.0)), float(within), line.tobytes(), None, None, None))
                     rare.append(w[~hit])
                     owner.append(np.full(len(rare[-1]), i, np.int32))
@@ -200,11 +205,11 @@ class Model:
         self.start, self.later, self.moves, self.emits = start, later, moves, emits
 
     @staticmethod
-    def first(states: int, seed: int = 7) -> Model:
+    def first(states: int, n_classes: int, seed: int = 7) -> Model:
         rng = np.random.default_rng(seed)
         moves = np.full((states, states), 0.1 / max(1, states - 1))
         np.fill_diagonal(moves, 0.9 if states > 1 else 1.0)
-        emits = rng.uniform(0.2, 1.8, (CLASSES, states))
+        emits = rng.uniform(0.2, 1.8, (n_classes, states))
         even = np.full(states, 1 / states)
         return Model(even, even, moves, emits / emits.sum(axis=0))
 
@@ -256,7 +261,7 @@ def expected(model: Model, lines: list[np.ndarray]):
     moves *= model.moves
     used = np.arange(width) < length[:, None]
     which = table[:, :width][used]
-    emits = np.column_stack([np.bincount(which, gamma[:, :, i][used], minlength=CLASSES) for i in range(k)])
+    emits = np.column_stack([np.bincount(which, gamma[:, :, i][used], minlength=len(model.emits)) for i in range(k)])
     first = place == 0
     return gamma[first, 0].sum(axis=0), gamma[~first, 0].sum(axis=0), moves, emits, float(np.log(scale[used]).sum())
 
@@ -288,17 +293,17 @@ def likelihoods(model: Model, lines: list[np.ndarray]) -> np.ndarray:
     return out / np.log(10)
 
 
-def train(lines: DataFrame, states: int = STATES, steps: int = STEPS) -> Model:
+def train(lines: DataFrame, n_classes: int, states: int = STATES, steps: int = STEPS) -> Model:
     """Baum-Welch over the column ``classes``; a step's counts are added across partitions."""
-    model = Model.first(states)
+    model = Model.first(states, n_classes)
     for _ in range(steps):
-        now = model
+        shared = lines.sparkSession.sparkContext.broadcast((model.start, model.later, model.moves, model.emits))
 
-        def step(batches, now=now):
-            total = None
+        def step(batches, shared=shared):
+            now, total = Model(*shared.value), None
             for batch in batches:
                 for at in range(0, batch.num_rows, 2048):
-                    some = [np.frombuffer(x.as_py(), np.uint16) for x in batch.column(0)[at : at + 2048]]
+                    some = [np.frombuffer(x.as_py(), np.uint32) for x in batch.column(0)[at : at + 2048]]
                     got = expected(now, some)
                     total = got if total is None else tuple(a + b for a, b in zip(total, got))
             if total is not None:
@@ -307,12 +312,13 @@ def train(lines: DataFrame, states: int = STATES, steps: int = STEPS) -> Model:
                 yield pa.RecordBatch.from_arrays([pa.array(cells), pa.array(flat[cells])], names=["cell", "value"])
 
         got = lines.select("classes").mapInArrow(step, "cell long, value double").groupBy("cell").agg(F.sum("value").alias("value")).toArrow()
+        shared.destroy()
         if not got.num_rows:
             break
-        flat = np.zeros(states * (2 + states + CLASSES))
+        flat = np.zeros(states * (2 + states + n_classes))
         flat[got.column("cell").to_numpy()] = got.column("value").to_numpy()
         a, b, c = states, 2 * states, 2 * states + states * states
-        model = Model.of_counts(flat[:a], flat[a:b], flat[b:c].reshape(states, states), flat[c:].reshape(CLASSES, states))
+        model = Model.of_counts(flat[:a], flat[a:b], flat[b:c].reshape(states, states), flat[c:].reshape(n_classes, states))
     return model
 
 
@@ -327,20 +333,21 @@ def scored(docs: DataFrame, held_out, states: int = STATES, steps: int = STEPS)
     n_docs = training.count()
     ids, n, tokens, types = _summary(vocab, n_shards)
     total, distinct = int(tokens.sum()) + n_docs, int(types.sum()) + bool(n_docs)
-    own = (ids[:OWN] & np.uint64(0xFF)).astype(np.int64)
-    rest_tokens = tokens - np.bincount(own, n[:OWN], minlength=TAILS).astype(np.int64)
+    n_own = max(min(OWN, len(n)), int(np.searchsorted(-n, -OWN_LEAST, "right")))  # ids come by falling count
+    own = (ids[:n_own] & np.uint64(0xFF)).astype(np.int64)
+    rest_tokens = tokens - np.bincount(own, n[:n_own], minlength=TAILS).astype(np.int64)
     rest_types = types - np.bincount(own, minlength=TAILS)
     room = np.log10(rest_tokens + rest_types + 1.0)
-    classes = np.where(np.arange(len(ids)) < OWN, np.arange(len(ids)) + 1, OWN + 1 + (ids & np.uint64(0xFF)).astype(np.int64))
+    classes = np.where(np.arange(len(ids)) < n_own, np.arange(len(ids)) + 1, n_own + 1 + (ids & np.uint64(0xFF)).astype(np.int64))
     order = np.argsort(ids)
-    shared = spark.sparkContext.broadcast({"words": ids[order], "counts": n[order], "classes": classes[order], "end": n_docs, "room": room})
+    shared = spark.sparkContext.broadcast({"words": ids[order], "counts": n[order], "classes": classes[order], "end": n_docs, "room": room, "own": n_own})
     lines = written(_sequences(docs, shared, n_shards), folder, "lines")
     tidy(spark)
     sums = written(_rare_sums(lines.where("kind = 1").select("shard", "pack", "ids", "rows"), vocab), folder, "sums")
     forget(spark, folder, "vocabulary")
     tidy(spark)
     texts = lines.where("kind = 0")
-    fitted = train(texts.where("not held_out"), states, steps)
+    fitted = train(texts.where("not held_out"), n_own + 1 + TAILS, states, steps)
     model = spark.sparkContext.broadcast((fitted.start, fitted.later, fitted.moves, fitted.emits))
     per_token = float(np.log10(total + distinct + 1.0))
 
@@ -354,7 +361,7 @@ def scored(docs: DataFrame, held_out, states: int = STATES, steps: int = STEPS)
             r = at[np.frombuffer(r, np.int32)]
             extra[r] += np.frombuffer(s, np.float64)
             known[r] += np.frombuffer(k, np.int32)
-        lines = [np.frombuffer(x.as_py(), np.uint16) for x in mine.column("classes")]
+        lines = [np.frombuffer(x.as_py(), np.uint32) for x in mine.column("classes")]
         whole = np.concatenate([likelihoods(Model(*model.value), lines[a : a + 1024]) for a in range(0, m, 1024)]) if m else np.zeros(0)
         n = mine.column("n").to_numpy()
         return pa.table({

@@ -155,20 +155,29 @@ def _fits(moments: DataFrame, p: int, factor: float) -> DataFrame:
     return moments.mapInPandas(invert, "grp string, " + ", ".join(f"{n} double" for n in names[1:]))
 
 
+#: Groups whose fits every task gets, so that no group's rows meet in one task; a fit has some 200 bytes.
+SHARED = 50_000
+
+
+def _beside(rows: DataFrame, fit: DataFrame, how: str = "inner") -> DataFrame:
+    """Rows with their group's fit: sent to all tasks up to a counted number of groups, else by a join."""
+    return rows.join(F.broadcast(fit) if fit.count() <= SHARED else fit, "grp", how)
+
+
 def mcd(rows: DataFrame, folder: str, names: list[str] = NAMES, keep: float = KEEP, steps: int = STEPS) -> DataFrame:
     """Location and inverse scatter of each group of ``rows`` (columns grp and names)."""
     p = len(names)
     pairs = _pairs(p)
-    middle = rows.groupBy("grp").agg(*[F.percentile_approx(c, 0.5, 1000).alias(f"mu_{i}") for i, c in enumerate(names)])
+    middle = written(rows.groupBy("grp").agg(*[F.percentile_approx(c, 0.5, 1000).alias(f"mu_{i}") for i, c in enumerate(names)]), folder, "middle")
     off = [F.abs(F.col(c) - F.col(f"mu_{i}")) for i, c in enumerate(names)]
-    spread = rows.join(middle, "grp").groupBy("grp").agg(*[F.first(f"mu_{i}").alias(f"mu_{i}") for i in range(p)], *[F.percentile_approx(off[i], 0.5, 1000).alias(f"mad_{i}") for i in range(p)])
+    spread = _beside(rows, middle).groupBy("grp").agg(*[F.first(f"mu_{i}").alias(f"mu_{i}") for i in range(p)], *[F.percentile_approx(off[i], 0.5, 1000).alias(f"mad_{i}") for i in range(p)])
     scale = lambda i: F.pow(1.4826 * F.col(f"mad_{i}"), 2) + FLOOR**2
     start = spread.select("grp", *[f"mu_{i}" for i in range(p)], *[(1 / scale(i) if i == j else F.lit(0.0)).alias(f"inv_{i}_{j}") for i, j in pairs])
     fit = written(start, folder, "fit0")
     factor = keep / max(1e-9, chi2_cdf(chi2_quantile(keep, p), p + 2))
     products = [F.sum(F.col(names[i]) * F.col(names[j])).alias(f"q_{i}_{j}") for i, j in pairs]
     for n in range(1, steps + 1):
-        near = rows.join(fit, "grp").withColumn("ring", F.floor(F.log2(1 + distance(names)) * 32).cast("int"))
+        near = _beside(rows, fit).withColumn("ring", F.floor(F.log2(1 + distance(names)) * 32).cast("int"))
         rings = near.groupBy("grp", "ring").agg(F.count(F.lit(1)).cast("double").alias("m"), *[F.sum(c).alias(f"s_{i}") for i, c in enumerate(names)], *products)
         all_of, up_to = W.partitionBy("grp"), W.partitionBy("grp").orderBy("ring").rowsBetween(W.unboundedPreceding, -1)
         rings = rings.withColumn("h", F.ceil(keep * F.sum("m").over(all_of))).withColumn("before", F.coalesce(F.sum("m").over(up_to), F.lit(0.0)))
@@ -185,7 +194,7 @@ def judged(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", tail:
     rows = vectors(stats)
     fit = mcd(rows.where("not base_failed"), folder)
     limit = chi2_quantile(1 - tail, len(NAMES))
-    scored = rows.join(fit, "grp", "left").withColumn("distance2", F.coalesce(distance(NAMES), F.lit(0.0)))
+    scored = _beside(rows, fit, "left").withColumn("distance2", F.coalesce(distance(NAMES), F.lit(0.0)))
     return scored.withColumn("kept", ~F.col("base_failed") & (F.col("distance2") <= limit))
 
 

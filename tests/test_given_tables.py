@@ -9,6 +9,7 @@ from vpatterns.registry import oracle_sql, queries
 SF = "/root/testdata/sf0.001"
 READERS = {
     "measure_pattern_bound": "events",
+    "min_support_table1": "part lineitem orders customer events",
 }
 
 

@@ -10,6 +10,7 @@ SF = "/root/testdata/sf0.001"
 READERS = {
     "measure_pattern_bound": "events",
     "min_support_table1": "part lineitem orders customer events",
+    "min_support_variants": "orders part lineitem",
 }
 
 

@@ -11,6 +11,7 @@ READERS = {
     "measure_pattern_bound": "events",
     "min_support_table1": "part lineitem orders customer events",
     "min_support_variants": "orders part lineitem",
+    "pearson_blind_spot": "embeddings",
 }
 
 

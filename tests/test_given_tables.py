@@ -12,6 +12,7 @@ READERS = {
     "min_support_table1": "part lineitem orders customer events",
     "min_support_variants": "orders part lineitem",
     "pearson_blind_spot": "embeddings",
+    "udf_tails": "customer nation",
 }
 
 

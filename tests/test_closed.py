@@ -3,11 +3,12 @@
 import random
 
 import pytest
+from pyspark.sql import functions as F
 
 from vpatterns.operators import closed
 from vpatterns.operators.closed import closed_patterns
-from vpatterns.operators.prepare import cutoff
-from vpatterns.plans.wide import discover_wide
+from vpatterns.operators.prepare import cutoff, distinct_rows, numbered
+from vpatterns.plans.wide import discover_wide, placed_variables
 from vpatterns.registry import queries
 from vpatterns.sources import workloads as WL
 
@@ -59,3 +60,17 @@ def test_measures_are_over_all_variables(spark):
     n = WL.user_day_events(spark, sf).cells.select("item").distinct().count()
     assert {k for k, _ in got} == {"similar", "dissimilar", "random"} and {v for v, _ in got.values()} == {n} and n > 12
     assert {v for (_, k), (_, v) in got.items() if k == "patterns"} == {float(closed_patterns(WL.user_day_events(spark, sf), 0.005).count())}
+
+
+def test_equal_observations_are_one_weighted_row(spark):
+    m = WL.line_attributes(spark, "/root/testdata/sf0.001")
+    lines = spark.createDataFrame([(i, x) for i in range(40) for x in ("ab", "abc", "c")[i % 3]], "obs long, item string")
+    for whole in (m, WL.Matrix(lines, 41)):
+        small = distinct_rows(whole)
+        n = small.cells.select("obs").distinct().count()
+        assert n == whole.cells.groupBy("obs").agg(F.array_sort(F.collect_list("item")).alias("i")).select("i").distinct().count()
+        assert small.cells.agg(F.sum("w")).first()[0] == whole.cells.count()
+        variables = numbered(whole.cells.select("item").distinct()).persist()
+        similar = [sorted(map(tuple, placed_variables(x, variables, 4, "similar").collect())) for x in (whole, small)]
+        assert similar[0] == similar[1]
+        assert as_set(closed_patterns(small, 0.05)) == as_set(closed_patterns(whole, 0.05))

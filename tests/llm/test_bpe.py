@@ -59,3 +59,12 @@ def test_long_runs_in_parallel_pieces(make, library):
     for i, t in enumerate(some):
         ids = library.encode(t or "", add_special_tokens=False).ids
         assert got[i] == (ids, library.decode(ids, skip_special_tokens=False)), repr(t)[:60]
+
+
+def test_encoder_holds_the_vocabulary_once():
+    from vpatterns.llm.bpe import TextEncoder, default_tokenizer
+
+    e = TextEncoder(default_tokenizer())
+    assert e.library.get_vocab_size() == 0
+    own = {s: s for s in e.vocab}
+    assert all(own[x] is x for pair in e.run.ranks for x in pair if x in own)

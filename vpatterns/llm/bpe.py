@@ -39,7 +39,7 @@ LEAF = 32
 #: Runs above so many symbols are encoded by several tasks, in pieces of so many.
 PARALLEL, PIECE = 1 << 14, 1 << 12
 #: Runs kept in a worker's cache; it starts anew when full.
-CACHE = 400_000
+CACHE = 100_000
 
 
 def byte_symbols() -> list[str]:
@@ -59,7 +59,8 @@ class RunEncoder:
 
     def __init__(self, model: dict, leaf: int = LEAF):
         pairs = (tuple(m) if isinstance(m, list) else tuple(m.split(" ")) for m in model["merges"])
-        self.ranks = {p: i for i, p in enumerate(pairs)}
+        own = {s: s for s in model["vocab"]}  # one string for each symbol, in merges and vocabulary
+        self.ranks = {(own.get(a, a), own.get(b, b)): i for i, (a, b) in enumerate(pairs)}
         self.suffix = model.get("end_of_word_suffix") or ""
         self.leaf = leaf
         self.bytes = byte_symbols()
@@ -120,9 +121,10 @@ class TextEncoder:
     def __init__(self, path: str, leaf: int = LEAF):
         from tokenizers import Tokenizer
 
-        self.library = Tokenizer.from_file(path)
         with open(path) as f:
             spec = json.load(f)
+        # the library only normalises and cuts here, so it need not hold the vocabulary a second time
+        self.library = Tokenizer.from_str(json.dumps(spec | {"model": spec["model"] | {"vocab": {}, "merges": []} | {k: None for k in ("unk_token",) if k in spec["model"]}, "added_tokens": []}))
         self.vocab = spec["model"]["vocab"]
         self.run = RunEncoder(spec["model"], leaf)
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}

@@ -502,7 +502,7 @@ def spans_of(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", whol
             runs = sets[RUN][0].reshape(-1, 2)
             np.add.at(edge, runs[:, 0], 1)
             np.subtract.at(edge, runs[:, 1] + LENGTH, 1)
-        hit = np.cumsum(edge[:-1], dtype=np.int32) > 0
+        hit = np.cumsum(edge, dtype=np.int32, out=edge)[:-1] > 0
         spans, kept = [], []
         for text, at in zip(texts, places):
             mask = hit[at : at + len(text)]

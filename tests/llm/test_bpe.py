@@ -68,3 +68,30 @@ def test_encoder_holds_the_vocabulary_once():
     assert e.library.get_vocab_size() == 0
     own = {s: s for s in e.vocab}
     assert all(own[x] is x for pair in e.run.ranks for x in pair if x in own)
+
+
+def test_runs_are_merged_with_few_looks_at_the_ranks_and_kept_when_used(library, monkeypatch):
+    class Counted(dict):
+        looks = 0
+
+        def get(self, *a):
+            Counted.looks += 1
+            return dict.get(self, *a)
+
+    enc = bpe.TextEncoder(PATH)
+    enc.run.ranks = Counted(enc.run.ranks)
+    word = "internationalisation"
+    tokens = enc.run.merged(enc.run.symbols(word))
+    assert tokens == library.encode(word, add_special_tokens=False).tokens
+    assert Counted.looks <= 3 * len(word)
+    # a run in use outlives the change of caches
+    monkeypatch.setattr(bpe, "CACHE", 10)
+    enc = bpe.TextEncoder(PATH)
+    missed, merge = [], enc.run.merged
+    monkeypatch.setattr(enc.run, "merged", lambda parts: missed.append("".join(parts)) or merge(parts))
+    rng = random.Random(3)
+    rare = ["".join(rng.choice("abcdein") for _ in range(9)) for _ in range(200)]
+    text = " ".join(x for i in range(0, 200, 4) for x in ["common", *rare[i : i + 4]])
+    ids = library.encode(text, add_special_tokens=False).ids
+    assert enc(text) == (ids, library.decode(ids, skip_special_tokens=False))
+    assert len(missed) == len({"common", *rare}) and len(enc.cache) <= 10 and len(enc.older) <= 10

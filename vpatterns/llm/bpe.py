@@ -38,7 +38,7 @@ _PLAIN_RUN = re.compile(
 LEAF = 32
 #: Runs above so many symbols are encoded by several tasks, in pieces of so many.
 PARALLEL, PIECE = 1 << 14, 1 << 12
-#: Runs kept in a worker's cache; it starts anew when full.
+#: Runs of each of a worker's two caches: when the newer is full it takes the place of the older.
 CACHE = 100_000
 
 
@@ -66,20 +66,27 @@ class RunEncoder:
         self.bytes = byte_symbols()
 
     def symbols(self, run: str) -> list[str]:
-        out = [self.bytes[b] for b in run.encode()]
+        # a printable ASCII character stands for itself
+        out = list(run) if run.isascii() and run.isprintable() else [self.bytes[b] for b in run.encode()]
         if out:
             out[-1] += self.suffix
         return out
 
     def merged(self, parts: list[str]) -> list[str]:
-        ranks, worst, parts = self.ranks, len(self.ranks), list(parts)
-        while len(parts) > 1:
-            keys = [ranks.get(p, worst) for p in zip(parts, parts[1:])]
+        rank, worst, parts = self.ranks.get, len(self.ranks), list(parts)
+        keys = [rank(p, worst) for p in zip(parts, parts[1:])]
+        while keys:
             best = min(keys)
             if best == worst:
                 break
             i = keys.index(best)
-            parts[i : i + 2] = [parts[i] + parts[i + 1]]
+            parts[i] += parts.pop(i + 1)
+            # a merge only changes the pairs with its two neighbours
+            del keys[i]
+            if i < len(keys):
+                keys[i] = rank((parts[i], parts[i + 1]), worst)
+            if i:
+                keys[i - 1] = rank((parts[i - 1], parts[i]), worst)
         return parts
 
     def pieces(self, token: str) -> list[str]:
@@ -130,7 +137,9 @@ class TextEncoder:
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         names = sorted(map(re.escape, self.special), key=len, reverse=True)
         self.cut = re.compile("(" + "|".join(names) + ")") if names else None
-        self.cache: dict[str, tuple[list[int], str]] = {}
+        self.names = {i: t for t, i in (self.vocab | self.special).items()}
+        self.cache: dict[str, tuple[int, ...]] = {}
+        self.older: dict[str, tuple[int, ...]] = {}
 
     def runs(self, part: str) -> list[str]:
         if not _PLAIN.search(part):
@@ -140,55 +149,53 @@ class TextEncoder:
         mapped = [piece for piece, _ in self.library.pre_tokenizer.pre_tokenize_str(text)]
         return [bytes(back[c] for c in m).decode() for m in mapped]
 
-    def known(self, run: str) -> tuple[list[int], str]:
-        tokens = self.run(run)
-        entry = [self.vocab[t] for t in tokens], " ".join(tokens)
+    def known(self, run: str) -> tuple[int, ...]:
+        """Ids of a run that the newer cache does not hold."""
+        ids = self.older.get(run) or tuple([self.vocab[t] for t in self.run(run)])
         if len(self.cache) >= CACHE:
+            self.older = self.cache.copy()
             self.cache.clear()
         if len(run) <= 64:
-            self.cache[run] = entry
-        return entry
+            self.cache[run] = ids
+        return ids
+
+    def decoded(self, ids: list[int]) -> str:
+        return " ".join(map(self.names.__getitem__, ids))
 
     def parts(self, text: str, most: int):
         """The text's special tokens and runs in order: (ids, decoded), or a run of more than ``most`` symbols itself.
 
         What lies between long runs comes as one entry; there is one at least.
         """
-        ids, decoded, empty = [], [], True
+        ids, empty = [], True
         for part in self.cut.split(text) if self.cut and "<|" in text else [text]:
             if part in self.special:
                 ids.append(self.special[part])
-                decoded.append(part)
                 continue
             for run in self.runs(part):
                 if len(run) * 4 > most and len(run.encode()) > most:
                     if ids:
-                        yield ids, " ".join(decoded)
-                        ids, decoded = [], []
+                        yield ids, self.decoded(ids)
+                        ids = []
                     yield run
                     empty = False
                     continue
-                found = self.cache.get(run) or self.known(run)
-                ids.extend(found[0])
-                decoded.append(found[1])
+                ids.extend(self.cache.get(run) or self.known(run))
         if ids or empty:
-            yield ids, " ".join(decoded)
+            yield ids, self.decoded(ids)
 
     def __call__(self, text: str) -> tuple[list[int], str]:
         """(ids, decoded text) of one text."""
-        ids, decoded = [], []
+        ids = []
         parts = self.cut.split(text) if self.cut and "<|" in text else [text]
         cache = self.cache
         for part in parts:
             if part in self.special:
                 ids.append(self.special[part])
-                decoded.append(part)
                 continue
             for run in self.runs(part):
-                found = cache.get(run) or self.known(run)
-                ids += found[0]
-                decoded.append(found[1])
-        return ids, " ".join(decoded)
+                ids += cache.get(run) or self.known(run)
+        return ids, self.decoded(ids)
 
 
 def encode(df: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", leaf: int = LEAF, parallel: int = PARALLEL, piece: int = PIECE) -> DataFrame:
@@ -210,8 +217,9 @@ def _encode_pieces(df: DataFrame, tokenizer: str, id_col: str, text_col: str, le
     names = ["row", "no", "run", "last", "key", "ids", "decoded", "symbols"]
 
     def cut(batches):
-        encoder, number = TextEncoder(tokenizer, leaf), TaskContext.get().partitionId() << 33
+        encoder, number = None, TaskContext.get().partitionId() << 33  # most tasks have no such text
         for batch in batches:
+            encoder = encoder or TextEncoder(tokenizer, leaf)
             kinds = [pa.int64(), pa.int32(), pa.int32(), pa.bool_(), batch.schema.field(0).type, pa.list_(pa.int32()), pa.string(), pa.string()]
             for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 out = []
@@ -226,8 +234,9 @@ def _encode_pieces(df: DataFrame, tokenizer: str, id_col: str, text_col: str, le
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*out)) or [()] * 8, kinds)], names=names)
 
     def encoded(batches):
-        encoder = TextEncoder(tokenizer, leaf)
+        encoder = None
         for batch in batches:
+            encoder = encoder or TextEncoder(tokenizer, leaf)
             got = []
             for symbols, last in zip(batch.column(7).to_pylist(), batch.column(3).to_pylist()):
                 some = None if symbols is None else list(symbols)

@@ -74,3 +74,25 @@ def test_equal_observations_are_one_weighted_row(spark):
         similar = [sorted(map(tuple, placed_variables(x, variables, 4, "similar").collect())) for x in (whole, small)]
         assert similar[0] == similar[1]
         assert as_set(closed_patterns(small, 0.05)) == as_set(closed_patterns(whole, 0.05))
+
+
+@pytest.mark.parametrize("table, step, batch", [(3, 2, 5), (13, 8, 48), (1, 4, 3)])
+@pytest.mark.parametrize("seed, share, least", [(1, 0.6, 0.02), (2, 0.9, 0.1), (3, 0.97, 0.02)])
+def test_dense_matrix_is_counted_without_a_list(spark, monkeypatch, seed, share, least, table, step, batch):
+    from vpatterns.operators import tally
+
+    monkeypatch.setattr(closed, "DENSE", 0)
+    listed = closed_patterns
+    monkeypatch.setattr(closed, "closed_patterns", None)
+    for name, value in (("TABLE", table), ("STEP", step), ("BATCH", batch), ("DEAL", 3)):
+        monkeypatch.setattr(tally, name, value)
+    rng, n_vars = random.Random(seed), 11
+    rows = [sum((rng.random() < share) << i for i in range(n_vars)) for _ in range(60)]
+    rows = [x | (x & 1) << 7 for x in rows]  # one variable implies another
+    cells = spark.createDataFrame([(o, f"v{i:02d}", 1 + o % 3) for o, x in enumerate(rows) for i in range(n_vars) if x >> i & 1], "obs long, item string, w int")
+    m = WL.Matrix(cells, 120)
+    of_length = {}
+    for items, s in as_set(listed(m, least)):
+        of_length.setdefault(len(items), []).append(s)
+    got = {r["n_vars"]: tuple(r)[1:] for r in closed.closed_by_length(m, least).collect()}
+    assert got == {n: (len(s), min(s), max(s), sum(s)) for n, s in of_length.items()}

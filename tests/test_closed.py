@@ -96,3 +96,18 @@ def test_dense_matrix_is_counted_without_a_list(spark, monkeypatch, seed, share,
         of_length.setdefault(len(items), []).append(s)
     got = {r["n_vars"]: tuple(r)[1:] for r in closed.closed_by_length(m, least).collect()}
     assert got == {n: (len(s), min(s), max(s), sum(s)) for n, s in of_length.items()}
+
+
+def test_measures_of_a_dense_matrix_make_no_list(spark, monkeypatch):
+    from vpatterns.queries import mine
+
+    rng, n_vars = random.Random(5), 8
+    rows = [sum((rng.random() < 0.8) << i for i in range(n_vars)) for _ in range(40)]
+    cells = spark.createDataFrame([(o, f"v{i:02d}") for o, x in enumerate(rows) for i in range(n_vars) if x >> i & 1], "obs long, item string")
+    m = WL.Matrix(cells, 40)
+    monkeypatch.setitem(WL.WORKLOADS, "dense", (lambda *_: m, 0.04))
+    monkeypatch.setattr(closed, "DENSE", 4)
+    for module in (closed, mine):
+        monkeypatch.setattr(module, "closed_patterns", None, raising=False)
+    got = {(r["strategy"], r["metric"]): r["value"] for r in mine._whole_measures("dense")(spark, "").collect()}
+    assert {got[s, "patterns"] for s in ("similar", "dissimilar", "random")} == {float(len(brute(rows, n_vars, cutoff(0.04, 40))))}

@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -111,3 +112,30 @@ def test_measures_of_a_dense_matrix_make_no_list(spark, monkeypatch):
         monkeypatch.setattr(module, "closed_patterns", None, raising=False)
     got = {(r["strategy"], r["metric"]): r["value"] for r in mine._whole_measures("dense")(spark, "").collect()}
     assert {got[s, "patterns"] for s in ("similar", "dissimilar", "random")} == {float(len(brute(rows, n_vars, cutoff(0.04, 40))))}
+
+
+@pytest.mark.parametrize("deal, small, widths, few", [(3, 2, (2, 4, 6), 2), (1, 0, (3, 8, 64), 8), (10, 11, (8, 16, 64), 0)])
+@pytest.mark.parametrize("seed, share, least", [(1, 0.6, 0.02), (2, 0.9, 0.1), (3, 0.97, 0.02)])
+def test_number_of_closed_patterns_of_a_dense_matrix(spark, monkeypatch, seed, share, least, deal, small, widths, few):
+    from vpatterns.operators import number
+
+    monkeypatch.setattr(closed, "DENSE", 0)
+    for module, name, value in ((closed, "closed_patterns", None), (closed, "closed_counts", None), (number, "DEAL", deal), (number, "SMALL", small), (number, "WIDTHS", widths), (number, "FEW", few), (number, "BATCH", 3)):
+        monkeypatch.setattr(module, name, value)
+    rng, n_vars = random.Random(seed), 11
+    rows = [sum((rng.random() < share) << i for i in range(n_vars)) for _ in range(60)]
+    rows = [x | (x & 1) << 7 for x in rows]  # one variable implies another
+    cells = spark.createDataFrame([(o, f"v{i:02d}", 1 + o % 3) for o, x in enumerate(rows) for i in range(n_vars) if x >> i & 1], "obs long, item string, w int")
+    weighed = [x for o, x in enumerate(rows) for _ in range(1 + o % 3)]
+    assert closed.number_of_closed(WL.Matrix(cells, 120), least) == len(brute(weighed, n_vars, cutoff(least, 120)))
+
+
+def test_number_goes_with_rows_and_not_with_patterns():
+    from vpatterns.operators.number import Number
+
+    # any set of variables may be missing: 2**45 closed patterns
+    missing = np.array([0, *(1 << i for i in range(45))], np.int64)
+    assert Number(1).count(missing, missing, np.ones(46, np.int64), 0, (1 << 45) - 1) == 1 << 45
+    # two of the 40 are missing together only
+    missing = np.array([0, 3, *(1 << i for i in range(2, 40))], np.int64)
+    assert Number(1).count(missing, missing, np.ones(40, np.int64), 0, (1 << 40) - 1) == 1 << 39
